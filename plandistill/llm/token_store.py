@@ -16,8 +16,11 @@ empty store; other columns are not read.
 from __future__ import annotations
 
 import hashlib
+import json
 import os
+import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,35 +35,102 @@ from .common import small_batches
 BLOCK_BYTES = 128 << 10
 #: Documents and bytes of each that the dictionary is trained on, at most.
 SAMPLE_DOCS, SAMPLE_BYTES, DICTIONARY_BYTES = 2_000, 32 << 10, 64 << 10
-#: Distinct chunks whose ids one worker remembers.
-CACHE = 250_000
+#: Distinct chunks whose ids one worker remembers, in each of two generations.
+CACHE = 400_000
+#: Marks that may end a chunk (no apostrophe: some endings with one are pre-tokens).
+MARKS = ".,;:!?#$%&*|+=/()[]{}<>~^@_-"
 
 BLOCKS = "part int, block long, dictionary string, first_doc long, last_doc long, n_tokens long, doc_ids array<long>, offsets array<long>, lengths array<long>, payload binary"
 
 
-class Chunks(dict):
+class Chunks:
     """Ids of white-space parted chunks as bytes, asked from the tokenizer once each.
 
     Spaces and line ends part pre-tokens in this kind of tokenizer (they are
     dropped before the merges), so a text's ids are its chunks' ids in a row.
+    Texts of Latin letters are put in lower case first. Chunks of small letters
+    alone skip the steps that leave them as they are, and a run of marks after
+    them is a pre-token of its own. Two generations are kept: what is asked for again moves to the
+    young one, so frequent chunks stay however large the corpus is.
     """
 
-    def __init__(self, path: str, width: int):
-        from tokenizers import Tokenizer
+    OTHER = re.compile("[^\x00-\u024f]|[\u0130\x1c-\x1f]")
+    ASKED_AT_ONCE = 400
 
-        self.tokenizer, self.dtype = Tokenizer.from_file(path), np.dtype(f"<u{width}")
+    def __init__(self, path: str, width: int):
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        self.whole, self.code = Tokenizer.from_file(path), {2: "H", 4: "I"}[width]
+        self.letters = Tokenizer(self.whole.model)
+        self.letters.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        end = json.loads(self.whole.to_str())["model"].get("end_of_word_suffix") or ""
+        self.ends = np.zeros(1 << 8 * width if width == 2 else self.whole.get_vocab_size(), bool)
+        self.ends[[i for x, i in self.whole.get_vocab().items() if end and x.endswith(end)]] = True
+        self.young, self.old = {"": b""}, {}
+        self.short = bool(end) and self._short_way_holds()
+
+    def _short_way_holds(self) -> bool:
+        """Whether this tokenizer gives the same on a probe the short way."""
+        ids = lambda t, x: t.encode(x, add_special_tokens=False).ids
+        return all(ids(self.whole, f"{x}.,#! y, z") == ids(self.letters, x.lower()) + ids(self.whole, ".,#!") + ids(self.whole, "y , z") for x in ("Word", "ÉTÉ", "straße", "Ñandú", "a", "\u017f"))
+
+    def _ask(self, asked: list[str]) -> None:
+        code = self.code
+        self.young.update((x, array(code, e.ids).tobytes()) for x, e in zip(asked, self.whole.encode_batch(asked, add_special_tokens=False), strict=True))
+
+    def _ask_letters(self, asked: list[str]) -> None:
+        """Many words in one text: the marks of word ends in the ids part them again."""
+        size, step = array(self.code).itemsize, self.ASKED_AT_ONCE
+        runs = [asked[i : i + step] for i in range(0, len(asked), step)]
+        for run, e in zip(runs, self.letters.encode_batch_fast([" ".join(r) for r in runs], add_special_tokens=False), strict=True):
+            ids = array(self.code, e.ids)
+            cuts = ((np.flatnonzero(self.ends[np.frombuffer(ids, self.code)]) + 1) * size).tolist()
+            if len(cuts) != len(run):
+                raise ValueError("words and word ends differ")
+            raw = ids.tobytes()
+            self.young.update(zip(run, [raw[i:j] for i, j in zip([0, *cuts], cuts)], strict=True))  # noqa: B905
+
+    def _chunks(self, text: str) -> list[str]:
+        if self.short and not self.OTHER.search(text):
+            return text.lower().split()
+        return text.replace("\n", " ").split(" ")
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        parts = [t.replace("\n", " ").split(" ") for t in texts]
-        new = set().union(*parts) - self.keys() if parts else set()
-        if len(self) + len(new) > CACHE:
-            self.clear()
-            new = set().union(*parts)
+        parts = [self._chunks(t) for t in texts]
+        if len(self.young) > CACHE:
+            self.young, self.old = {"": b""}, self.young
+        get = self.young.get
+        found = [list(map(get, p)) for p in parts]
+        new = {x for p, f in zip(parts, found, strict=True) for x, y in zip(p, f, strict=True) if y is None}
+        if new:
+            self._learn(new)
+            sure = self.young.__getitem__
+            found = [[sure(x) if y is None else y for x, y in zip(p, f, strict=True)] for p, f in zip(parts, found, strict=True)]
+        return [b"".join(f) for f in found]
+
+    def _learn(self, new: set[str]) -> None:
+        young, old = self.young, self.old
+        if old:
+            again = new & old.keys()
+            young.update((x, old[x]) for x in again)
+            new -= again
+        if self.short:
+            stems = {x: stem for x in new if (stem := x.rstrip(MARKS)) and self._plain(stem)}
+            new.difference_update(stems)
+            plain = [x for x in set(stems.values()) if x not in young]
+            if plain:
+                self._ask_letters(plain)
+            new.update(x[len(stem) :] for x, stem in stems.items())
+            new.difference_update(young)
         if new:
-            asked = list(new)
-            for x, e in zip(asked, self.tokenizer.encode_batch_fast(asked, add_special_tokens=False), strict=True):
-                self[x] = np.array(e.ids, self.dtype).tobytes()
-        return [b"".join(map(self.__getitem__, p)) for p in parts]
+            self._ask(list(new))
+        if self.short:
+            for x, stem in stems.items():
+                if len(stem) < len(x):
+                    young[x] = young[stem] + young[x[len(stem) :]]
+
+    def _plain(self, x: str) -> bool:
+        return x.isalpha() and x.islower() and (x.isascii() or not self.OTHER.search(x))
 
 
 _open: dict[tuple[str, int], Chunks] = {}
