@@ -25,6 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard as zstd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -55,7 +56,7 @@ class Chunks:
     """
 
     OTHER = re.compile("[^\x00-\u024f]|[\u0130\x1c-\x1f]")
-    ASKED_AT_ONCE = 400
+    ASKED_AT_ONCE, AT_ONCE = 400, 12 << 20
 
     def __init__(self, path: str, width: int):
         from tokenizers import Tokenizer, pre_tokenizers
@@ -90,23 +91,54 @@ class Chunks:
             raw = ids.tobytes()
             self.young.update(zip(run, [raw[i:j] for i, j in zip([0, *cuts], cuts)], strict=True))  # noqa: B905
 
-    def _chunks(self, text: str) -> list[str]:
-        if self.short and not self.OTHER.search(text):
-            return text.lower().split()
-        return text.replace("\n", " ").split(" ")
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        parts = [self._chunks(t) for t in texts]
+    def encode(self, texts: pa.Array) -> list[bytes]:
+        """Ids of each text as bytes; null is the empty text."""
+        texts = pc.fill_null(texts.cast(pa.string()), "")
+        out, start, size = [], 0, 0
+        for i, n in enumerate(pc.binary_length(texts).to_pylist()):
+            size += n
+            if size > self.AT_ONCE:
+                out += self._encode(texts.slice(start, i + 1 - start))
+                start, size = i + 1, 0
+        return out + self._encode(texts.slice(start)) if start < len(texts) else out
+
+    def _encode(self, texts: pa.Array) -> list[bytes]:
+        """Chunks are numbered first, so each different one of these texts is looked up once."""
+        odd = pc.match_substring_regex(texts, "[^\\x{00}-\\x{24f}]|[\\x{130}\\x{1c}-\\x{1f}]").to_numpy(zero_copy_only=False)
+        if not self.short:
+            odd[:] = True
+        lists = pc.utf8_split_whitespace(pc.utf8_lower(texts.filter(pa.array(~odd))))
+        plain = self._gathered(lists.flatten(), lists.offsets.to_numpy() - lists.offsets[0].as_py())
+        if not odd.any():
+            return plain
+        parts = [t.replace("\n", " ").split(" ") for t in texts.filter(pa.array(odd)).to_pylist()]
+        rare = iter(self._gathered(pa.array([x for p in parts for x in p], pa.string()), np.cumsum([0, *map(len, parts)])))
+        usual = iter(plain)
+        return [next(rare if o else usual) for o in odd]
+
+    def _gathered(self, chunks: pa.Array, offsets: np.ndarray) -> list[bytes]:
         if len(self.young) > CACHE:
             self.young, self.old = {"": b""}, self.young
-        get = self.young.get
-        found = [list(map(get, p)) for p in parts]
-        new = {x for p, f in zip(parts, found, strict=True) for x, y in zip(p, f, strict=True) if y is None}
+        numbered = chunks.dictionary_encode()
+        different, number = numbered.dictionary.to_pylist(), numbered.indices.to_numpy()
+        found = list(map(self.young.get, different))
+        new = {x for x, y in zip(different, found, strict=True) if y is None}
         if new:
             self._learn(new)
             sure = self.young.__getitem__
-            found = [[sure(x) if y is None else y for x, y in zip(p, f, strict=True)] for p, f in zip(parts, found, strict=True)]
-        return [b"".join(f) for f in found]
+            found = [sure(x) if y is None else y for x, y in zip(different, found, strict=True)]
+        size = array(self.code).itemsize
+        pool = np.frombuffer(b"".join(found), self.code)
+        long = np.fromiter(map(len, found), np.int32, len(found)) // np.int32(size)
+        first = np.cumsum(long, dtype=np.int32) - long
+        each = long[number]
+        ends = np.cumsum(each, dtype=np.int32)
+        at = np.arange(ends[-1] if len(ends) else 0, dtype=np.int32)
+        at += np.repeat(first[number] - (ends - each), each)
+        ids = pool[at]
+        cuts = (np.concatenate([[0], ends])[offsets] * size).tolist()
+        raw = ids.tobytes()
+        return [raw[i:j] for i, j in zip(cuts, cuts[1:], strict=False)]
 
     def _learn(self, new: set[str]) -> None:
         young, old = self.young, self.old
@@ -168,7 +200,7 @@ def _dictionary_sample(docs: DataFrame, path: str, width: int, end_id: int) -> l
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_pydict({"x": [(x + end)[:SAMPLE_BYTES] for x in chunks(path, width).encode([t or "" for t in b.column(0).to_pylist()])]})
+            yield pa.RecordBatch.from_pydict({"x": [(x + end)[:SAMPLE_BYTES] for x in chunks(path, width).encode(b.column(0))]})
 
     picked = docs.where(F.col("doc_id").isin(ids)).select("text")
     return [bytes(r[0]) for r in picked.mapInArrow(encoded, "x binary").limit(SAMPLE_DOCS).collect()]
@@ -177,7 +209,7 @@ def _dictionary_sample(docs: DataFrame, path: str, width: int, end_id: int) -> l
 def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int = 2) -> str:
     """Encode whole texts and write the store; returns the dictionary's hash."""
     spark = docs.sparkSession
-    small_batches(spark)
+    small_batches(spark, 4_000)
     docs = docs.select("doc_id", "text")
     width = id_width(tokenizer)
     dictionary = train_dictionary(_dictionary_sample(docs, tokenizer, width, end_id))
@@ -202,7 +234,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int = 2) ->
 
         size = 0
         for b in batches:
-            for doc, x in zip(b.column(0).to_pylist(), cache.encode([t or "" for t in b.column(1).to_pylist()]), strict=True):
+            for doc, x in zip(b.column(0).to_pylist(), cache.encode(b.column(1)), strict=True):
                 frames.append(press.compress(x + end))
                 ids.append(doc)
                 tokens += len(x) // width + 1
