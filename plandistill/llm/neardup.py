@@ -6,16 +6,17 @@ so that a passage which many documents share makes no long posting lists.
 Documents with equal sets are one class and post once, under each of
 ``COORDINATES`` coordinate-value pairs. Candidates come in two steps:
 
-1. prefix step: every member of a list against the list's smallest document;
+1. prefix step: every member of a list against the list's smallest document,
+   and those it leaves in another component against one picked by a hash;
 2. skip step: members of a list that are still in different components, against
-   each other, except where the distances to the list's first document prove
+   each other, except where the distances to one of those two documents prove
    the pair too far apart (Jaccard distance is a metric). Pairs inside one
    component are skipped: they can't change it.
 
 Collisions of a candidate are counted over all coordinates; pairs with
 ``MIN_MATCHES`` or more are confirmed on full shingle sets. No list is capped.
-At similarity s a pair collides in at least two of 40 coordinates of 6 minhashes
-but for 1.5e-7 at s = 0.85 (2e-5 at 0.8).
+A pair collides in at least three of 40 coordinates of 6 minhashes
+but for 2e-6 at similarity 0.85 (2e-4 at 0.8).
 
 Defined results: null text and texts without words have no shingles and no
 link; fewer than five words make one shingle; rows with a null id get no
@@ -29,12 +30,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import park, small_batches
 
-SHINGLE, ROWS, COORDINATES, MIN_MATCHES = 5, 6, 40, 2
+SHINGLE, ROWS, COORDINATES, MIN_MATCHES = 5, 6, 40, 3
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -145,18 +146,14 @@ def _compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([x[0] for x in out], pa.int64()), pa.array([x[1] for x in out], pa.int64())], names=["a", "b", "both", "either"])
 
 
-def confirm(pairs: DataFrame, sigs: DataFrame, docs: DataFrame) -> DataFrame:
-    """a, b, both, either (sizes of intersection and union of full shingle sets) for the
-    candidate pairs with at least MIN_MATCHES equal coordinates."""
+def confirm(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """a, b, both, either (sizes of intersection and union of full shingle sets) for pairs."""
     small_batches(pairs.sparkSession, 256)
-    side = lambda x: sigs.select(F.col("doc_id").alias(x), F.col("coords").alias(f"c{x}"))
-    equal = F.aggregate(F.zip_with("ca", "cb", lambda x, y: (x == y).cast("int")), F.lit(0), lambda x, y: x + y)
-    near = park(pairs.join(side("b"), "b").join(side("a"), "a").where(equal >= MIN_MATCHES).select("a", "b").distinct(), "pairs")
-    ids = near.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    texts = park(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi"), "texts")
     of = lambda x: texts.select(F.col("doc_id").alias(x), F.col("text").alias(f"t{x}"))
-    joined = near.join(of("b"), "b").join(of("a"), "a").select("a", "b", "ta", "tb")
-    return joined.mapInArrow(_compared, "a long, b long, both long, either long")
+    joined = pairs.join(of("b").hint("merge"), "b").join(of("a").hint("merge"), "a").select("a", "b", "ta", "tb")
+    found = joined.mapInArrow(_compared, "a long, b long, both long, either long")
+    # rows that share an id give several; the closest counts
+    return found.groupBy("a", "b").agg(F.max_by(F.struct("both", "either"), F.col("both") / F.col("either")).alias("s")).select("a", "b", "s.both", "s.either")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -174,8 +171,15 @@ def components(edges: DataFrame) -> DataFrame:
             return labels.withColumnRenamed("u", "node")
 
 
+def _equal(x: str, y: str) -> Column:
+    return F.aggregate(F.zip_with(x, y, lambda p, q: (p == q).cast("int")), F.lit(0), lambda p, q: p + q)
+
+
 def near_classes(docs: DataFrame, percent: int = 85) -> DataFrame:
-    """doc_id, n_shingles, component_id and kept, one row per input row."""
+    """doc_id, n_shingles, component_id and kept, one row per input row.
+
+    Joins on many rows are merge joins at every size, so that what is moved grows as the input does.
+    """
     spark = docs.sparkSession
     small_batches(spark)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -183,29 +187,53 @@ def near_classes(docs: DataFrame, percent: int = 85) -> DataFrame:
     known = sigs.where("doc_id is not null and n_shingles > 0")
     classes = known.groupBy("n_shingles", "one", "two").agg(F.min("doc_id").alias("rep"))
     heads = park(classes.select("rep").distinct(), "heads")
-    posted = known.join(heads, known["doc_id"] == heads["rep"], "left_semi").select(F.explode("coords").alias("v"), F.col("doc_id").alias("x"))
-    lists = posted.groupBy("v").agg(F.min("x").alias("first"), F.max("x").alias("last"), F.count("*").alias("n")).where("first <> last")
-    members = park(posted.join(lists.select("v", "first", "n"), "v"), "members")
-    stars = members.where("x <> first").select(F.col("first").alias("a"), F.col("x").alias("b")).distinct()
-    tried = park(confirm(stars, sigs, docs).groupBy("a", "b").agg(F.max_by(F.struct("both", "either"), F.col("both") / F.col("either")).alias("s")).select("a", "b", "s.both", "s.either"), "tried")
+    signed = known.join(heads, known["doc_id"] == heads["rep"], "left_semi").select(F.col("doc_id").alias("x"), "coords")
+    posted = signed.select(F.explode("coords").alias("v"), "x")
+    turn = F.struct(F.xxhash64("v", "x").alias("h"), F.col("x").alias("x"))
+    lists = posted.groupBy("v").agg(F.min("x").alias("first"), F.max("x").alias("last"), F.min(turn).alias("turn"), F.count("*").alias("n")).where("first <> last")
+    members = park(posted.join(lists.select("v", "first", F.col("turn.x").alias("second"), "n").hint("merge"), "v"), "members")
+    ids = members.select("x").distinct()
+    texts = park(docs.join(ids.withColumnRenamed("x", "doc_id").hint("merge"), "doc_id", "left_semi"), "texts")
+    coords = park(signed.join(ids, "x", "left_semi"), "coords")
+    side = lambda k: coords.select(F.col("x").alias(k), F.col("coords").alias(f"c{k}"))
     linked = f"100 * both >= {percent} * either"
-    edges = tried.where(linked).select("a", "b")
-    first = components(edges)
-    # what the prefix step leaves: lists whose members are in several components
-    far = 1 - F.col("both") / F.col("either")
-    left = members.where("n > 2").join(first, members["x"] == first["node"], "left").select("v", "x", "first", F.coalesce("label", "x").alias("label"))
+
+    def tested(pairs: DataFrame) -> DataFrame:
+        near = pairs.join(side("b").hint("merge"), "b").join(side("a").hint("merge"), "a").where(_equal("ca", "cb") >= MIN_MATCHES).select("a", "b").distinct()
+        return park(confirm(near, texts), "tested")
+
+    def labelled(rows: DataFrame, comp: DataFrame, node: str, name: str) -> DataFrame:
+        found = comp.select(F.col("node").alias(node), F.col("label").alias(name))
+        return rows.join(found, node, "left").withColumn(name, F.coalesce(name, node))
+
+    # prefix step: each member against the list's first document, then what that left against
+    # a document that the list's own hash picks
+    tried = tested(members.where("x <> first").select(F.col("first").alias("a"), F.col("x").alias("b")).distinct())
+    comp = components(tried.where(linked))
+    rest = labelled(labelled(members.where("n > 2 and x <> second"), comp, "x", "lx"), comp, "second", "ls").where("lx <> ls")
+    rest = rest.select(F.least("x", "second").alias("a"), F.greatest("x", "second").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
+    tried = park(tried.union(tested(rest)), "tried")
+    comp = components(tried.where(linked))
+    # skip step: lists whose members are still in several components
+    far = tried.select("a", "b", (1 - F.col("both") / F.col("either")).alias("d"))
+    ways = far.union(far.select("b", "a", "d")).toDF("center", "x", "d")
+    left = labelled(members.where("n > 2"), comp, "x", "label")
     open_lists = left.groupBy("v").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("v")
-    left = left.where("x <> first").join(open_lists, "v").join(tried.select(F.col("a").alias("first"), F.col("b").alias("x"), far.alias("d")), ["first", "x"], "left")
-    left = park(left.select("v", "x", "label", "d"), "open")
-    near = 1 - percent / 100
+    left = left.join(open_lists, "v")
+    for center, name in (("first", "d1"), ("second", "d2")):
+        left = left.join(ways.toDF(center, "x", name), [center, "x"], "left")
+    left = park(left.join(coords, "x").select("v", "x", "first", "second", "label", "d1", "d2", "coords"), "open")
+    near = 1 - percent / 100 + 1e-9
     p, q = left.alias("p"), left.alias("q")
-    close = F.col("p.d").isNull() | F.col("q.d").isNull() | (F.abs(F.col("p.d") - F.col("q.d")) <= near + 1e-9)
-    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & close).select(F.col("p.x").alias("a"), F.col("q.x").alias("b")).distinct()
+    apart = lambda k: F.coalesce(F.abs(F.col(f"p.{k}") - F.col(f"q.{k}")) > near, F.lit(False))
+    # a pair is taken up in the first list that it shares, if enough coordinates are equal
+    here = F.element_at(F.filter(F.zip_with("p.coords", "q.coords", lambda x, y: F.when(x == y, x)), lambda x: x.isNotNull()), 1) == F.col("p.v")
+    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & ~apart("d1") & ~apart("d2") & (_equal("p.coords", "q.coords") >= MIN_MATCHES) & here)
+    more = more.select(F.col("p.x").alias("a"), F.col("q.x").alias("b")).join(tried, ["a", "b"], "left_anti")
     more = park(more, "more")
     if more.limit(1).count():
-        edges = edges.union(confirm(more, sigs, docs).where(linked).select("a", "b"))
-        first = components(edges)
-    by_class = park(classes.join(first, classes["rep"] == first["node"], "left").select("n_shingles", "one", "two", F.coalesce("label", "rep").alias("component")), "classes")
+        comp = components(tried.union(confirm(more, texts)).where(linked))
+    by_class = park(classes.join(comp, classes["rep"] == comp["node"], "left").select("n_shingles", "one", "two", F.coalesce("label", "rep").alias("component")), "classes")
     out = sigs.select("doc_id", "n_shingles", "one", "two").join(by_class, ["n_shingles", "one", "two"], "left")
     component = F.when((F.col("n_shingles") == 0) | F.col("doc_id").isNull(), F.col("doc_id")).otherwise(F.col("component"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

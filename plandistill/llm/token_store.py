@@ -35,9 +35,9 @@ from .common import small_batches
 
 BLOCK_BYTES = 128 << 10
 #: Documents and bytes of each that the dictionary is trained on, at most.
-SAMPLE_DOCS, SAMPLE_BYTES, DICTIONARY_BYTES = 2_000, 32 << 10, 64 << 10
+SAMPLE_DOCS, SAMPLE_BYTES, DICTIONARY_BYTES = 1_000, 32 << 10, 64 << 10
 #: Distinct chunks whose ids one worker remembers, in each of two generations.
-CACHE = 400_000
+CACHE = 350_000
 #: Marks that may end a chunk (no apostrophe: some endings with one are pre-tokens).
 MARKS = ".,;:!?#$%&*|+=/()[]{}<>~^@_-"
 
@@ -55,7 +55,8 @@ class Chunks:
     young one, so frequent chunks stay however large the corpus is.
     """
 
-    OTHER = re.compile("[^\x00-\u024f]|[\u0130\x1c-\x1f]")
+    #: Small letters that no step changes, then a run of marks.
+    WORD = re.compile(f"([a-z\xdf-\xf6\xf8-\xff]+)([{re.escape(MARKS)}]*)").fullmatch
     ASKED_AT_ONCE, AT_ONCE = 400, 12 << 20
 
     def __init__(self, path: str, width: int):
@@ -146,23 +147,19 @@ class Chunks:
             again = new & old.keys()
             young.update((x, old[x]) for x in again)
             new -= again
-        if self.short:
-            stems = {x: stem for x in new if (stem := x.rstrip(MARKS)) and self._plain(stem)}
+        stems = {x: m.groups() for x in new if (m := self.WORD(x))} if self.short else {}
+        if stems:
             new.difference_update(stems)
-            plain = [x for x in set(stems.values()) if x not in young]
+            plain = [x for x in {stem for stem, _ in stems.values()} if x not in young]
             if plain:
                 self._ask_letters(plain)
-            new.update(x[len(stem) :] for x, stem in stems.items())
+            new.update(tail for _, tail in stems.values())
             new.difference_update(young)
         if new:
             self._ask(list(new))
-        if self.short:
-            for x, stem in stems.items():
-                if len(stem) < len(x):
-                    young[x] = young[stem] + young[x[len(stem) :]]
-
-    def _plain(self, x: str) -> bool:
-        return x.isalpha() and x.islower() and (x.isascii() or not self.OTHER.search(x))
+        for x, (stem, tail) in stems.items():
+            if tail:
+                young[x] = young[stem] + young[tail]
 
 
 _open: dict[tuple[str, int], Chunks] = {}
