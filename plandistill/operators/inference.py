@@ -55,7 +55,7 @@ def extract_sql(raw: Column) -> Column:
     after = F.regexp_extract(raw, rf"(?s)^.*{SQL_MARK}\s*(?:```sql|```)?\s*(.*?)(?:```|\s*)$", 1)
     fence = F.regexp_extract(raw, r"(?s)^.*```(?:sql)?\s*(.*?)```", 1)
     statement = F.regexp_extract(raw, r"(?is)((?:\bselect\b|\bwith\b\s+\w+\s+as\b|\bselct\b).*)$", 1)
-    pick = F.coalesce(*[F.nullif(F.trim(c), F.lit("")) for c in (after, fence, statement)])
+    pick = F.coalesce(*[F.nullif(F.btrim(c, F.lit(" \t\r\n")), F.lit("")) for c in (after, fence, statement)])
     return F.when(F.rlike(pick, F.lit(r"(?i)^\W*(select|with|sel\w*)\b")), pick)
 
 
