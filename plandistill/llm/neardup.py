@@ -6,11 +6,12 @@ so that a passage which many documents share makes no long posting lists.
 Documents with equal sets are one class and post once, under each of
 ``COORDINATES`` coordinate-value pairs. Candidates come in two steps:
 
-1. prefix step: every member of a list against the list's smallest document,
-   and those it leaves in another component against one picked by a hash;
+1. prefix step: every document against the smallest one of all its lists; those
+   it leaves in another component against the smallest of each list, and then
+   against one that the list picks by a hash;
 2. skip step: members of a list that are still in different components, against
-   each other, except where the distances to one of those two documents prove
-   the pair too far apart (Jaccard distance is a metric). Pairs inside one
+   each other, except where the distances to one of those documents prove the
+   pair too far apart (Jaccard distance is a metric). Pairs inside one
    component are skipped: they can't change it.
 
 Collisions of a candidate are counted over all coordinates; pairs with
@@ -206,29 +207,32 @@ def near_classes(docs: DataFrame, percent: int = 85) -> DataFrame:
         found = comp.select(F.col("node").alias(node), F.col("label").alias(name))
         return rows.join(found, node, "left").withColumn(name, F.coalesce(name, node))
 
-    # prefix step: each member against the list's first document, then what that left against
-    # a document that the list's own hash picks
-    tried = tested(members.where("x <> first").select(F.col("first").alias("a"), F.col("x").alias("b")).distinct())
-    comp = components(tried.where(linked))
-    rest = labelled(labelled(members.where("n > 2 and x <> second"), comp, "x", "lx"), comp, "second", "ls").where("lx <> ls")
-    rest = rest.select(F.least("x", "second").alias("a"), F.greatest("x", "second").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
-    tried = park(tried.union(tested(rest)), "tried")
+    # prefix step: each document against the first one of all its lists; what that leaves in
+    # another component against each list's first document, then against one picked by a hash
+    pivots = park(members.where("n > 1").groupBy("x").agg(F.min("first").alias("pivot")), "pivots")
+    tried = tested(pivots.where("x <> pivot").select(F.col("pivot").alias("a"), F.col("x").alias("b")))
     comp = components(tried.where(linked))
+    for center in ("first", "second"):
+        rest = labelled(labelled(members.where(F.col("x") != F.col(center)), comp, "x", "lx"), comp, center, "lc").where("lx <> lc")
+        rest = rest.select(F.least("x", center).alias("a"), F.greatest("x", center).alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
+        tried = park(tried.union(tested(rest)), "tried")
+        comp = components(tried.where(linked))
     # skip step: lists whose members are still in several components
     far = tried.select("a", "b", (1 - F.col("both") / F.col("either")).alias("d"))
     ways = far.union(far.select("b", "a", "d")).toDF("center", "x", "d")
     left = labelled(members.where("n > 2"), comp, "x", "label")
     open_lists = left.groupBy("v").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("v")
     left = left.join(open_lists, "v")
-    for center, name in (("first", "d1"), ("second", "d2")):
+    left = left.join(pivots, "x")
+    for center, name in (("pivot", "d0"), ("first", "d1"), ("second", "d2")):
         left = left.join(ways.toDF(center, "x", name), [center, "x"], "left")
-    left = park(left.join(coords, "x").select("v", "x", "first", "second", "label", "d1", "d2", "coords"), "open")
+    left = park(left.join(coords, "x").select("v", "x", "pivot", "label", F.when(F.col("x") == F.col("pivot"), 0.0).otherwise(F.col("d0")).alias("d0"), "d1", "d2", "coords"), "open")
     near = 1 - percent / 100 + 1e-9
     p, q = left.alias("p"), left.alias("q")
     apart = lambda k: F.coalesce(F.abs(F.col(f"p.{k}") - F.col(f"q.{k}")) > near, F.lit(False))
     # a pair is taken up in the first list that it shares, if enough coordinates are equal
     here = F.element_at(F.filter(F.zip_with("p.coords", "q.coords", lambda x, y: F.when(x == y, x)), lambda x: x.isNotNull()), 1) == F.col("p.v")
-    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & ~apart("d1") & ~apart("d2") & (_equal("p.coords", "q.coords") >= MIN_MATCHES) & here)
+    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & ~(apart("d0") & (F.col("p.pivot") == F.col("q.pivot"))) & ~apart("d1") & ~apart("d2") & (_equal("p.coords", "q.coords") >= MIN_MATCHES) & here)
     more = more.select(F.col("p.x").alias("a"), F.col("q.x").alias("b")).join(tried, ["a", "b"], "left_anti")
     more = park(more, "more")
     if more.limit(1).count():
