@@ -11,13 +11,17 @@ Documents with equal sets are one class and post once, under each of
    against one that the list picks by a hash;
 2. skip step: members of a list that are still in different components, against
    each other, except where the distances to one of those documents prove the
-   pair too far apart (Jaccard distance is a metric). Pairs inside one
-   component are skipped: they can't change it.
+   pair too far apart (Jaccard distance is a metric) or their sketches are too
+   unlike. Pairs inside one component are skipped: they can't change it.
 
 Collisions of a candidate are counted over all coordinates; pairs with
 ``MIN_MATCHES`` or more are confirmed on full shingle sets. No list is capped.
 A pair collides in at least three of 40 coordinates of 6 minhashes
-but for 2e-6 at similarity 0.85 (2e-4 at 0.8).
+but for 2e-6 at similarity 0.85 (2e-4 at 0.8). A sketch keeps the smallest
+shingle of each of ``BINS`` bins as four bits; a pair is skipped where its equal
+bins are ``SPREAD`` standard deviations below what the similarity asked for
+gives (about 2e-6 again). Sets that are small beside the bins hardly lose
+shingles in them, so there the test comes close to the full sets.
 
 Defined results: null text and texts without words have no shingles and no
 link; fewer than five words make one shingle; rows with a null id get no
@@ -34,9 +38,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import park, small_batches
+from .common import let, park, small_batches
 
 SHINGLE, ROWS, COORDINATES, MIN_MATCHES = 5, 6, 40, 3
+BINS, PLANES, SPREAD = 1024, 4, 4.6
+_LONGS = BINS // 64
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -111,6 +117,50 @@ def coordinates(h: np.ndarray) -> np.ndarray:
     return out.view(np.int64)
 
 
+def sketch(h: np.ndarray) -> np.ndarray:
+    """Bit planes over the bins: which hold a shingle of the sorted set ``h``, then bits of the smallest."""
+    bins = h >> np.uint64(64 - BINS.bit_length() + 1)
+    least = np.flatnonzero(np.diff(bins, prepend=~bins[:1]))
+    marks = mix64(h[least] ^ _ODD)
+    bits = np.zeros((1 + PLANES, BINS), bool)
+    bits[0, bins[least]] = True
+    for k in range(PLANES):
+        bits[1 + k, bins[least]] = marks >> np.uint64(k) & np.uint64(1)
+    return np.packbits(bits).view(np.int64)
+
+
+def _sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    with np.errstate(over="ignore"):
+        for b in batches:
+            sets = [shingles(t) for t in _bytes(b.column(1))]
+            flat = np.concatenate([sketch(h) for h in sets]) if sets else np.empty(0, np.int64)
+            offsets = np.arange(len(sets) + 1, dtype=np.int32) * np.int32((1 + PLANES) * _LONGS)
+            yield pa.RecordBatch.from_arrays([b.column(0).cast(pa.int64()), pa.array([len(h) for h in sets], pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], names=["x", "size", "planes"])
+
+
+def alike(p: str, q: str, percent: int) -> Column:
+    """Whether the sketches of rows ``p`` and ``q`` (size, planes) leave their similarity open."""
+    at = lambda side, i, k: F.get(F.col(f"{side}.planes"), i + F.lit(k * _LONGS))
+
+    def count(i: Column) -> Column:
+        unlike = at(p, i, 1).bitwiseXOR(at(q, i, 1))
+        for k in range(2, 1 + PLANES):
+            unlike = unlike.bitwiseOR(at(p, i, k).bitwiseXOR(at(q, i, k)))
+        equal = at(p, i, 0).bitwiseAND(at(q, i, 0)).bitwiseAND(F.bitwise_not(unlike))
+        held = at(p, i, 0).bitwiseOR(at(q, i, 0))
+        return F.bit_count(held).cast("long") * F.lit(1 << 16) + F.bit_count(equal).cast("long")
+
+    def judged(c: Column) -> Column:
+        held, equal, asked = F.shiftright(c, 16), c.bitwiseAND(F.lit((1 << 16) - 1)), percent / 100
+        # bins draw from the union without putting back; of a pair to keep it has at most so many
+        union = (F.col(f"{p}.size") + F.col(f"{q}.size")) / F.lit(1 + asked)
+        spread = F.sqrt(asked * (1 - asked) * held * F.greatest(union - held, F.lit(0.0)) / F.greatest(union - 1, F.lit(1.0)))
+        return equal + 1 >= asked * held - SPREAD * spread
+
+    total = F.aggregate(F.sequence(F.lit(0), F.lit(_LONGS - 1)), F.lit(0).cast("long"), lambda n, i: n + count(i))
+    return let(total, judged)
+
+
 def _bytes(column: pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.binary()).to_pylist()]
 
@@ -226,13 +276,15 @@ def near_classes(docs: DataFrame, percent: int = 85) -> DataFrame:
     left = left.join(pivots, "x")
     for center, name in (("pivot", "d0"), ("first", "d1"), ("second", "d2")):
         left = left.join(ways.toDF(center, "x", name), [center, "x"], "left")
-    left = park(left.join(coords, "x").select("v", "x", "pivot", "label", F.when(F.col("x") == F.col("pivot"), 0.0).otherwise(F.col("d0")).alias("d0"), "d1", "d2", "coords"), "open")
+    held = texts.join(left.select("x").distinct().hint("merge"), texts["doc_id"] == F.col("x"), "left_semi").select("doc_id", "text")
+    sketches = park(held.mapInArrow(_sketched, "x long, size long, planes array<long>"), "sketches")
+    left = park(left.join(coords, "x").join(sketches, "x").select("v", "x", "pivot", "label", F.when(F.col("x") == F.col("pivot"), 0.0).otherwise(F.col("d0")).alias("d0"), "d1", "d2", "coords", "size", "planes"), "open")
     near = 1 - percent / 100 + 1e-9
     p, q = left.alias("p"), left.alias("q")
     apart = lambda k: F.coalesce(F.abs(F.col(f"p.{k}") - F.col(f"q.{k}")) > near, F.lit(False))
     # a pair is taken up in the first list that it shares, if enough coordinates are equal
     here = F.element_at(F.filter(F.zip_with("p.coords", "q.coords", lambda x, y: F.when(x == y, x)), lambda x: x.isNotNull()), 1) == F.col("p.v")
-    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & ~(apart("d0") & (F.col("p.pivot") == F.col("q.pivot"))) & ~apart("d1") & ~apart("d2") & (_equal("p.coords", "q.coords") >= MIN_MATCHES) & here)
+    more = p.join(q, (F.col("p.v") == F.col("q.v")) & (F.col("p.x") < F.col("q.x")) & (F.col("p.label") != F.col("q.label")) & ~(apart("d0") & (F.col("p.pivot") == F.col("q.pivot"))) & ~apart("d1") & ~apart("d2") & (_equal("p.coords", "q.coords") >= MIN_MATCHES) & here & alike("p", "q", percent))
     more = more.select(F.col("p.x").alias("a"), F.col("q.x").alias("b")).join(tried, ["a", "b"], "left_anti")
     more = park(more, "more")
     if more.limit(1).count():

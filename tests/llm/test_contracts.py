@@ -174,6 +174,24 @@ def base_spans(text):
     return out
 
 
+def test_op3_sketches_keep_what_is_near_and_leave_the_far(spark):
+    """Pairs of known similarity at or above the limit stay open; far ones don't."""
+    rng, rows = np.random.default_rng(5), []
+    for size in (1, 4, 60, 700, 20_000):
+        for percent in (50, 85, 90, 100):
+            for _ in range(20):
+                both = size - size * (100 - percent) // (100 + percent)
+                pool = np.unique(rng.integers(0, 1 << 62, 2 * size - both + 20, dtype=np.uint64) * np.uint64(4))
+                rng.shuffle(pool)
+                a, b = np.sort(pool[:size]), np.sort(np.concatenate([pool[:both], pool[size : 2 * size - both]]))
+                with np.errstate(over="ignore"):
+                    rows.append((size, 100 * both >= 85 * (2 * size - both), *[{"size": size, "planes": neardup.sketch(x).tolist()} for x in (a, b)]))
+    side = "struct<size:long,planes:array<long>>"
+    df = spark.createDataFrame(rows, f"size int, near boolean, p {side}, q {side}").withColumn("stays", neardup.alike("p", "q", 85))
+    assert df.where("near and not stays").count() == 0
+    assert df.where("not near and size >= 60 and stays").count() == 0
+
+
 def test_op4(spark, data):
     docs = docs_of(spark, data)
     want = []
