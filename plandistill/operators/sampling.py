@@ -111,3 +111,18 @@ def quota_report(df: DataFrame, quotas: dict[tuple[str, str], int], key: str = "
 def mix_report(sets: DataFrame) -> DataFrame:
     n = sets.groupBy("part", "stratum").agg(F.count("*").alias("n"))
     return n.select("part", "stratum", "n", (100.0 * F.col("n") / F.sum("n").over(Window.partitionBy("part"))).alias("pct"))
+
+
+def leak_report(df: DataFrame, db: str = "db_id", text: str = "question", key: str = "sample_id") -> DataFrame:
+    """check, n: databases in both pools, samples in both, and OOD samples whose text (small
+    letters, runs of white space as one space) is an ID sample's. Null texts equal nothing."""
+    said = F.lower(F.btrim(F.regexp_replace(text, r"[\x20\x09-\x0D]+", " ")))
+    marked = df.select("pool", F.col(db).alias("db"), F.col(key).alias("key"), F.md5(said).alias("said"))
+
+    def shared(column: str) -> DataFrame:
+        pools = marked.where(F.col(column).isNotNull()).groupBy(column).agg(F.count_if(F.col("pool") == "ID").alias("id"), F.count_if(F.col("pool") == "OOD").alias("ood"))
+        return pools.where("id > 0 and ood > 0")
+
+    both = [shared(c).agg(F.count("*").alias("n")).select(F.lit(f"{name} in both pools").alias("check"), "n") for c, name in (("db", "database"), ("key", "sample"))]
+    told = shared("said").agg(F.coalesce(F.sum("ood"), F.lit(0)).alias("n")).select(F.lit("OOD text in ID").alias("check"), "n")
+    return both[0].union(both[1]).union(told)

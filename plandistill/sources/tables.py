@@ -5,9 +5,12 @@ from __future__ import annotations
 import hashlib
 import json
 import re
+import tempfile
+import uuid
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 #: Virtual databases: id -> tables.
@@ -84,3 +87,25 @@ def domains(spark: SparkSession, sf_dir: str) -> dict[str, list[str]]:
     """Distinct values of the small name columns, for slots."""
     columns = {"customer": "c_mktsegment", "region": "r_name", "part": "p_type", "orders": "o_orderstatus", "events": "event_type"}
     return {c: sorted(r[0] for r in read_table(spark, sf_dir, t, [c]).distinct().limit(200).collect()) for t, c in columns.items()}
+
+
+def sink_path(spark: SparkSession, label: str) -> str:
+    """A new path in the folder all executors share; a local one only where none is configured."""
+    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or f"file://{tempfile.gettempdir()}"
+    return f"{shared.rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
+
+
+def write_json_bank(bank: DataFrame, path: str) -> DataFrame:
+    """The bank as JSON lines, and what its schema reads back."""
+    bank.write.json(path)
+    return bank.sparkSession.read.schema(BANK_SCHEMA).json(path)
+
+
+def write_by_run(outcomes: DataFrame, path: str, run: str = "run_id") -> DataFrame:
+    """Outcomes in one folder for each run; a filter on the run then reads its folder alone.
+
+    The run is read back as a string. Rows are not gathered by run first: a hot run is written
+    by all tasks that hold it."""
+    outcomes.write.partitionBy(run).parquet(path)
+    back = outcomes.withColumn(run, F.col(run).cast("string")).schema
+    return outcomes.sparkSession.read.schema(back).parquet(path)

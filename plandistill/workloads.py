@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from .operators import execution, inference, metrics, sampling, student
 from .plans import complexity
-from .sources.tables import bank_rows, load_bank, read_table, run_text
+from .sources.tables import bank_rows, load_bank, read_table, run_text, sink_path, write_by_run, write_json_bank
 from .streaming import monitor
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -105,6 +105,22 @@ def w1_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sampling.quota_report(w1_samples(spark, sf_dir), W1_QUOTAS, "doc_id")
 
 
+def w1_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents", ["doc_id", "source", "text"])
+    return sampling.leak_report(sampling.split_pools(docs, "source"), "source", "text", "doc_id")
+
+
+def src_json_bank(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return write_json_bank(load_bank(spark), sink_path(spark, "bank")).select("sample_id", "db_id", "stratum", "difficulty")
+
+
+def sink_partitioned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    o = _orders(spark, sf_dir, "o_orderkey", "o_orderpriority", "o_orderstatus")
+    outcomes = o.select("o_orderkey", F.col("o_orderstatus").alias("run_id"), F.expr(_LEVEL).alias("level"))
+    back = write_by_run(outcomes, sink_path(spark, "outcomes"))
+    return back.where("run_id = 'F'").groupBy("level").agg(F.count("*").alias("n"))
+
+
 def w2_ex(spark: SparkSession, sf_dir: str) -> DataFrame:
     o = _orders(spark, sf_dir, "o_totalprice", "o_orderstatus")
     return metrics.ex(o.withColumn("difficulty", F.expr(_DIFF)).withColumn("ok", F.col("o_orderstatus") == "F"), ["difficulty"])
@@ -190,6 +206,9 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 TAPES: dict[str, tuple[Query, str | None]] = {
     "w1_quota": (w1_quota, None),
     "w1_report": (w1_report, None),
+    "w1_leaks": (w1_leaks, None),
+    "src_json_bank": (src_json_bank, None),
+    "sink_partitioned": (sink_partitioned, f"select {_LEVEL} as level, count(*) as n from orders where o_orderstatus = 'F' group by 1"),
     "w2_ex": (w2_ex, f"select {_DIFF} as difficulty, count(*) as n, count(*) filter (o_orderstatus = 'F') as ok, round(100.0::double * count(*) filter (o_orderstatus = 'F') / count(*), 6) as ex from orders group by 1"),
     "w3_sunburst": (w3_sunburst, "with t as (select l_linenumber as run, case l_returnflag when 'N' then 'SUCC' when 'R' then 'SEM' else 'SYN' end as level, l_linestatus as leaf from lineitem), c as (select run, level, leaf, count(*) as n from t group by all) select *, round(100.0::double * n / sum(n) over (partition by run), 6) as pct from c"),
     "w4_construct": (w4_construct, "with t as (select unnest(list_filter([case when contains(text, chr(10)) then 'newline' end, case when regexp_matches(text, '[0-9]') then 'digit' end, case when contains(text, '@') then 'at' end, case when n_chars > 1475 then 'long' end], lambda x: x is not null)) as construct, lang = 'en' as ok from documents) select 'en' as run, construct, count(*) as n, count(*) filter (ok) as ok, round(100.0::double * count(*) filter (ok) / count(*), 6) as ex from t group by construct"),
@@ -220,6 +239,8 @@ def oracle_sql() -> dict[str, str]:
     own = {
         "w1_quota": f"{samples}, k as (select *, row_number() over (partition by pool, stratum order by md5('42|' || doc_id), doc_id) as rank from t where ok) select doc_id, pool, stratum, rank::int as rank from k join (values {quota}) as q(pool, stratum, w) using (pool, stratum) where rank <= w",
         "w1_report": f"{samples}, k as (select pool, stratum, count(*) as tried, count(*) filter (ok) as good from t group by all) select pool, stratum, w::bigint as wanted, least(w, coalesce(good, 0))::bigint as got, coalesce(tried, 0) as tried, good / tried as success_rate from (values {quota}) as q(pool, stratum, w) left join k using (pool, stratum)",
+        "w1_leaks": r"""with s as (select source, row_number() over (order by md5('42|' || source), source) as r, count(*) over () as n from (select distinct source from documents)), t as (select doc_id, source, r > n - round(n * 0.25) as ood, md5(lower(trim(regexp_replace(text, '[\x20\x09-\x0D]+', ' ', 'g')))) as said from documents join s using (source)), b as (select said, count(*) filter (ood) as o from t where said is not null group by said having count(*) filter (ood) > 0 and count(*) filter (not ood) > 0) select 'database in both pools' as "check", count(*) as n from (select source from t group by source having count(distinct ood) > 1) union all select 'sample in both pools', count(*) from (select doc_id from t group by doc_id having count(distinct ood) > 1) union all select 'OOD text in ID', coalesce(sum(o), 0)::bigint from b""",
+        "src_json_bank": "select * from (values " + ", ".join("(" + ", ".join(f"'{r[c]}'" for c in ("sample_id", "db_id", "stratum", "difficulty")) + ")" for r in bank_rows()) + ") as b(sample_id, db_id, stratum, difficulty)",
         "bank_classes": "select * from (values " + ", ".join(f"('{r['sample_id']}', '{r['stratum']}')" for r in bank_rows()) + ") as b(sample_id, stratum)",
         "w14_shots": "with s as (select a.vec_id as id, b.vec_id as shot, list_inner_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_inner_product(a.embedding::double[], a.embedding::double[]) * list_inner_product(b.embedding::double[], b.embedding::double[])) as c from embeddings a join embeddings b on a.vec_id <> b.vec_id where a.vec_id % 50 = 0 and b.vec_id < 1000), r as (select *, row_number() over (partition by id order by c desc, shot) as rank from s) select id, rank::int as rank, shot from r where rank <= 3",
     }

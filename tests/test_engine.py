@@ -8,6 +8,7 @@ from plandistill import workloads
 from plandistill.operators import execution, inference, metrics, sampling, student
 from plandistill.plans import complexity, ir
 from plandistill.sources import tables
+from plandistill.streaming import monitor
 
 
 def test_bank_traces_and_classes(spark, sf):
@@ -23,7 +24,7 @@ def test_bank_traces_and_classes(spark, sf):
     assert ir.lint_plan([ir.Step(1, "FLY", [2])]) == ["step 1: unknown operation FLY", "step 1: input 2 is not an earlier step"]
 
 
-@pytest.mark.parametrize("name", ["w1_quota", "w2_ex", "w5_gains", "w6_transitions", "w9_early_stop", "w12_nll", "bank_classes", "join_full", "bank_q46"])
+@pytest.mark.parametrize("name", ["w1_quota", "w1_leaks", "src_json_bank", "sink_partitioned", "w2_ex", "w5_gains", "w6_transitions", "w9_early_stop", "w12_nll", "bank_classes", "join_full", "bank_q46"])
 def test_queries_equal_sql(spark, sf, name):
     import duckdb
 
@@ -136,3 +137,19 @@ def test_greedy_decoding_repeats_what_it_saw():
 def test_flagship(spark, sf):
     got = {r.run: r.ok for r in workloads.flagship(spark, sf).collect()}
     assert got["TEACH"] > got["BASE"]
+
+
+def test_stream_windows_equal_the_table(spark, sf):
+    """All windows of the stream, read to the end in complete mode, are the batch's."""
+    sink = monitor.windowed_ex(monitor.event_stream(spark, sf)).writeStream.format("memory").queryName("windows").outputMode("complete").trigger(availableNow=True).start()
+    sink.awaitTermination(120)
+    table = tables.read_table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    want = sorted(map(tuple, monitor.windowed_ex(table).collect()))
+    assert want and sorted(map(tuple, spark.table("windows").collect())) == want
+
+
+def test_leak_report_finds_planted_leaks(spark):
+    rows = [("ID", "a", 1, "Count  the rows"), ("OOD", "b", 2, "count the\nrows "), ("OOD", "b", 3, "other"), ("ID", "c", 4, None), ("OOD", "c", 5, None), ("ID", "d", 6, "x"), ("OOD", "e", 6, "y")]
+    df = spark.createDataFrame(rows, "pool string, db_id string, sample_id long, question string")
+    assert {r["check"]: r.n for r in sampling.leak_report(df).collect()} == {"database in both pools": 1, "sample in both pools": 1, "OOD text in ID": 1}
+    assert [r.n for r in sampling.leak_report(df.limit(0)).collect()] == [0, 0, 0]
