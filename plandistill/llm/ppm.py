@@ -8,10 +8,10 @@ after the escapes d / (n + d) of longer ones, where d is the context's number
 of distinct symbols and n leaves out the symbols that longer contexts have
 excluded; below order 0 all bytes that were not seen share the rest evenly. With fixed counts
 this depends on context and byte only: the trie is folded into tables of log
-probabilities once and texts are scored by lookups. Contexts of ``ORDER`` bytes
-stay in the trie if their symbol makes up at least ``2 ** -LEAF_BITS`` of all
-training bytes: at most ``2 ** LEAF_BITS`` leaves, whatever the corpus, which
-bounds what each executor gets; shorter contexts are kept whole.
+probabilities once and texts are scored by lookups. Every string counted has its
+leaf: the most frequent, at most ``2 ** LEAF_BITS``, go to the executors with the
+escapes of all contexts (at most ``2 ** 24``); the others are joined, as rare
+words are. A leaf's n and d are those of all strings of its context.
 
 Adaptive form (``adaptive_score``): the trie starts empty, or from a text, and
 learns each byte after it is coded.
@@ -129,15 +129,30 @@ class Trie:
     and open-addressed tables for leaves and for escapes of four-byte contexts."""
 
     def __init__(self, grams: np.ndarray, counts: np.ndarray, low: np.ndarray, low_counts: np.ndarray):
-        """grams: kept four-byte numbers with counts; low: all three-byte numbers with counts."""
+        """grams: all four-byte numbers with counts; low: all three-byte numbers with counts."""
+        self.p2, self.rare = self.lower(low, low_counts), False
+        own, used, escape, _ = leaf_terms(grams.astype(np.uint32), counts.astype(np.float64), self.p2)
+        self._fill(grams.astype(np.uint32), own, used, escape)
+
+    @classmethod
+    def of_terms(cls, p2: np.ndarray, grams: np.ndarray, own: np.ndarray, used: np.ndarray, escape: np.ndarray, rare: bool) -> Trie:
+        """From finished leaves (all or, if ``rare``, some) and the escapes of all contexts."""
+        made = cls.__new__(cls)
+        made.p2, made.rare = p2, rare
+        made._fill(grams.astype(np.uint32), own, used.astype(np.uint32), escape)
+        return made
+
+    @classmethod
+    def lower(cls, low: np.ndarray, low_counts: np.ndarray) -> np.ndarray:
+        """Log probabilities of the third byte after two."""
         c2 = np.zeros((256, 256, 256), np.float32)
         c2.reshape(-1)[low] = low_counts
         c1 = c2.sum(0, dtype=np.float64)
-        p1 = self._folded(c1, self._order0(c1.sum(0)))
-        self.p2 = np.empty((256, 256, 256), np.float32)
+        p1 = cls._folded(c1, cls._order0(c1.sum(0)))
+        p2 = np.empty((256, 256, 256), np.float32)
         for first in range(256):
-            self.p2[first] = self._folded(c2[first].astype(np.float64), p1)
-        self._leaves(grams.astype(np.uint32), counts.astype(np.float64))
+            p2[first] = cls._folded(c2[first].astype(np.float64), p1)
+        return p2
 
     @staticmethod
     def _order0(c0: np.ndarray) -> np.ndarray:
@@ -162,33 +177,69 @@ class Trie:
             other = np.log10(d / (n + d)) + p_below - np.log10(rest)
         return np.where(n > 0, np.where(seen, own, other), p_below).astype(np.float32)
 
-    def _leaves(self, grams: np.ndarray, counts: np.ndarray) -> None:
-        used, at = np.unique(grams >> np.uint32(8), return_inverse=True)
-        n, d = np.bincount(at, counts, len(used)), np.bincount(at, minlength=len(used))
-        low = 10.0 ** self.p2.reshape(-1)[grams & np.uint32(0xFFFFFF)].astype(np.float64)
-        rest = np.maximum(1.0 - np.bincount(at, low, len(used)), 0.0)
-        wide = rest > 1e-7  # else the kept leaves are all there is
-        own = np.log10(counts / (n + np.where(wide, d, 0))[at])
-        # of a context: what an escape adds to the shorter context's log probability
-        escape = np.where(wide, np.log10(d / (n + d)) - np.log10(np.maximum(rest, 1e-12)), -12.0)
+    def _fill(self, grams: np.ndarray, own: np.ndarray, used: np.ndarray, escape: np.ndarray) -> None:
         self.leaf_keys, self.leaf_values = _table(grams, own)
-        self.esc_keys, self.esc_values = _table(used.astype(np.uint32), escape)
+        if len(used) <= 1 << 21:
+            self.esc_keys, self.esc_values = _table(used, escape)
+        else:  # a dense table is smaller
+            self.esc_keys, self.esc_values = None, np.full(1 << 24, np.nan, np.float32)
+            self.esc_values[used] = escape
 
     def score(self, text: bytes) -> float:
-        """Log10 probability of the bytes."""
-        return float(self._of(four_grams([text])).sum(dtype=np.float64)) if text else 0.0
+        """Log10 probability of the bytes (of a trie without rare leaves)."""
+        return self.score_parts(text)[0]
 
     def score_at(self, context: bytes, byte: int) -> float:
         """Log10 probability of a byte after the last three bytes."""
         return float(self._of(np.array([int.from_bytes(context[-3:], "big") << 8 | byte], np.uint32))[0])
 
+    def score_parts(self, text: bytes) -> tuple[float, list[int], list[int]]:
+        """The score with all strings outside the leaves taken as unseen, and those of them
+        that may be rare leaves (their context is known), with how often they occur."""
+        if not text:
+            return 0.0, [], []
+        p, maybe = self._parts(four_grams([text]))
+        missed, times = np.unique(maybe, return_counts=True) if self.rare else (maybe[:0], maybe[:0])
+        return float(p.sum(dtype=np.float64)), missed.tolist(), times.tolist()
+
     def _of(self, grams: np.ndarray) -> np.ndarray:
+        return self._parts(grams)[0]
+
+    def _escapes(self, contexts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        if self.esc_keys is not None:
+            return _lookup(self.esc_keys, self.esc_values, contexts)
+        got = self.esc_values[contexts]
+        known = ~np.isnan(got)
+        return np.where(known, got, np.float32(0)), known
+
+    def _parts(self, grams: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         p, found = _lookup(self.leaf_keys, self.leaf_values, grams)
         missed = grams[~found]
         if len(missed):
-            extra, _ = _lookup(self.esc_keys, self.esc_values, missed >> np.uint32(8))
+            extra, known = self._escapes(missed >> np.uint32(8))
             p[~found] = extra + self.p2.reshape(-1)[missed & np.uint32(0xFFFFFF)]
-        return p
+            missed = missed[known]
+        return p, missed
+
+
+def leaf_terms(grams: np.ndarray, counts: np.ndarray, p2: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of all strings of some contexts: their log probabilities; the contexts, what an escape
+    adds to the shorter context's log probability, and the place of each string's context."""
+    used, at = np.unique(grams >> np.uint32(8), return_inverse=True)
+    n, d = np.bincount(at, counts, len(used)), np.bincount(at, minlength=len(used))
+    rest, step = np.empty(len(used)), 4096
+    order = np.argsort(at, kind="stable")
+    ends = np.searchsorted(at[order], np.arange(0, len(used) + step, step))
+    for i, (a, b) in enumerate(zip(ends, ends[1:], strict=False)):
+        part, mine = used[i * step : (i + 1) * step], order[a:b]
+        # the shorter context without the excluded symbols, summed over what is left: no cancellation
+        low = 10.0 ** p2[(part >> np.uint32(8)) & np.uint32(255), part & np.uint32(255)].astype(np.float64)
+        low[at[mine] - i * step, grams[mine] & np.uint32(255)] = 0.0
+        rest[i * step : (i + 1) * step] = low.sum(1)
+    left = rest > 0
+    own = np.log10(counts / (n + np.where(left, d, 0))[at])
+    escape = np.where(left, np.log10(d / (n + d)) - np.log10(np.where(left, rest, 1.0)), 0.0)
+    return own, used, escape, at
 
 
 _EMPTY = np.uint32(0xFFFFFFFF)
@@ -230,20 +281,52 @@ def _lookup(filled: np.ndarray, values: np.ndarray, keys: np.ndarray) -> tuple[n
     return out, found
 
 
-def train(docs: DataFrame) -> tuple[DataFrame, int]:
-    """Counts of four-byte numbers over the texts (gram, c), parked, and their total."""
+def train(docs: DataFrame) -> DataFrame:
+    """Counts of four-byte numbers over the texts (gram, c), parked."""
     small_batches(docs.sparkSession)
-    grams = park(docs.select("text").mapInArrow(_gram_counts, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c")), "grams")
-    return grams, grams.agg(F.sum("c")).head()[0] or 0
+    return park(docs.select("text").mapInArrow(_gram_counts, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c")), "grams")
 
 
-def fold(grams: DataFrame, total: int) -> Trie:
-    """The trie as tables. The driver gets at most 2 ** LEAF_BITS leaves and the three-byte
-    counts, whose number is bounded by 2 ** 24."""
-    leaves = grams.where(F.col("c") >= math.ceil(total / (1 << LEAF_BITS))).toArrow()
-    low = grams.groupBy((F.col("gram") % (1 << 24)).alias("gram")).agg(F.sum("c").alias("c")).toArrow()
+def _leaf_threshold(grams: DataFrame) -> int:
+    """The least power of two such that at most 2 ** LEAF_BITS strings occur as often."""
+    bits = {r.bits: r.n for r in grams.groupBy(F.length(F.bin("c")).alias("bits")).agg(F.count("*").alias("n")).collect()}
+    kept, least = 0, max(bits, default=0) + 1
+    while least > 1 and kept + bits.get(least - 1, 0) <= 1 << LEAF_BITS:
+        least -= 1
+        kept += bits.get(least, 0)
+    return 1 << (least - 1)
+
+
+def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
+    """The trie as tables, and the leaves left out of it (gram, gain: what to add where the
+    trie took the string as unseen), None if there are none. The driver gets at most
+    2 ** LEAF_BITS leaves, the escapes and the three-byte counts (at most 2 ** 24 each)."""
+    spark = grams.sparkSession
     column = lambda t, k: t.column(k).to_numpy()
-    return Trie(column(leaves, "gram"), column(leaves, "c"), column(low, "gram"), column(low, "c"))
+    low = grams.groupBy((F.col("gram") % (1 << 24)).alias("gram")).agg(F.sum("c").alias("c")).toArrow()
+    shared = spark.sparkContext.broadcast(Trie.lower(column(low, "gram"), column(low, "c")))
+
+    def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got, c = (pa.concat_arrays([b.column(k)]).flatten().to_numpy() for k in (0, 1))
+            if not len(got):
+                continue
+            keys = got.astype(np.uint32)
+            own, used, escape, at = leaf_terms(keys, c.astype(np.float64), shared.value)
+            first = np.zeros(len(keys), bool)
+            first[np.unique(at, return_index=True)[1]] = True
+            gain = own - escape[at] - shared.value.reshape(-1)[keys & np.uint32(0xFFFFFF)]
+            yield pa.RecordBatch.from_arrays([pa.array(got), pa.array(c), pa.array(own), pa.array(gain), pa.array(escape[at]), pa.array(first)], names=["gram", "c", "own", "gain", "escape", "first"])
+
+    # the strings of one context, 256 at most, meet in a row
+    whole = grams.groupBy(F.shiftright("gram", 8).alias("context")).agg(F.collect_list(F.struct("gram", "c")).alias("z")).select(F.col("z.gram").alias("gram"), F.col("z.c").alias("c"))
+    leaves = park(whole.mapInArrow(terms, "gram long, c long, own double, gain double, escape double, first boolean"), "leaves")
+    least = _leaf_threshold(leaves)
+    often = leaves.where(F.col("c") >= least).select(F.col("gram"), F.col("own").cast("float")).toArrow()
+    escapes = leaves.where("first").select(F.shiftright("gram", 8).cast("int").alias("context"), F.col("escape").cast("float")).toArrow()
+    trie = Trie.of_terms(shared.value, column(often, "gram"), column(often, "own"), column(escapes, "context"), column(escapes, "escape"), least > 1)
+    shared.unpersist()
+    return trie, leaves.where(F.col("c") < least).select("gram", "gain") if least > 1 else None
 
 
 # --- scoring --------------------------------------------------------------------------------
@@ -261,14 +344,14 @@ def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
     often = F.col("c") >= max(1, math.ceil(n / (1 << WORD_BITS)))
     common = counts.where(often).toArrow()  # at most 2 ** WORD_BITS words
     logs = dict(zip(common.column("word").to_pylist(), (np.log10(common.column("c").to_numpy() + 0.1) - scale).tolist(), strict=True))
-    grams, total = train(training)
-    shared = spark.sparkContext.broadcast((fold(grams, total), logs))
+    trie, rare_leaves = fold(train(training))
+    shared = spark.sparkContext.broadcast((trie, logs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie, logs = shared.value
         get = logs.get
         for b in batches:
-            out = {k: [] for k in ("row", "n_tokens", "n_common", "base", "score", "rare", "times")}
+            out = {k: [] for k in ("row", "n_tokens", "n_common", "base", "score", "rare", "times", "missed", "missed_times")}
             for text in _bytes(b.column(2)):
                 per: dict = Counter(tokens(text))
                 base, sure, rare, times = 0.0, 0, [], []
@@ -280,13 +363,14 @@ def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
                     else:
                         base += k * x
                         sure += k
-                for k, x in zip(out, (0, sum(per.values()), sure, base, trie.score(text), rare, times), strict=True):
+                score, missed, missed_times = trie.score_parts(text)
+                for k, x in zip(out, (0, sum(per.values()), sure, base, score, rare, times, missed, missed_times), strict=True):
                     out[k].append(x)
             longs = pa.int64()
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out["n_tokens"], longs), pa.array(out["n_common"], longs), pa.array(out["base"], pa.float64()), pa.array(out["score"], pa.float64()), pa.array(out["rare"], pa.list_(pa.binary())), pa.array(out["times"], pa.list_(longs))], names=["row", "doc_id", "n_tokens", "n_common", "base", "score", "rare", "times"])
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out["n_tokens"], longs), pa.array(out["n_common"], longs), pa.array(out["base"], pa.float64()), pa.array(out["score"], pa.float64()), pa.array(out["rare"], pa.list_(pa.binary())), pa.array(out["times"], pa.list_(longs)), pa.array(out["missed"], pa.list_(longs)), pa.array(out["missed_times"], pa.list_(longs))], names=["row", "doc_id", "n_tokens", "n_common", "base", "score", "rare", "times", "missed", "missed_times"])
 
     numbered = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    scored = park(numbered.mapInArrow(run, "row long, doc_id long, n_tokens long, n_common long, base double, score double, rare array<binary>, times array<long>"), "scored")
+    scored = park(numbered.mapInArrow(run, "row long, doc_id long, n_tokens long, n_common long, base double, score double, rare array<binary>, times array<long>, missed array<long>, missed_times array<long>"), "scored")
     rare_words = counts.where(~often)
     asked = scored.select("row", F.explode(F.arrays_zip("rare", "times")).alias("z")).select("row", F.col("z.rare").alias("word"), F.col("z.times").alias("k"))
     # words that training lacks score as c = 0: only those found are corrected
@@ -294,7 +378,14 @@ def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
     found = asked.join(rare_words, "word").groupBy("row").agg(F.sum("k").alias("n_found"), F.sum(F.col("k") * (F.log10(F.col("c") + 0.1) - zero)).alias("gain"))
     n_rare = F.col("n_tokens") - F.col("n_common")
     out = scored.select("row", "doc_id", "n_tokens", "n_common", "base", "score").join(found, "row", "left")
-    return out.select("doc_id", held_out(F.col("doc_id"), fold_of).alias("held_out"), "n_tokens", (F.col("n_common") + F.coalesce("n_found", F.lit(0))).alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), (F.col("base") + n_rare * (zero - scale) + F.coalesce("gain", F.lit(0.0))).alias("base_score"), "score")
+    score = F.col("score")
+    if rare_leaves is not None:
+        # strings that training lacks stay as scored: only those found are corrected
+        unsure = scored.select("row", F.explode(F.arrays_zip("missed", "missed_times")).alias("z")).select("row", F.col("z.missed").alias("gram"), F.col("z.missed_times").alias("k"))
+        gains = unsure.join(rare_leaves, "gram").groupBy("row").agg(F.sum(F.col("k") * F.col("gain")).alias("leaf_gain"))
+        out = out.join(gains, "row", "left")
+        score = score + F.coalesce("leaf_gain", F.lit(0.0))
+    return out.select("doc_id", held_out(F.col("doc_id"), fold_of).alias("held_out"), "n_tokens", (F.col("n_common") + F.coalesce("n_found", F.lit(0))).alias("n_known"), F.lit(n).cast("long").alias("train_tokens"), (F.col("base") + n_rare * (zero - scale) + F.coalesce("gain", F.lit(0.0))).alias("base_score"), score.alias("score"))
 
 
 # --- adaptive form ---------------------------------------------------------------------------

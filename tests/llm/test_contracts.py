@@ -456,6 +456,51 @@ def test_ppm_tables_equal_slow_trie():
         assert abs(total - 1) < 1e-3
 
 
+@pytest.mark.parametrize("bits", [21, 6])
+def test_ppm_score_of_every_string(spark, odd, monkeypatch, bits):
+    """The query's scores are those of the slow trie, with and without leaves left to the join."""
+    import math
+
+    monkeypatch.setattr(ppm, "LEAF_BITS", bits)
+    docs = [(i, (t or "")[:3000]) for i, t in enumerate(ODD_TEXTS)]
+    c = Counter()
+    for i, t in docs:
+        if zlib.crc32(str(i).encode()) % 10:
+            raw = ppm.START_CONTEXT + t.encode()
+            c.update(raw[p - 3 : p + 1] for p in range(3, len(raw)))
+    sums = [Counter(), Counter(), Counter(), c]
+    for g, k in c.items():
+        for n in range(3):
+            sums[n][g[3 - n :]] += k
+    nodes = {}
+    for level in sums:
+        for g, k in level.items():
+            nodes.setdefault(g[:-1], {})[g[-1]] = k
+    memo = {}
+
+    def dist(context):
+        if context not in memo:
+            node, below = nodes.get(context, {}), dist(context[1:]) if context else None
+            if below is None:
+                n, d = sum(node.values()), len(node)
+                memo[context] = [node[b] / (n + d) if b in node else d / (n + d) / (256 - d) for b in range(256)]
+            elif not node:
+                memo[context] = below
+            else:
+                n, d, rest = sum(node.values()), len(node), sum(p for b, p in enumerate(below) if b not in node)
+                memo[context] = [node[b] / (n + d) if b in node else d / (n + d) * below[b] / rest for b in range(256)]
+        return memo[context]
+
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    if bits < 21:
+        assert ppm.fold(ppm.train(df))[1].count() > len(c) // 2
+    got = {r.doc_id: r.score for r in ppm.score_texts(df).collect()}
+    for i, t in docs:
+        raw = ppm.START_CONTEXT + t.encode()
+        want = sum(math.log10(dist(raw[p - 3 : p])[raw[p]]) for p in range(3, len(raw)))
+        assert abs(got[i] - want) < 1e-4 * max(1, abs(want)), i
+
+
 def test_ppm_learns(spark, sf):
     got = queries.op10_scores(spark, sf).where("held_out and n_tokens > 20")
     bits = got.select(F.sum("score").alias("s"), F.sum(F.lit(1)).alias("n")).head()
