@@ -43,11 +43,15 @@ def build_prompt(questions: DataFrame, style: str, schemas: dict[str, str], shot
 
 
 def select_shots(questions: DataFrame, bank: DataFrame, k: int = 3) -> DataFrame:
-    """id, shot, rank: the bank vectors (a few thousand, broadcast) nearest by cosine."""
+    """id, shot, rank: the bank vectors nearest by cosine. The whole bank is searched, dealt in
+    blocks; each question's best ``k`` of every block meet."""
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    b = F.broadcast(bank.select(F.col("id").alias("shot"), F.col("vector").alias("bv")))
-    scored = questions.join(b, questions["id"] != b["shot"]).select("id", "shot", (dot("vector", "bv") / F.sqrt(dot("vector", "vector") * dot("bv", "bv"))).alias("score"))
-    return scored.withColumn("rank", F.row_number().over(Window.partitionBy("id").orderBy(F.desc("score"), "shot"))).where(F.col("rank") <= k)
+    blocks = int(bank.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    q = questions.select("id", "vector", dot("vector", "vector").alias("vv"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
+    b = bank.select(F.col("id").alias("shot"), F.col("vector").alias("bv"), dot("vector", "vector").alias("bb"), F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"))
+    scored = q.join(b, "block").where(F.col("id") != F.col("shot")).select("block", "id", "shot", (dot("vector", "bv") / F.sqrt(F.col("vv") * F.col("bb"))).alias("score"))
+    ranked = lambda df, *by: df.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("score"), "shot"))).where(F.col("rank") <= k)
+    return ranked(ranked(scored, "block", "id").drop("block"), "id")
 
 
 def extract_sql(raw: Column) -> Column:

@@ -129,6 +129,20 @@ def test_quantised_base_and_adapter(spark):
     assert sorted(r["count"] for r in student.batches(df, 8, 0, "id").groupBy("batch").count().collect()) == [6, 8, 8, 8]
 
 
+def test_shots_come_from_the_whole_table(spark, tmp_path):
+    rng = np.random.default_rng(1)
+    v = rng.normal(size=(1300, 5))
+    v[1250] = v[50]  # a tie
+    spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    unit = v / np.linalg.norm(v, axis=1, keepdims=True)
+    want = set()
+    for i in range(0, 1300, 50):
+        near = np.round(unit @ unit[i], 12)
+        near[i] = -2
+        want |= {(i, r + 1, int(s)) for r, s in enumerate(np.lexsort((np.arange(1300), -near))[:3])}
+    assert {tuple(r) for r in workloads.w14_shots(spark, str(tmp_path)).collect()} == want and any(s >= 1000 for _, _, s in want)
+
+
 def test_greedy_decoding_repeats_what_it_saw():
     g = student.Greedy(["q1 step scan orders sql select a", "q2 step scan parts sql select b"])
     assert g.decode("q2 step") == "scan parts sql select b"
