@@ -72,7 +72,7 @@ def assemble(samples: DataFrame, signal: str) -> DataFrame:
 CORRUPTIONS: dict[str, Callable[[str], str]] = {
     "success": lambda q: q,
     "no output": lambda q: "I cannot answer this",
-    "no such column": lambda q: re.sub(r"(?i)^(with .*?\) )?select ", lambda m: m.group() + "nope_col, ", q, count=1),
+    "no such column": lambda q: re.sub(r"(?i)^(with .*?\) )?select (distinct )?", lambda m: m.group() + "nope_col, ", q, count=1),
     "no such table": lambda q: re.sub(r"(?i)\bfrom (\w+)", r"from \1_nope", q, count=1),
     "keyword": lambda q: re.sub(r"(?i)\bselect\b", "selct", q, count=1),
     "clause order": lambda q: q + " limit 3 where 1 = 1",

@@ -181,22 +181,23 @@ def stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return monitor.windowed_ex(e).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "run", "n", "ok")
 
 
-def evaluate_runs(spark: SparkSession, sf_dir: str, rows: int = 12) -> DataFrame:
-    """The evaluation path end to end on bank rows: complete, extract, execute, compare, classify."""
-    bank = [r for r in bank_rows() if r["db_id"] in ("order_desk", "geo_crm")][:rows]
+def evaluate_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The evaluation path end to end on all bank rows: complete, extract, execute, compare,
+    classify; ``made`` is the class of corruption put in."""
+    bank = bank_rows()
     profiles = {"TEACH": {"success": 0.8, "empty output": 0.1, "keyword": 0.1}, "BASE": {"success": 0.2, "no such column": 0.3, "column mismatch": 0.3, "no output": 0.2}}
     raw = []
     for run, profile in profiles.items():
         done = inference.NoisyCompleter(profile)
-        raw += [(run, r["sample_id"], r["db_id"], r["difficulty"], r["gold_sql"], done(f"{run}{r['sample_id']}", r["gold_sql"])[0]) for r in bank]
-    df = spark.createDataFrame(raw, "run string, sample_id string, db_id string, difficulty string, gold_sql string, raw string").withColumn("sql", inference.extract_sql(F.col("raw")))
+        raw += [(run, r["sample_id"], r["db_id"], r["difficulty"], r["gold_sql"], *done(f"{run}{r['sample_id']}", r["gold_sql"])) for r in bank]
+    df = spark.createDataFrame(raw, "run string, sample_id string, db_id string, difficulty string, gold_sql string, raw string, made string").withColumn("sql", inference.extract_sql(F.col("raw")))
     got = df.collect()  # one row for each question and run; results stay on the executors
     ran = execution.run_many(spark, sf_dir, [(r.db_id, q) for r in got for q in (r.sql, r.gold_sql) if q])
     out = []
     for r in got:
         level, leaf = execution.outcome(ran[r.db_id, r.sql] if r.sql else None, ran[r.db_id, r.gold_sql])
-        out.append((r.run, r.sample_id, r.difficulty, level, leaf, level == "SUCC"))
-    return spark.createDataFrame(out, "run string, sample_id string, difficulty string, level string, leaf string, ok boolean")
+        out.append((r.run, r.sample_id, r.difficulty, level, leaf, level == "SUCC", r.made))
+    return spark.createDataFrame(out, "run string, sample_id string, difficulty string, level string, leaf string, ok boolean, made string")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,6 +153,14 @@ def test_flagship(spark, sf):
     assert got["TEACH"] > got["BASE"]
 
 
+def test_evaluation_takes_the_whole_bank(spark, sf):
+    got = workloads.evaluate_runs(spark, sf).collect()
+    bank = {r["sample_id"] for r in tables.bank_rows()}
+    assert sorted((r.run, r.sample_id) for r in got) == sorted((run, i) for run in ("TEACH", "BASE") for i in bank)
+    level = lambda made: "SUCC" if made == "success" else "GEN" if made == "no output" else "SEM" if made in ("empty output", "column mismatch") else "SYN"
+    assert [(r.sample_id, r.made, r.leaf, r.level) for r in got if (r.leaf, r.level) != (r.made, level(r.made))] == []
+
+
 def test_stream_windows_equal_the_table(spark, sf):
     """All windows of the stream, read to the end in complete mode, are the batch's."""
     sink = monitor.windowed_ex(monitor.event_stream(spark, sf)).writeStream.format("memory").queryName("windows").outputMode("complete").trigger(availableNow=True).start()
