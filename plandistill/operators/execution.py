@@ -11,7 +11,7 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 from pyspark.errors import PySparkException
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.tables import DATABASES, register
@@ -49,6 +49,16 @@ def canonical(df: DataFrame) -> DataFrame:
     return df.toDF(*[f"c{i}" for i in range(len(df.columns))]).select(*out)
 
 
+def positions(df: DataFrame) -> DataFrame:
+    """One row, of a query's rows in the order it gives: two sums over hashes of position and
+    row. One task numbers the rows."""
+    keyed = canonical(df)
+    at = F.row_number().over(Window.orderBy("at"))
+    placed = keyed.withColumn("at", F.monotonically_increasing_id()).withColumn("at", at)
+    total = lambda seed: F.coalesce(F.sum(F.xxhash64(F.lit(seed), "at", *keyed.columns).cast("decimal(20,0)")), F.lit(0)).cast("decimal(38,0)")
+    return placed.agg(total(3).alias("ordered_a"), total(4).alias("ordered_b"))
+
+
 def digest(df: DataFrame) -> DataFrame:
     """One row: n_cols, n_rows, two sums for the bag and two for the set of rows."""
     keyed = canonical(df)
@@ -102,15 +112,17 @@ def syntax_leaf(condition: str, params: dict, sql: str) -> str:
     return "other"
 
 
-def run_sql(session: SparkSession, sql: str, timeout_rows: int | None = None) -> Digest:
-    """The digest of a query in a database's session; anything but a query is refused."""
+def run_sql(session: SparkSession, sql: str, timeout_rows: int | None = None, ordered: bool = False) -> Digest:
+    """The digest of a query in a database's session (with row positions if ``ordered``);
+    anything but a query is refused."""
     try:
         root = session._jsparkSession.sessionState().sqlParser().parsePlan(sql).nodeName()
         if root not in READ_ONLY:
             return Digest("error", error="NOT_A_QUERY", leaf="other")
         df = session.sql(sql)
-        r = digest(df if timeout_rows is None else df.limit(timeout_rows)).head()
-        return Digest("ok", r.n_cols, r.n_rows, (r.bag_a, r.bag_b, r.n_rows), (r.set_a, r.set_b, r.n_distinct))
+        df = df if timeout_rows is None else df.limit(timeout_rows)
+        r, placed = digest(df).head(), tuple(positions(df).head()) if ordered else ()
+        return Digest("ok", r.n_cols, r.n_rows, (r.bag_a, r.bag_b, r.n_rows), (r.set_a, r.set_b, r.n_distinct), placed)
     except PySparkException as e:
         condition = e.getCondition() or "UNKNOWN"
         return Digest("error", error=condition, leaf=syntax_leaf(condition, e.getMessageParameters() or {}, sql))
@@ -129,11 +141,15 @@ def run_many(spark: SparkSession, sf_dir: str, asked: list[tuple[str, str]], thr
 
 
 def same_result(a: Digest, b: Digest, mode: str = "set", strict_arity: bool = True) -> bool:
+    if mode not in ("set", "bag", "ordered"):
+        raise ValueError(f"unknown mode {mode}")
     if a.status != "ok" or b.status != "ok":
         return False
     if not a.n_rows and not b.n_rows:
         return a.n_cols == b.n_cols or not strict_arity
-    return a.n_cols == b.n_cols and (a.set == b.set if mode == "set" else a.bag == b.bag)
+    if mode == "ordered" and not (a.ordered and b.ordered):
+        raise ValueError("a digest without row positions")
+    return a.n_cols == b.n_cols and getattr(a, mode) == getattr(b, mode)
 
 
 def same_rows(a: DataFrame, b: DataFrame, mode: str = "bag") -> bool:

@@ -83,6 +83,18 @@ def test_digest_sees_what_rows_show(spark):
     assert not execution.same_rows(a, a.na.fill(""))
 
 
+def test_ordered_results_differ_by_position(spark, sf):
+    s = execution.database_session(spark, sf, "order_desk")
+    ask = lambda q: execution.run_sql(s, q, ordered=True)
+    up, down = ask("select o_orderkey from orders order by o_orderkey"), ask("select o_orderkey from orders order by o_orderkey desc")
+    again = ask("select o_orderkey as k from (select * from orders union all select * from orders where 1 = 0) order by k + 0")
+    assert execution.same_result(up, down, "bag") and not execution.same_result(up, down, "ordered")
+    assert execution.same_result(up, again, "ordered")
+    for bad in (("sorted", up), ("ordered", execution.run_sql(s, "select o_orderkey from orders"))):
+        with pytest.raises(ValueError):
+            execution.same_result(up, bad[1], bad[0])
+
+
 def test_extraction(spark):
     raw = ["STEP 1\n### SQL\nselect 1", "so\n```sql\nselect 2\n```", "thus select 3", "I cannot answer", "", None]
     got = [r[0] for r in spark.createDataFrame([(i, x) for i, x in enumerate(raw)], "i int, raw string").orderBy("i").select(inference.extract_sql(F.col("raw"))).collect()]
