@@ -17,7 +17,7 @@ Documents with equal sets are one class and post once, under each of
 Collisions of a candidate are counted over all coordinates; pairs with
 ``MIN_MATCHES`` or more are confirmed on full shingle sets. No list is capped.
 A pair collides in at least three of 40 coordinates of 6 minhashes
-but for 2e-6 at similarity 0.85 (2e-4 at 0.8). A sketch keeps the smallest
+but for 2e-6 at similarity 0.85 (6e-4 at 0.8). A sketch keeps the smallest
 shingle of each of ``BINS`` bins as four bits; a pair is skipped where its equal
 bins are ``SPREAD`` standard deviations below what the similarity asked for
 gives (about 2e-6 again). Sets that are small beside the bins hardly lose

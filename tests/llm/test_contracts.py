@@ -533,3 +533,14 @@ def test_sql(spark, sf, name):
     order = [cols.index(c) for c in sorted(cols)]
     assert sorted(cols) == sorted(df.columns)
     assert sorted(str(tuple(r[i] for i in order)) for r in rel.fetchall()) == got
+
+
+def test_stated_miss_probability():
+    """What the docstring says of pairs at the limit is the binomial tail."""
+    from math import comb
+
+    stated = re.search(r"but for (\S+) at similarity 0.85 \((\S+) at 0.8\)", neardup.__doc__)
+    for similarity, text in zip((0.85, 0.8), stated.groups(), strict=True):
+        p, n = similarity**neardup.ROWS, neardup.COORDINATES
+        miss = sum(comb(n, k) * p**k * (1 - p) ** (n - k) for k in range(neardup.MIN_MATCHES))
+        assert 0.8 < miss / float(text) < 1.25
