@@ -4,10 +4,11 @@ A conversation becomes ``<|im_start|>role\\ntext<|im_end|>\\n`` per turn. The
 grammar is deterministic: the two control strings never occur in the content
 of formatted text. A content string that would break that is escaped: in every
 ``<`` + any number of backslashes + ``|`` one backslash is added. Roles have
-backslashes and line ends escaped besides. Formatting renders, parses the
-rendering and compares the turns with the source; content is escaped only
-where the plain rendering doesn't come back identical, and the flag is kept by
-turn. ``formatted`` carries whether a turn is escaped in its start mark
+backslashes and line ends escaped besides. Turns without
+``<|`` (and without a line end in the role) are plain, turns with ``<|im_`` are
+escaped, both without parsing; any other turn is rendered plain, parsed, and
+escaped where it doesn't come back identical. The flag is kept by turn; escaped
+turns and whole conversations are not parsed again. ``formatted`` carries whether a turn is escaped in its start mark
 (``<|im_start|>`` plain, ``<|im_start_x|>`` escaped), so reading needs nothing else.
 
 Defined results: null text and null role are empty strings; turns stand by
