@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import sliced
 
 MARK, CACHE = "▁", 250_000
 #: How much worse than the worst piece a character without a piece is (the library's constant).
@@ -172,11 +172,10 @@ def segmenter(path: str) -> Segmenter:
 def encode_texts(docs: DataFrame, model: str, columns: list[str]) -> DataFrame:
     """The named columns of ``docs`` with ids (array of int) and decoded (the text that the
     ids give back): one pass, no shuffle."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         s = segmenter(model)
-        for b in batches:
+        for b in sliced(batches):
             ids = [s.encode(t or "") for t in b.column(0).to_pylist()]
             made = [pa.array([x.view(np.int32) for x in ids], pa.list_(pa.int32())), pa.array([s.decode(x) for x in ids], pa.string())]
             yield pa.RecordBatch.from_arrays([b.column(1), *made], names=["row", "ids", "decoded"])
@@ -189,13 +188,12 @@ def encode_texts(docs: DataFrame, model: str, columns: list[str]) -> DataFrame:
 def encode_digests(docs: DataFrame, model: str, id_col: str = "doc_id") -> DataFrame:
     """Per document: id, n_chars, n_pieces, n_bytes (byte pieces), ids_crc32 (of the ids as
     little-endian unsigned 32-bit integers), same (decoding gives back the text)."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         s = segmenter(model)
         is_byte = np.zeros(len(s.pieces), bool)
         is_byte[list(s.of_byte)] = True
-        for b in batches:
+        for b in sliced(batches):
             texts = [t or "" for t in b.column(1).to_pylist()]
             ids = [s.encode(t) for t in texts]
             longs = lambda values: pa.array(values, pa.int64())
@@ -210,7 +208,7 @@ def decode_ids(encoded: DataFrame, model: str, id_col: str = "doc_id") -> DataFr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         s = segmenter(model)
-        for b in batches:
+        for b in sliced(batches):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.decode(np.array(x or [], np.uint32)) for x in b.column(1).to_pylist()], pa.string())], names=["id", "text"])
 
     kind = dict(encoded.dtypes)[id_col]

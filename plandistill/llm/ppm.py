@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import park, small_batches
+from .common import park, sliced
 
 ORDER, LEAF_BITS, WORD_BITS = 3, 21, 20
 #: The end token; words hold no line end.
@@ -72,7 +72,7 @@ def _word_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def out() -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(list(seen.keys()), pa.binary()), pa.array(list(seen.values()), pa.int64())], names=["word", "c"])
 
-    for b in batches:
+    for b in sliced(batches):
         for t in _bytes(b.column(0)):
             seen.update(tokens(t))
         if len(seen) > FLUSH:
@@ -104,7 +104,7 @@ def _gram_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def out() -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int64)), pa.array(counts)], names=["gram", "c"])
 
-    for b in batches:
+    for b in sliced(batches):
         for t in _bytes(b.column(0)):
             if t:
                 waiting.append(t)
@@ -283,7 +283,6 @@ def _lookup(filled: np.ndarray, values: np.ndarray, keys: np.ndarray) -> tuple[n
 
 def train(docs: DataFrame) -> DataFrame:
     """Counts of four-byte numbers over the texts (gram, c), parked."""
-    small_batches(docs.sparkSession)
     return park(docs.select("text").mapInArrow(_gram_counts, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c")), "grams")
 
 
@@ -307,7 +306,7 @@ def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
     shared = spark.sparkContext.broadcast(Trie.lower(column(low, "gram"), column(low, "c")))
 
     def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             got, c = (pa.concat_arrays([b.column(k)]).flatten().to_numpy() for k in (0, 1))
             if not len(got):
                 continue
@@ -335,7 +334,6 @@ def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
 def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row."""
     spark = docs.sparkSession
-    small_batches(spark)
     docs = docs.select("doc_id", F.col("text").cast("string").alias("text"))
     training = docs.where(~held_out(F.col("doc_id"), fold_of))
     counts = park(training.select("text").mapInArrow(_word_counts, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c")), "words")
@@ -350,7 +348,7 @@ def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie, logs = shared.value
         get = logs.get
-        for b in batches:
+        for b in sliced(batches):
             out = {k: [] for k in ("row", "n_tokens", "n_common", "base", "score", "rare", "times", "missed", "missed_times")}
             for text in _bytes(b.column(2)):
                 per: dict = Counter(tokens(text))

@@ -31,7 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import sliced
 
 BLOCK_BYTES = 128 << 10
 #: Documents and bytes of each that the dictionary is trained on, at most.
@@ -196,7 +196,7 @@ def _dictionary_sample(docs: DataFrame, path: str, width: int, end_id: int) -> l
     end = np.array([end_id], f"<u{width}").tobytes()
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in sliced(batches):
             yield pa.RecordBatch.from_pydict({"x": [(x + end)[:SAMPLE_BYTES] for x in chunks(path, width).encode(b.column(0))]})
 
     picked = docs.where(F.col("doc_id").isin(ids)).select("text")
@@ -206,7 +206,6 @@ def _dictionary_sample(docs: DataFrame, path: str, width: int, end_id: int) -> l
 def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int = 2) -> str:
     """Encode whole texts and write the store; returns the dictionary's hash."""
     spark = docs.sparkSession
-    small_batches(spark, 4_000)
     docs = docs.select("doc_id", "text")
     width = id_width(tokenizer)
     dictionary = train_dictionary(_dictionary_sample(docs, tokenizer, width, end_id))
@@ -230,7 +229,7 @@ def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int = 2) ->
             return pa.RecordBatch.from_pydict(row, schema=arrow)
 
         size = 0
-        for b in batches:
+        for b in sliced(batches, 4_000):
             for doc, x in zip(b.column(0).to_pylist(), cache.encode(b.column(1)), strict=True):
                 frames.append(press.compress(x + end))
                 ids.append(doc)
@@ -262,13 +261,12 @@ def _inflate(content: bytes) -> zstd.ZstdDecompressor:
 
 def read_digests(spark: SparkSession, path: str) -> DataFrame:
     """Per document, from the stored frames: doc_id, start, n_tokens, ids_crc32, frame_bytes."""
-    small_batches(spark)
     tag, content, width, _ = _opened(spark, path)
     shared = spark.sparkContext.broadcast(content)
 
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         inflate = _inflate(shared.value)
-        for b in batches:
+        for b in sliced(batches):
             out = {k: [] for k in ("part", "block", "pos", "doc_id", "n_tokens", "ids_crc32", "frame_bytes")}
             for r in b.to_pylist():
                 if r["dictionary"] != tag:
