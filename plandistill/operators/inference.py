@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 import hashlib
+import pickle
 import re
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StringType, StructField, StructType
 
 MAX_INPUT, MAX_OUTPUT = 15_000, 1_500
 SQL_MARK = "### SQL"
@@ -27,9 +31,16 @@ def count_tokens(text: Column) -> Column:
     return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(r"[A-Za-z0-9_]+|[^A-Za-z0-9_\s]")).cast("long")
 
 
-def schema_text(schema: dict[str, list[tuple[str, str]]]) -> str:
-    """Tables with columns and types; no records leave the engine."""
-    return "\n".join(f"{t}({', '.join(f'{c} {k}' for c, k in cols)})" for t, cols in sorted(schema.items()))
+def schema_text(schema: dict[str, list[tuple[str, str]] | DataFrame], sample_rows: int = 0) -> str:
+    """Tables with columns and types, read from a DataFrame's schema where one is given. By
+    default no records leave the engine; ``sample_rows`` adds that many of each DataFrame."""
+    out = []
+    for t, cols in sorted(schema.items()):
+        pairs = cols.dtypes if isinstance(cols, DataFrame) else cols
+        out.append(f"{t}({', '.join(f'{c} {k}' for c, k in pairs)})")
+        if sample_rows and isinstance(cols, DataFrame):
+            out += [f"  {tuple(r)}" for r in cols.limit(sample_rows).collect()]
+    return "\n".join(out)
 
 
 def build_prompt(questions: DataFrame, style: str, schemas: dict[str, str], shots: list[str] = ()) -> DataFrame:
@@ -58,7 +69,7 @@ def extract_sql(raw: Column) -> Column:
     """SQL after the mark, else in the last fence, else the last statement; null if none is there."""
     after = F.regexp_extract(raw, rf"(?s)^.*{SQL_MARK}\s*(?:```sql|```)?\s*(.*?)(?:```|\s*)$", 1)
     fence = F.regexp_extract(raw, r"(?s)^.*```(?:sql)?\s*(.*?)```", 1)
-    statement = F.regexp_extract(raw, r"(?is)((?:\bselect\b|\bwith\b\s+\w+\s+as\b|\bselct\b).*)$", 1)
+    statement = F.regexp_extract(raw, r"(?is)((?:\b(?:select|sel[a-z]{0,2}ct|slect|seelct|selec)\b|\bwith\b\s+\w+\s+as\b).*)$", 1)
     pick = F.coalesce(*[F.nullif(F.btrim(c, F.lit(" \t\r\n")), F.lit("")) for c in (after, fence, statement)])
     return F.when(F.rlike(pick, F.lit(r"(?i)^\W*(select|with|sel\w*)\b")), pick)
 
@@ -69,6 +80,28 @@ def assemble(samples: DataFrame, signal: str) -> DataFrame:
     return samples.withColumn("completion", F.concat_ws(f"\n{SQL_MARK}\n", body, "gold_sql") if signal != "none" else F.concat(F.lit(f"{SQL_MARK}\n"), "gold_sql")).withColumn("n_completion", count_tokens(F.col("completion")))
 
 
+def _columns(q: str) -> int:
+    """Columns of the outermost select list: its commas outside brackets, and one."""
+    depth, n, inside = 0, 1, False
+    for w in re.findall(r"'(?:[^']|'')*'|\w+|[^\s\w]", q.lower()):
+        depth += (w == "(") - (w == ")")
+        if depth == 0 and w == "select":
+            inside = True
+        elif depth == 0 and inside and w == "from":
+            break
+        n += depth == 0 and inside and w == ","
+    return n
+
+
+CHANGE = "concat(c1, '!') as c1"
+
+
+def _changed(q: str) -> str:
+    """The same shape with other values in the first column."""
+    names = [f"c{i}" for i in range(1, _columns(q) + 1)]
+    return f"select {', '.join([CHANGE, *names[1:]])} from ({q}) t({', '.join(names)})"
+
+
 CORRUPTIONS: dict[str, Callable[[str], str]] = {
     "success": lambda q: q,
     "no output": lambda q: "I cannot answer this",
@@ -79,6 +112,8 @@ CORRUPTIONS: dict[str, Callable[[str], str]] = {
     "other": lambda q: re.sub(r"(?i)\bselect\b", "select nosuchfn(1),", q, count=1),
     "column mismatch": lambda q: f"select t.*, 1 as extra from ({q}) t",
     "row mismatch": lambda q: f"select * from ({q}) t union all select * from ({q}) u",
+    "row & column mismatch": lambda q: f"select t.*, 1 as extra from (select * from ({q}) a union all select * from ({q}) b) t",
+    "value mismatch": _changed,
     "empty output": lambda q: f"select * from ({q}) t where 1 = 0",
 }
 
@@ -100,6 +135,66 @@ class NoisyCompleter:
         made = CORRUPTIONS[leaf](gold_sql)
         return (made if leaf == "no output" else f"{trace}\n{SQL_MARK}\n{made}"), leaf
 
+    def answer(self, row: dict) -> tuple[str, str]:
+        return self(row["sample_id"], row["gold_sql"], row.get("plan") or "")[0], "end"
+
+
+class EndpointCompleter:
+    """Asks a function of the prompt's text, such as a client of a served model. A call that
+    raises is made again, so it has to be idempotent; after ``tries`` the task fails."""
+
+    def __init__(self, ask: Callable[[str], str], tries: int = 3):
+        self.ask, self.tries = ask, tries
+
+    def answer(self, row: dict) -> tuple[str, str]:
+        for k in range(self.tries):
+            try:
+                return self.ask(row["prompt"]), "end"
+            except Exception:
+                if k + 1 == self.tries:
+                    raise
+        raise ValueError("tries has to be positive")
+
+
+class ReplayCompleter:
+    """Outputs recorded before (sample_id, raw); a sample without one has an empty output."""
+
+    def __init__(self, recorded: DataFrame):
+        self.recorded = recorded
+
+
+_CUT = re.compile(r"[A-Za-z0-9_]+|[^A-Za-z0-9_\s]")
+
+
+def infer(questions: DataFrame, completer, max_in: int = MAX_INPUT, max_out: int = MAX_OUTPUT) -> DataFrame:
+    """``questions`` (with prompt) with raw, finish_reason and n_tokens: one output each, no votes,
+    no repair. Prompts over ``max_in`` tokens aren't asked; outputs end at ``max_out``.
+
+    One pass over the rows without a shuffle; the completer is broadcast once. Null prompts are
+    empty prompts."""
+    if isinstance(completer, ReplayCompleter):
+        out = replay(questions, completer.recorded).withColumn("finish_reason", F.when(F.col("raw") == "", "missing").otherwise("end"))
+        return out.withColumn("n_tokens", count_tokens(F.col("raw")))
+    shared = questions.sparkSession.sparkContext.broadcast(cloudpickle.dumps(completer))
+    names = questions.columns
+    schema = StructType([*questions.schema.fields, StructField("raw", StringType()), StructField("finish_reason", StringType()), StructField("n_tokens", LongType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ask = pickle.loads(shared.value).answer
+        for b in batches:
+            raw, reasons, sizes = [], [], []
+            for row in b.to_pylist():
+                text, why = ("", "prompt too long") if len(_CUT.findall(row["prompt"] or "")) > max_in else ask(row)
+                marks = list(_CUT.finditer(text or ""))
+                if len(marks) > max_out:
+                    text, why, marks = text[: marks[max_out - 1].end()], "length", marks[:max_out]
+                raw.append(text)
+                reasons.append(why)
+                sizes.append(len(marks))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(raw, pa.string()), pa.array(reasons, pa.string()), pa.array(sizes, pa.int64())], names=[*names, "raw", "finish_reason", "n_tokens"])
+
+    return questions.mapInArrow(run, schema)
+
 
 def replay(samples: DataFrame, recorded: DataFrame) -> DataFrame:
     """Completions recorded before, joined to their samples; a missing one is an empty output."""

@@ -63,6 +63,15 @@ def compare_runs(df: DataFrame, a: str, b: str) -> DataFrame:
     return both.select((100 * F.col("ex_a")).alias("ex_a"), (100 * F.col("ex_b")).alias("ex_b"), (100 * (F.col("ex_a") - F.col("ex_b"))).alias("points"), (100 * F.col("ex_a") / F.col("ex_b")).alias("coverage"), (F.col("tok_a") / F.col("tok_b")).alias("token_ratio"))
 
 
+def trilemma(outcomes: DataFrame, students: DataFrame, by: str = "run") -> DataFrame:
+    """Per run: EX, mean output tokens (what inference costs), trainable and total parameters, and
+    whether questions leave the premises. ``students`` has run, trainable, total, leaves (a
+    row for each run at most); runs without a row are served from outside."""
+    told = ex(outcomes, [by]).join(token_stats(outcomes, by).select(by, F.col("mean").alias("tokens")), by)
+    joined = told.join(F.broadcast(students.select(by, "trainable", "total", "leaves")), by, "left")
+    return joined.select(by, "n", "ok", "ex", "tokens", "trainable", "total", F.coalesce("leaves", F.lit(True)).alias("leaves"))
+
+
 def hallucination(df: DataFrame, by: str = "run") -> DataFrame:
     return df.groupBy(by).agg(_share(F.count_if(F.col("leaf").isin("no such column", "no such table")), F.count("*")).alias("pct"))
 

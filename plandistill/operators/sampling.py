@@ -19,11 +19,12 @@ def seeded(seed: int, key: Column | str) -> Column:
 def split_pools(df: DataFrame, db: str = "db_id", ood: float = 0.25, seed: int = 42) -> DataFrame:
     """``df`` with pool: the last quarter of the distinct database ids in hash order is OOD.
 
-    The global window runs over one row for each database."""
-    dbs = df.select(db).distinct()
+    The global window runs over one row for each database. Rows without a database go to the
+    in-domain pool: no out-of-domain claim can rest on them."""
+    dbs = df.select(db).where(F.col(db).isNotNull()).distinct()
     ranked = dbs.select(db, F.row_number().over(Window.orderBy(seeded(seed, db), db)).alias("r"), F.count("*").over(Window.partitionBy(F.lit(1))).alias("n"))
     pools = ranked.select(db, F.when(F.col("r") > F.col("n") - F.round(F.col("n") * ood), "OOD").otherwise("ID").alias("pool"))
-    return df.join(pools, db)
+    return df.join(pools, db, "left").withColumn("pool", F.coalesce("pool", F.lit("ID")))
 
 
 def component_pools(databases: dict[str, tuple[str, ...]], ood: float = 0.25, seed: int = 42) -> dict[str, str]:
@@ -43,6 +44,27 @@ def component_pools(databases: dict[str, tuple[str, ...]], ood: float = 0.25, se
     return {d: "OOD" if d in out else "ID" for d in databases}
 
 
+def admit(completions: DataFrame, outcomes: DataFrame, key: str = "sample_id") -> DataFrame:
+    """Completions with success: the SQL ran and gave the gold result (level SUCC of its
+    outcome row). Without an outcome a completion isn't admitted."""
+    level = outcomes.select(key, F.col("level").alias("_level"))
+    return completions.join(level, key, "left").withColumn("success", F.coalesce(F.col("_level") == "SUCC", F.lit(False))).drop("_level")
+
+
+def pair_signals(plan: DataFrame, prose: DataFrame, paired: bool = True, key: str = "sample_id") -> tuple[DataFrame, DataFrame]:
+    """The two distillation sets of the comparison, which differ in the form of the trace only.
+    ``paired`` keeps samples that both have; else each keeps its own."""
+    if not paired:
+        return plan, prose
+    both = plan.select(key).intersect(prose.select(key))
+    return plan.join(both, key, "left_semi"), prose.join(both, key, "left_semi")
+
+
+def gold_set(bank: DataFrame, pool: str = "ID") -> DataFrame:
+    """All human pairs of the pool, without a gate: question and gold SQL, part train."""
+    return bank.where(F.col("pool") == pool).withColumn("part", F.lit("train"))
+
+
 def sample_quota(df: DataFrame, quotas: dict[tuple[str, str], int], key: str = "sample_id", seed: int = 42) -> DataFrame:
     """Per (pool, stratum) the successes that come first in hash order, up to the quota, with rank.
 
@@ -90,13 +112,17 @@ def generate_until(candidates: DataFrame, complete: Callable[[DataFrame], DataFr
         ranges = spark.createDataFrame([(*g, a, b) for g, (a, b) in ask.items()], "pool string, stratum string, lo int, hi int")
         rows = ranked.join(F.broadcast(ranges), ["pool", "stratum"]).where((F.col("order") > F.col("lo")) & (F.col("order") <= F.col("hi"))).drop("lo", "hi")
         done = complete(rows)
-        got = done if got is None else got.unionByName(done)
-        got = got.persist()
+        both = (done if got is None else got.unionByName(done)).persist()
+        both.count()
+        if got is not None:
+            got.unpersist()
+        got = both
         for g, (_, b) in ask.items():
             upto[g] = b
         for r in got.where("success").groupBy("pool", "stratum").agg(F.count("*").alias("n")).collect():
             if (r.pool, r.stratum) in full:
                 full[r.pool, r.stratum] = r.n
+    ranked.unpersist()
     return sample_quota(got if got is not None else candidates.withColumn("success", F.lit(False)), quotas, key, seed)
 
 

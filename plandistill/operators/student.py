@@ -7,6 +7,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -32,10 +33,18 @@ def count_nll(pairs: DataFrame, train: DataFrame, by: list[str], k: float = 1.0)
 
 # --- quantised base and adapter ----------------------------------------------------------------
 
-#: Sixteen levels: quantiles of a normal distribution on each side, scaled to [-1, 1].
-CODE = np.array(sorted({0.0, *[s * x / 1.0 for s in (-1, 1) for x in np.linspace(1 / 8, 1, 8)]}))[:17]
-CODE = np.delete(CODE, 0) if len(CODE) == 17 else CODE
-CODE[0] = -1.0
+def normal_levels() -> np.ndarray:
+    """Sixteen levels in [-1, 1] at even quantiles of a normal distribution: seven below zero,
+    zero itself, eight above, both ends included."""
+    from statistics import NormalDist
+
+    ends = 1 - 0.5 * (1 / 30 + 1 / 32)  # the outermost quantile; beyond it lies half a step of either side
+    above = [NormalDist().inv_cdf(q) for q in np.linspace(0.5, ends, 9)[1:]]
+    below = [NormalDist().inv_cdf(q) for q in np.linspace(0.5, ends, 8)[1:]]
+    return np.array(sorted([-x / below[-1] for x in below] + [0.0] + [x / above[-1] for x in above]))
+
+
+CODE = normal_levels()
 
 
 def quantize4(w: np.ndarray, block: int = 64) -> tuple[np.ndarray, np.ndarray, tuple[int, ...]]:
@@ -125,7 +134,7 @@ def grad_step(df: DataFrame, model: Adapter, x: str = "x", y: str = "y") -> tupl
             if len(f):
                 one = m.loss_grad(np.stack(f[x].to_numpy()).astype(float), f[y].to_numpy().astype(int))
                 loss, n, ga, gb = loss + one[0], n + len(f), ga + one[1], gb + one[2]
-        yield pd.DataFrame({"k": [n % 16], "loss": [loss], "n": [n], "a": [ga.tobytes()], "b": [gb.tobytes()]})
+        yield pd.DataFrame({"k": [TaskContext.get().partitionId() % 16], "loss": [loss], "n": [n], "a": [ga.tobytes()], "b": [gb.tobytes()]})
 
     def total(f: pd.DataFrame) -> pd.DataFrame:
         add = lambda c: sum(np.frombuffer(v) for v in f[c]).tobytes()
@@ -137,13 +146,37 @@ def grad_step(df: DataFrame, model: Adapter, x: str = "x", y: str = "y") -> tupl
     return sum(r.loss for r in rows), sum(r.n for r in rows), ga, gb
 
 
+@dataclass
+class EarlyStop:
+    """The rule of ``metrics.early_stop``, one evaluation at a time: a loss counts as better if it
+    is under the least of all earlier ones by more than ``tol``."""
+
+    patience: int = 8
+    tol: float = 1e-3
+    least: float = math.inf
+    wait: int = 0
+
+    def better(self, loss: float) -> bool:
+        gained = not math.isnan(loss) and loss < self.least - self.tol
+        if not math.isnan(loss):
+            self.least = min(self.least, loss)
+        self.wait = 0 if gained else self.wait + 1
+        return gained
+
+    @property
+    def done(self) -> bool:
+        return self.wait >= self.patience
+
+
 def train(df: DataFrame, valid: DataFrame, model: Adapter, key: str, size: int = 6, epochs: int = 2, lr: float = 1e-4, patience: int = 8, tol: float = 1e-3, every: int = 1) -> list[dict]:
     """Trains the adapter; the curve has an entry for each evaluation on ``valid`` (ID and OOD
     pooled); the best state is put back at the end."""
-    opt, curve, best, wait, step = AdamW(lr), [], (math.inf, None), 0, 0
+    opt, curve, best, rule, step = AdamW(lr), [], None, EarlyStop(patience, tol), 0
     for epoch in range(epochs):
+        # one pass deals the epoch's batches to partitions, so a step reads its batch, not the set
         shuffled = batches(df, size, epoch, key).persist()
-        for b in range(math.ceil(shuffled.count() / size)):
+        n_rows = shuffled.count()
+        for b in range(math.ceil(n_rows / size)):
             loss, n, ga, gb = grad_step(shuffled.where(F.col("batch") == b), model)
             step += 1
             opt.t = step
@@ -152,17 +185,16 @@ def train(df: DataFrame, valid: DataFrame, model: Adapter, key: str, size: int =
                 continue
             v_loss, v_n, _, _ = grad_step(valid, model)
             v = v_loss / max(v_n, 1)
-            curve.append({"step": step, "epoch": epoch + (b + 1) * size / max(1, shuffled.count()), "train": loss / max(n, 1), "loss": v})
-            wait = 0 if v < best[0] - tol else wait + 1
-            if v < best[0] - tol:
-                best = (v, (model.a.copy(), model.b.copy()))
-            if wait >= patience:
+            curve.append({"step": step, "epoch": epoch + min(1.0, (b + 1) * size / max(1, n_rows)), "train": loss / max(n, 1), "loss": v})
+            if rule.better(v):
+                best = model.a.copy(), model.b.copy()
+            if rule.done:
                 break
         shuffled.unpersist()
-        if wait >= patience:
+        if rule.done:
             break
-    if best[1] is not None:
-        model.a, model.b = best[1]
+    if best is not None:
+        model.a, model.b = best
     return curve
 
 

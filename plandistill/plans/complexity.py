@@ -1,46 +1,88 @@
-"""Structure of a query: complexity class and constructs, from the text alone (executor side)
-and from Catalyst's parsed plan (exact, on the driver)."""
+"""Structure of a query: complexity class and constructs, from a lexer that runs on executors and,
+exactly, from Catalyst's parsed plan on the driver."""
 
 from __future__ import annotations
 
 import re
 
+import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, StringType
 
 CLASSES = ("single", "sub", "joinset", "joinset_sub")
-#: Constructs and the pattern, over text whose strings and comments are blanked, that shows each.
-CONSTRUCTS = {
-    "join": r"(?is)\bjoin\b",
-    "group_by": r"(?is)\bgroup\s+by\b",
-    "order_by": r"(?is)\border\s+by\b(?![^()]*\)\s*as\s+rk)",
-    "set_op": r"(?is)\b(?:union|intersect|except)\b",
-    "subquery": r"(?is)\(\s*(?:select|with)\b|^\s*with\b",
-    "aggregate": r"(?is)\b(?:count|sum|avg|min|max)\s*\(",
-    "having": r"(?is)\bhaving\b",
-    "distinct": r"(?is)\bdistinct\b",
-    "limit": r"(?is)\blimit\b",
-    "case": r"(?is)\bcase\b",
-    "window": r"(?is)\bover\s*\(",
-    "cte": r"(?is)^\s*with\b",
-}
-
-
-def blanked(sql: Column) -> Column:
-    return F.regexp_replace(sql, r"(?s)'(?:[^']|'')*'|--[^\n]*|/\*.*?\*/", "''")
+CONSTRUCTS = ("join", "group_by", "order_by", "set_op", "subquery", "aggregate", "having", "distinct", "limit", "case", "window", "cte")
+AGGREGATES = frozenset(("count", "sum", "avg", "min", "max"))
+#: Words that end a from clause at their depth.
+_ENDS_FROM = frozenset(("where", "group", "having", "order", "limit", "union", "intersect", "except", "window", "select", "offset"))
+_TOKEN = re.compile(r"'(?:[^']|'')*'|--[^\n]*|/\*.*?\*/|`[^`]*`|\"[^\"]*\"|\w+|[^\s\w]", re.S)
+
+
+def structure(sql: str) -> list[str]:
+    """The constructs of a query, in the order of ``CONSTRUCTS``: one pass over its words with a
+    stack of brackets. Strings, comments and quoted names are no words; a comma in a from
+    clause joins; an order inside a window isn't the query's."""
+    words = [t.lower() if re.match(r"\w", t) else t for t in _TOKEN.findall(sql) if not t.startswith(("--", "/*"))]
+    found: set[str] = set()
+    stack = [{"window": False, "from": False}]
+    for i, w in enumerate(words):
+        before, after = words[i - 1] if i else "", words[i + 1] if i + 1 < len(words) else ""
+        here = stack[-1]
+        if w == "(":
+            if after in ("select", "with"):
+                found.add("subquery")
+            named = before == "as" and i > 2 and words[i - 3] in ("window", ",") and "window" in words[:i] and after in ("partition", "order", "rows", "range", ")")
+            stack.append({"window": before == "over" or named, "from": False})
+        elif w == ")":
+            if len(stack) > 1:
+                stack.pop()
+        elif w == "from" and not (before == "distinct" and words[i - 2] in ("is", "not")):
+            here["from"] = True
+        elif w == "," and here["from"] or w == "join":
+            found.add("join")
+        elif w in ("union", "intersect", "except"):
+            found.add("set_op")
+        elif w == "with" and (i == 0 or before == "("):
+            found |= {"cte", "subquery"}
+        elif w == "by" and before == "group":
+            found.add("group_by")
+        elif w == "by" and before == "order" and not here["window"]:
+            found.add("order_by")
+        elif w == "distinct" and after != "from":
+            found.add("distinct")
+        elif w in ("having", "limit", "case"):
+            found.add(w)
+        elif w == "over" and before == ")":
+            found.add("window")
+        elif w in AGGREGATES and after == "(":
+            found.add("aggregate")
+        if w in _ENDS_FROM:
+            here["from"] = False
+    return [c for c in CONSTRUCTS if c in found]
+
+
+def _class(found: list[str]) -> str:
+    return CLASSES[("subquery" in found) + 2 * ("join" in found or "set_op" in found)]
+
+
+@F.pandas_udf(ArrayType(StringType()))
+def _constructs(sql: pd.Series) -> pd.Series:
+    return sql.map(structure, na_action="ignore")
+
+
+@F.pandas_udf(StringType())
+def _complexity(sql: pd.Series) -> pd.Series:
+    return sql.map(lambda x: _class(structure(x)), na_action="ignore")
 
 
 def complexity(sql: Column) -> Column:
     """single, sub, joinset or joinset_sub; null text gives null."""
-    x = blanked(sql)
-    linked = F.rlike(x, F.lit(CONSTRUCTS["join"])) | F.rlike(x, F.lit(CONSTRUCTS["set_op"]))
-    nested = F.rlike(x, F.lit(CONSTRUCTS["subquery"]))
-    return F.when(linked & nested, "joinset_sub").when(linked, "joinset").when(nested, "sub").when(x.isNotNull(), "single")
+    return _complexity(sql)
 
 
 def constructs(sql: Column) -> Column:
-    x = blanked(sql)
-    return F.filter(F.array(*[F.when(F.rlike(x, F.lit(p)), F.lit(k)) for k, p in CONSTRUCTS.items()]), lambda c: c.isNotNull())
+    """The constructs of a query; null text gives null."""
+    return _constructs(sql)
 
 
 def exact_complexity(spark: SparkSession, sql: str) -> str:

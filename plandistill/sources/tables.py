@@ -60,38 +60,56 @@ def load_bank(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(rows, BANK_SCHEMA)
 
 
-def expand_bank(rows: list[dict[str, str]], values: dict[str, list[str]], n: int, seed: int = 42) -> list[dict[str, str]]:
-    """Variants of bank rows: a quoted literal that is a known value of its column's domain is
-    put in turn as each other value, in md5 order; up to ``n`` rows in all."""
-    out = []
-    for r in rows:
-        out.append(r | {"sample_id": f"{r['sample_id']}_0"})
-        for domain in values.values():
-            for old in domain:
-                if f"'{old}'" in r["gold_sql"]:
-                    others = sorted((v for v in domain if v != old), key=lambda v: hashlib.md5(f"{seed}|{r['sample_id']}|{v}".encode()).hexdigest())
-                    out += [r | {"sample_id": f"{r['sample_id']}_{k}", "gold_sql": r["gold_sql"].replace(f"'{old}'", f"'{v}'"), "question": r["question"].replace(old, v)} for k, v in enumerate(others, 1)]
-                    break
-    numbers = [r for r in rows if re.search(r"\b\d{2,}\b", r["gold_sql"])]
-    step = 1
-    while len(out) < n and numbers:  # thresholds move in steps where names give too few
-        for r in numbers:
-            sql = re.sub(r"(?<=[<>=] )\d{2,}\b", lambda m: str(int(m.group()) + step), r["gold_sql"], count=1)  # noqa: B023
-            if sql != r["gold_sql"]:
-                out.append(r | {"sample_id": f"{r['sample_id']}_n{step}", "gold_sql": sql})
-        step += 1
-    return out[:n] if n else out
+#: Ways to begin a question; they change its words and not its meaning.
+LEADS = ("", "Please answer: ", "For the report: ", "We want to know: ", "Quick question. ", "From the database: ", "Tell me. ", "One more: ")
+
+
+def expand_bank(rows: list[dict[str, str]], values: dict[str, list[str]], n: int, seed: int = 42, unlike: set[str] = frozenset()) -> list[dict[str, str]]:
+    """Up to ``n`` variants of bank rows, dealt over the rows in turn and in md5 order of the seed.
+
+    Slots are names that a column holds and numbers of two digits or more, where question and
+    SQL both have them; a variant puts other names, moved numbers and another beginning, the
+    same in question and SQL. Questions in ``unlike`` are left out, so banks stay apart."""
+    known = {v: domain for domain in values.values() for v in domain}
+    order = lambda *key: hashlib.md5("|".join(map(str, (seed, *key))).encode()).hexdigest()
+
+    def variants(r: dict[str, str]) -> list[dict[str, str]]:
+        names = [v for v in re.findall(r"'([^']*)'", r["gold_sql"]) if v in known and re.search(rf"\b{re.escape(v)}\b", r["question"])][:1]
+        numbers = [x for x in re.findall(r"\b\d{2,}\b", r["gold_sql"]) if re.search(rf"\b{x}\b", r["question"])][:1]
+        out = []
+        for name in known[names[0]] if names else [None]:
+            for move in (0, 1, 2, 3, 5, 8, 13, 21) if numbers else (0,):
+                sql, asked = r["gold_sql"], r["question"]
+                if names:
+                    sql, asked = sql.replace(f"'{names[0]}'", f"'{name}'"), re.sub(rf"\b{re.escape(names[0])}\b", name, asked)
+                if numbers:
+                    other = str(int(numbers[0]) + move)
+                    sql, asked = (re.sub(rf"\b{numbers[0]}\b", other, x) for x in (sql, asked))
+                out += [r | {"gold_sql": sql, "question": lead + asked} for lead in LEADS]
+        out = [v for v in out if v["question"] not in unlike]
+        return sorted(out, key=lambda v: order(r["sample_id"], v["question"]))
+
+    dealt, made = [variants(r) for r in rows], []
+    for k in range(max(map(len, dealt), default=0)):
+        made += [v[k] | {"sample_id": f"{v[k]['sample_id']}_{k}"} for v in dealt if k < len(v)]
+    return made[:n] if n else made
 
 
 def domains(spark: SparkSession, sf_dir: str) -> dict[str, list[str]]:
-    """Distinct values of the small name columns, for slots."""
+    """All distinct values of the name columns, for slots: a handful each by their meaning, and
+    the same on every run."""
     columns = {"customer": "c_mktsegment", "region": "r_name", "part": "p_type", "orders": "o_orderstatus", "events": "event_type"}
-    return {c: sorted(r[0] for r in read_table(spark, sf_dir, t, [c]).distinct().limit(200).collect()) for t, c in columns.items()}
+    return {c: sorted(r[0] for r in read_table(spark, sf_dir, t, [c]).where(F.col(c).isNotNull()).distinct().collect()) for t, c in columns.items()}
 
 
 def sink_path(spark: SparkSession, label: str) -> str:
-    """A new path in the folder all executors share; a local one only where none is configured."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or f"file://{tempfile.gettempdir()}"
+    """A new path in the folder all executors share; a local one only where none is configured and
+    the master is local."""
+    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not shared:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        shared = f"file://{tempfile.gettempdir()}"
     return f"{shared.rstrip('/')}/{label}-{uuid.uuid4().hex[:12]}"
 
 

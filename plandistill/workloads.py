@@ -11,9 +11,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .operators import execution, inference, metrics, sampling, student
-from .plans import complexity
-from .sources.tables import bank_rows, load_bank, read_table, run_text, sink_path, write_by_run, write_json_bank
+from .operators import execution, experiment, inference, metrics, relational, sampling, student
+from .plans import complexity, ir
+from .sources.tables import DATABASES, TABLES, bank_rows, load_bank, read_table, run_text, sink_path, write_by_run, write_json_bank
 from .streaming import monitor
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -27,9 +27,9 @@ SQL = {
     "filter_like": "select page_id from pages where url like 'https://%' and url not like '%page=%'",
     "filter_null": "select n_name from nation left join supplier on s_nationkey = n_nationkey and s_acctbal > 9000 where s_suppkey is null",
     "project_case": "select p_partkey, case when p_size < 15 then 'small' when p_size < 35 then 'medium' else 'large' end as band from part",
-    "join_inner_hash": "select o_orderkey, c_name from orders join customer on o_custkey = c_custkey",
-    "join_broadcast": "select c_custkey, n_name from customer join nation on c_nationkey = n_nationkey",
-    "join_sort_merge": "select o_orderstatus, count(*) as n from orders join lineitem on l_orderkey = o_orderkey group by o_orderstatus",
+    "join_inner_hash": "select /*+ shuffle_hash(customer) */ o_orderkey, c_name from orders join customer on o_custkey = c_custkey",
+    "join_broadcast": "select /*+ broadcast(nation) */ c_custkey, n_name from customer join nation on c_nationkey = n_nationkey",
+    "join_sort_merge": "select /*+ merge(orders, lineitem) */ o_orderstatus, count(*) as n from orders join lineitem on l_orderkey = o_orderkey group by o_orderstatus",
     "join_left": "select n_name, count(s_suppkey) as n from nation left join supplier on s_nationkey = n_nationkey and s_acctbal > 5000 group by n_name",
     "join_right": "select n_name, count(s_suppkey) as n from supplier right join nation on s_nationkey = n_nationkey group by n_name",
     "join_full": "select coalesce(a.k, b.k) as k, a.n as suppliers, b.n as customers from (select s_nationkey as k, count(*) as n from supplier where s_acctbal > 5000 group by s_nationkey) a full join (select c_nationkey as k, count(*) as n from customer where c_acctbal > 9000 group by c_nationkey) b on a.k = b.k",
@@ -75,6 +75,12 @@ SQL = {
     "fn_math": "select p_partkey, abs(p_size - 25) as d, greatest(p_size, 25) as g, floor(sqrt(p_size)) * 1.0 as f from part where p_size is not null",
     "fn_cond_null": "select n_name, coalesce(nullif(n_regionkey, 0), -1) as k from nation",
     "fn_hash": "select doc_id, md5(concat('42|', cast(doc_id as varchar(20)))) as h from documents",
+    "agg_percentile": "select p_brand, round(percentile_cont(0.5) within group (order by p_retailprice), 6) as middle, round(percentile_cont(0.9) within group (order by p_retailprice), 6) as high from part group by p_brand",
+    "win_share": "select o_orderkey, round(percent_rank() over w, 9) as pr, round(cume_dist() over w, 9) as cd from orders window w as (partition by o_custkey order by o_totalprice, o_orderkey)",
+    "win_range_frame": "select event_id, count(*) over (partition by user_id order by ts range between interval '1' hour preceding and current row) as recent from events",
+    "sub_exists": "select s_suppkey from supplier where exists (select 1 from lineitem where l_suppkey = s_suppkey and l_quantity > 49)",
+    "sub_not_exists": "select s_suppkey from supplier where not exists (select 1 from lineitem where l_suppkey = s_suppkey and l_discount > 0.09 and l_quantity > 48)",
+    "sub_nested": "select n_name from nation where n_nationkey in (select c_nationkey from customer where c_custkey in (select o_custkey from orders where o_totalprice > (select 1.9 * avg(o_totalprice) from orders)))",
     "w2_difficulty": "select case when o_totalprice < 150000 then 'simple' when o_totalprice < 400000 then 'moderate' else 'challenging' end as difficulty, o_orderstatus as run, count(*) as n from orders group by 1, 2",
 }
 
@@ -170,6 +176,322 @@ def w14_shots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return inference.select_shots(e.where("id % 50 = 0"), e, 3).select("id", "rank", "shot")
 
 
+def join_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The last view at or before each purchase of the same user."""
+    e = read_table(spark, sf_dir, "events", ["event_id", "ts", "user_id", "event_type"])
+    seen = e.where("event_type = 'view'").select("user_id", "ts", F.col("ts").alias("seen"))
+    return relational.asof_join(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), seen, "user_id", "ts", "seen", "last_view").select("event_id", F.date_format("last_view", "yyyy-MM-dd HH:mm:ss").alias("last_view"))
+
+
+def agg_approx_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = read_table(spark, sf_dir, "events", ["event_type", "user_id"])
+    return e.groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"))
+
+
+def agg_collect(spark: SparkSession, sf_dir: str) -> DataFrame:
+    n = read_table(spark, sf_dir, "nation", ["n_regionkey", "n_name"])
+    return n.groupBy("n_regionkey").agg(F.array_join(F.array_sort(F.collect_list("n_name")), ",").alias("nations"))
+
+
+def pivot_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    o = _orders(spark, sf_dir, "o_orderstatus", "o_orderpriority").withColumn("level", F.expr(_LEVEL))
+    return o.groupBy("o_orderstatus").pivot("level", list(metrics.LEVELS)).count().na.fill(0)
+
+
+def fn_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = read_table(spark, sf_dir, "embeddings", ["vec_id", "embedding"])
+    doubles = F.transform("embedding", lambda x: x.cast("double"))
+    dot = F.aggregate(F.zip_with(doubles, F.reverse(doubles), lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
+    return e.select("vec_id", F.round(relational.norm(F.col("embedding")), 6).alias("norm"), F.round(dot, 6).alias("dot"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"))
+
+
+def fn_map(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = read_table(spark, sf_dir, "conversations", ["conv_id", "role"]).groupBy("conv_id", "role").agg(F.count("*").alias("n"))
+    m = c.groupBy("conv_id").agg(F.map_from_entries(F.collect_list(F.struct("role", "n"))).alias("m"))
+    doubled = F.transform_values("m", lambda k, v: v * 2)
+    return m.select("conv_id", F.array_join(F.array_sort(F.map_keys("m")), ",").alias("roles"), F.coalesce(F.try_element_at(doubled, F.lit("user")), F.lit(0)).alias("users_twice"))
+
+
+def fn_json(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = read_table(spark, sf_dir, "events", ["event_id", "props"])
+    parsed = F.from_json("props", "k long")
+    return e.select("event_id", parsed["k"].alias("k"), F.get_json_object("props", "$.k").cast("long").alias("again"), F.to_json(F.struct((parsed["k"] + 1).alias("k"))).alias("more"))
+
+
+def udf_scalar(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read_table(spark, sf_dir, "conversations", ["conv_id", "turn", "text"]).select("conv_id", "turn", relational.mark_count("text").alias("marks"))
+
+
+def udf_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load_bank(spark).select("sample_id", relational.keyword_count("gold_sql").alias("n"))
+
+
+def _curves(spark: SparkSession, sf_dir: str) -> DataFrame:
+    e = read_table(spark, sf_dir, "events", ["user_id", "ts", "event_id", "value"])
+    step = F.row_number().over(metrics.Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    return e.select(F.col("user_id").alias("run"), step.alias("step"), F.col("value").alias("loss"))
+
+
+def udaf_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _curves(spark, sf_dir).where("step <= 1").groupBy("run").agg(relational.mean_gap("loss").alias("gap"))
+
+
+def map_in_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return relational.longest_word(read_table(spark, sf_dir, "conversations", ["conv_id", "text"]).withColumnRenamed("conv_id", "doc_id"))
+
+
+def apply_in_pandas(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return relational.early_stop_by_loop(_curves(spark, sf_dir))
+
+
+def _tape(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Outcome rows over orders: run by status, level and leaf by priority, difficulty by price."""
+    o = _orders(spark, sf_dir, "o_orderkey", "o_orderstatus", "o_orderpriority", "o_totalprice", "o_custkey")
+    level = F.expr(_LEVEL)
+    leaf = F.when(level == "SYN", F.when(F.col("o_custkey") % 2 == 0, "no such column").otherwise("keyword")).when(level == "SEM", "row mismatch").otherwise(level)
+    return o.select(F.col("o_orderkey").alias("sample_id"), F.col("o_orderstatus").alias("run"), level.alias("level"), leaf.alias("leaf"), (level == "SUCC").alias("ok"), (F.col("o_custkey") % 97).alias("n_tokens"))
+
+
+def e8_compare(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = metrics.compare_runs(_tape(spark, sf_dir), "F", "O")
+    return got.select(*[F.round(c, 6).alias(c) for c in got.columns])
+
+
+def e13_error_delta(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.error_delta(_tape(spark, sf_dir), "F", "O").select("level", "leaf", "pct_a", "pct_b", F.round("delta", 6).alias("delta"))
+
+
+def e16_train_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = _curves(spark, sf_dir).withColumn("seconds", F.col("step") * 30).withColumn("epoch", F.ceil(F.col("step") / 10))
+    got = metrics.train_cost(c.groupBy("run", "loss").agg(F.min("step").alias("step"), F.max("seconds").alias("seconds"), F.max("epoch").alias("epoch")))
+    return got.select("run", "minutes", "epochs", "steps", "best_step")
+
+
+def e17_trilemma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    sizes = spark.createDataFrame([("F", 100, 1000, False), ("O", 50, 1000, False)], "run string, trainable long, total long, leaves boolean")
+    return metrics.trilemma(_tape(spark, sf_dir), sizes)
+
+
+def e18_mcnemar(spark: SparkSession, sf_dir: str) -> DataFrame:
+    o = _orders(spark, sf_dir, "o_orderstatus", "o_orderpriority")
+    got = metrics.mcnemar(o.select((F.col("o_orderstatus") == "F").alias("teacher_ok"), F.col("o_orderpriority").isin("1-URGENT", "2-HIGH").alias("student_ok")))
+    return got.select("gains", "losses", F.round("chi2", 6).alias("chi2"))
+
+
+def e18_bootstrap(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.bootstrap_ci(_tape(spark, sf_dir), draws=100)
+
+
+def e19_hallucination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.hallucination(_tape(spark, sf_dir))
+
+
+def e20_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = metrics.between_bounds(_tape(spark, sf_dir), "F", "O")
+    return got.select("run", "ex", F.round("position", 6).alias("position"))
+
+
+def w1_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three sets on the samples tape, with their mix."""
+    mix = {"single": (20, 5, 5), "sub": (25, 5, 5), "joinset": (15, 5, 5), "joinset_sub": (10, 5, 5)}
+    sets = sampling.build_sets(w1_samples(spark, sf_dir), mix, "doc_id")
+    got = sampling.mix_report(sets)
+    return got.select("part", "stratum", "n", F.round("pct", 6).alias("pct"))
+
+
+def t6_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return student.batches(read_table(spark, sf_dir, "documents", ["doc_id"]), 6, 0, "doc_id").select("doc_id", "batch")
+
+
+#: Queries beside the bank whose structure is easily misread.
+ODD_SQL = {
+    "comma": "select c_name from customer, nation where c_nationkey = n_nationkey",
+    "comma_alias": "select c.c_name, n.n_name from customer as c, nation n, region",
+    "window": "select c_custkey, row_number() over (order by c_acctbal) as r from customer",
+    "window_order": "select c_custkey, rank() over (partition by c_nationkey order by c_acctbal desc) as r from customer order by r",
+    "quoted": "select 'a join b, union (select 1)' as x from region -- join nation",
+    "derived": "select t.n from (select count(*) as n from orders) t, region",
+    "in_list": "select c_custkey from customer where c_nationkey in (1, 2, 3) order by c_custkey limit 3",
+    "functions": "select coalesce(c_name, 'x'), greatest(1, 2, 3) from customer",
+    "extract": "select extract(year from o_orderdate), o_orderkey from orders",
+    "distinct_from": "select o_orderkey from orders where o_orderstatus is distinct from 'F'",
+    "cte": "with a as (select 1 as x), b as (select 2 as x) select * from a",
+    "case": "select case when c_acctbal > 0 then 'a, b' else 'c' end as k, sum(c_acctbal) from customer group by 1 having count(*) > 1",
+    "set": "select distinct n_name from nation except select r_name from region",
+}
+
+
+def _texts(spark: SparkSession) -> DataFrame:
+    rows = [(r["sample_id"], r["gold_sql"]) for r in bank_rows()] + list(ODD_SQL.items())
+    return spark.createDataFrame(rows, "sample_id string, sql string")
+
+
+def s1_structure(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Class and four constructs by the lexer, of the bank and of odd queries."""
+    c = complexity.constructs(F.col("sql"))
+    has = lambda k: F.array_contains("c", k).alias(k)
+    return _texts(spark).withColumn("c", c).select("sample_id", complexity.complexity(F.col("sql")).alias("stratum"), has("join"), has("set_op"), has("order_by"), has("limit"), has("distinct"))
+
+
+def m1_plan_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How many steps of each kind the parsed plan of each bank query has, from its trace read back."""
+    return _step_counts(spark, sf_dir, "parsed")
+
+
+def _step_counts(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
+    bank = bank_rows()
+    steps = experiment.plan_traces(spark, sf_dir, [(r["db_id"], r["gold_sql"]) for r in bank], source=source)
+    texts = spark.createDataFrame([(r["sample_id"], ir.render_plan(steps[r["db_id"], r["gold_sql"]])) for r in bank], "sample_id string, trace string")
+    ops = F.regexp_extract_all("trace", F.lit(r"(?m)^STEP \d+ ([A-Z]+)"), F.lit(1))
+    n = lambda op: F.size(F.filter(ops, lambda x: x == op)).cast("long")
+    return texts.select("sample_id", n("SCAN").alias("scans"), n("JOIN").alias("joins"), n("SETOP").alias("setops"), n("SORT").alias("sorts"), n("LIMIT").alias("limits"))
+
+
+def m6_plan_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Steps of each bank query by the plan that its trace is read from."""
+    out = None
+    for source in ("parsed", "analyzed", "optimized", "physical"):
+        one = _step_counts(spark, sf_dir, source).withColumn("source", F.lit(source))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def m3_lint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What lint and agreement say of each bank query's own trace: nothing is wrong."""
+    schemas = experiment.schema_of(spark, sf_dir)
+    bank = bank_rows()
+    steps = experiment.plan_traces(spark, sf_dir, [(r["db_id"], r["gold_sql"]) for r in bank])
+    rows = []
+    for r in bank:
+        tables = {t: set(c) for t, c in schemas[r["db_id"]].items()}
+        mine = steps[r["db_id"], r["gold_sql"]]
+        rows.append((r["sample_id"], len(ir.lint_plan(ir.parse_plan(ir.render_plan(mine)), tables)), all(ir.agreement(mine, r["gold_sql"], set(tables)).values())))
+    return spark.createDataFrame(rows, "sample_id string, wrong long, agrees boolean")
+
+
+def p1_prompts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Prompts of all styles for the bank, by digest and tokens."""
+    tables = {t: read_table(spark, sf_dir, t) for t in {t for ts in DATABASES.values() for t in ts}}
+    schemas = {d: inference.schema_text({t: tables[t] for t in ts}) for d, ts in DATABASES.items()}
+    out = None
+    for style in sorted(inference._ASK):
+        made = inference.build_prompt(load_bank(spark), style, schemas)
+        one = made.select("sample_id", F.lit(style).alias("style"), F.md5("prompt").alias("digest"), inference.count_tokens(F.col("prompt")).alias("tokens"), "fitted")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def p9_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """SQL found again in completions of every corruption, of all bank rows."""
+    rows = [(f"{r['sample_id']}|{leaf}", f"a trace\n{inference.SQL_MARK}\n{make(r['gold_sql'])}" if leaf != "no output" else make(r["gold_sql"])) for r in bank_rows() for leaf, make in inference.CORRUPTIONS.items()]
+    return spark.createDataFrame(rows, "id string, raw string").select("id", F.md5(inference.extract_sql(F.col("raw"))).alias("digest"))
+
+
+def e2_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shape of every bank result by the safe path: columns, rows, different rows."""
+    bank = bank_rows()
+    ran = execution.run_many(spark, sf_dir, [(r["db_id"], r["gold_sql"]) for r in bank])
+    rows = [(r["sample_id"], d.status, d.n_cols, d.n_rows, int(d.set[2])) for r in bank for d in [ran[r["db_id"], r["gold_sql"]]]]
+    return spark.createDataFrame(rows, "sample_id string, status string, n_cols long, n_rows long, n_distinct long")
+
+
+def e1_refused(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the guard says of texts that must not run."""
+    session = execution.database_session(spark, sf_dir, "order_desk")
+    rows = [(q, *(execution.refusal(session, q, DATABASES["order_desk"]) or ("", ""))) for q in UNSAFE_SQL]
+    return spark.createDataFrame(rows, "sql string, condition string, leaf string")
+
+
+#: Texts that must be refused before they are analysed: commands, files, other databases, writes.
+UNSAFE_SQL = (
+    "select * from (select transform(o_orderkey) using 'cat' as (k string) from orders) t",
+    "select * from parquet.`/tmp/x.parquet`",
+    "select reflect('java.lang.System', 'getProperty', 'user.dir') as x from orders",
+    "select o_orderkey from orders where exists (select java_method('java.lang.Math', 'abs', -1))",
+    "select * from lineitem",
+    "select * from global_temp.orders",
+    "select * from range(10)",
+    "insert into orders select * from orders",
+    "with a as (select * from pages) select * from a",
+    "select input_file_name() from orders",
+    "drop table orders",
+    "set x = 1",
+)
+
+
+def runs_ex(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All eleven runs: accuracy and output tokens."""
+    outcomes, _, _ = experiment.results(spark, sf_dir)
+    return metrics.ex(outcomes, ["run"]).join(metrics.token_stats(outcomes).select("run", "mean", "sd"), "run")
+
+
+def runs_difficulty(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.ex(experiment.results(spark, sf_dir)[0], ["run", "difficulty"])
+
+
+def runs_construct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.ex_by_construct(experiment.results(spark, sf_dir)[0])
+
+
+def runs_sunburst(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.sunburst(experiment.results(spark, sf_dir)[0])
+
+
+def runs_gains(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.gains_losses(metrics.paired(experiment.results(spark, sf_dir)[0].where("run not like '%_HID'"), "TEACH"), ["run"])
+
+
+def runs_transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """From the untuned student's level to that of the plan-tuned one."""
+    o = experiment.results(spark, sf_dir)[0]
+    src, dst = (o.where(F.col("run") == r).select("sample_id", F.col("level").alias(n)) for r, n in (("BASE", "src"), ("PGD", "dst")))
+    return metrics.transitions(src.join(dst, "sample_id"))
+
+
+def runs_trilemma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    outcomes, students, _ = experiment.results(spark, sf_dir)
+    size = {(r.base, r.signal, r.style): (r.trainable, r.total) for r in students.select("base", "signal", "style", "trainable", "total").collect()}
+    rows = [(run, *size[base, signal or "", experiment.trained_style(run, signal, style)], False) for run, (signal, style, base) in inference.RUNS.items() if base in experiment.BASES]
+    return metrics.trilemma(outcomes, spark.createDataFrame(rows, "run string, trainable long, total long, leaves boolean"))
+
+
+def runs_training(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Where each student's training stopped and which evaluation was best."""
+    c = experiment.results(spark, sf_dir)[1].where("signal <> ''").select(F.concat_ws("|", "base", "signal", "style").alias("run"), F.explode("curve").alias("c"))
+    place = F.row_number().over(metrics.Window.partitionBy("run").orderBy("c.step")).cast("int")
+    return metrics.early_stop(c.select("run", place.alias("step"), F.col("c.loss").alias("loss")))
+
+
+def w7_mismatch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The prose student under its own prompt against the plan prompt."""
+    return metrics.compare_runs(experiment.results(spark, sf_dir)[0], "FRD_X", "FRD")
+
+
+def w8_second_base(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.ex(experiment.results(spark, sf_dir)[0].where("run like '%_7'"), ["run", "difficulty"])
+
+
+def w10_hidden(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return metrics.ex(experiment.results(spark, sf_dir)[0].where("run = 'PGD_HID'"), ["run", "difficulty"])
+
+
+def w1_bank_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The distillation sets of the runs: samples by part and class."""
+    return experiment.results(spark, sf_dir)[2].groupBy("part", "stratum").agg(F.count("*").alias("n"))
+
+
+def w13_adapter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Adapter over a frozen four-bit base, 64 numbers to a label, trained data-parallel; the curve."""
+    e = read_table(spark, sf_dir, "embeddings", ["vec_id", "embedding", "label"]).select("vec_id", F.col("embedding").cast("array<double>").alias("x"), F.col("label").alias("y"))
+    rng = student.np.random.default_rng(7)
+    base = student.dequantize4(*student.quantize4(rng.normal(0, 0.1, (10, 64))))
+    model = student.Adapter(base, r=8, alpha=16.0)
+    held = F.col("vec_id") % 10 == 0
+    n = e.where(~held).count()
+    curve = student.train(e.where(~held), e.where(held).persist(), model, "vec_id", size=max(6, n // 8), epochs=2, lr=2e-2)
+    return spark.createDataFrame([(c["step"], float(c["epoch"]), float(c["train"]), float(c["loss"]), model.n_trainable()) for c in curve], "step long, epoch double, train double, loss double, trainable long")
+
+
 def bank_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = load_bank(spark)
     return b.select("sample_id", complexity.complexity(F.col("gold_sql")).alias("stratum"))
@@ -219,7 +541,50 @@ TAPES: dict[str, tuple[Query, str | None]] = {
     "w11_tokens": (w11_tokens, r"with t as (select role, len(regexp_extract_all(coalesce(text, ''), '[A-Za-z0-9_]+|[^A-Za-z0-9_\s]')) as n from conversations) select role, count(*) as n, round(avg(n), 6) as mean, round(stddev_samp(n), 6) as sd from t group by role"),
     "w12_nll": (w12_nll, "with t as (select conv_id, turn, regexp_extract_all(lower(text), '[a-z0-9]+') as w from conversations where role = 'assistant'), p as (select conv_id, unnest(w) as tok, unnest(list_prepend('', w[:-2])) as prev from t where len(w) > 0), tr as (select * from p where conv_id % 5 <> 0), a as (select prev, tok, count(*) as c from tr group by all), b as (select prev, count(*) as cc from tr group by prev), v as (select count(distinct tok) + 1 as v from tr) select p.conv_id, round(sum(-ln((coalesce(c, 0) + 1.0::double) / (coalesce(cc, 0) + 1.0::double * v))), 6) as nll, count(*) as n_tok from p left join a using (prev, tok) left join b using (prev), v group by p.conv_id"),
     "w14_shots": (w14_shots, None),
+    "apply_in_pandas": (apply_in_pandas, None),
     "bank_classes": (bank_classes, None),
+    "join_asof": (join_asof, "with p as (select event_id, user_id, ts from events where event_type = 'purchase'), v as (select user_id, ts from events where event_type = 'view') select event_id, strftime(v.ts, '%Y-%m-%d %H:%M:%S') as last_view from p asof left join v on p.user_id = v.user_id and p.ts >= v.ts"),
+    "agg_approx_distinct": (agg_approx_distinct, None),
+    "agg_collect": (agg_collect, "select n_regionkey, string_agg(n_name, ',' order by n_name) as nations from nation group by n_regionkey"),
+    "pivot_levels": (pivot_levels, f"with t as (select o_orderstatus, {_LEVEL} as level from orders) select o_orderstatus, " + ", ".join(f'count(*) filter (level = \'{x}\') as "{x}"' for x in metrics.LEVELS) + " from t group by o_orderstatus"),
+    "fn_array": (fn_array, "with e as (select vec_id, embedding::double[] as x from embeddings) select vec_id, round(sqrt(list_inner_product(x, x)), 6) as norm, round(list_inner_product(x, list_reverse(x)), 6) as dot, len(list_filter(x, lambda v: v > 0)) as positive from e"),
+    "fn_map": (fn_map, "select conv_id, string_agg(distinct role, ',' order by role) as roles, 2 * count(*) filter (role = 'user') as users_twice from conversations group by conv_id"),
+    "fn_json": (fn_json, "with e as (select event_id, cast(json_extract(props, '$.k') as bigint) as k from events) select event_id, k, k as again, '{\"k\":' || (k + 1) || '}' as more from e"),
+    "udf_scalar": (udf_scalar, "select conv_id, turn, (length(coalesce(text, '')) - length(replace(coalesce(text, ''), '?', '')))::int as marks from conversations"),
+    "udf_pandas": (udf_pandas, None),
+    "udaf_pandas": (udaf_pandas, "select user_id as run, 0.0::double as gap from events group by user_id"),
+    "map_in_pandas": (map_in_pandas, "select conv_id as doc_id, coalesce(list_max(list_transform(string_split_regex(coalesce(text, ''), '\\s+'), lambda x: length(x))), 0) as longest from conversations"),
+    "e8_compare": (e8_compare, f"with t as (select o_orderstatus as run, {_LEVEL} = 'SUCC' as ok, o_custkey % 97 as tok from orders), s as (select avg(ok::int::double) filter (run = 'F') as a, avg(ok::int::double) filter (run = 'O') as b, avg(tok) filter (run = 'F') as ta, avg(tok) filter (run = 'O') as tb from t) select round(100 * a, 6) as ex_a, round(100 * b, 6) as ex_b, round(100 * (a - b), 6) as points, round(100 * a / b, 6) as coverage, round(ta / tb, 6) as token_ratio from s"),
+    "e13_error_delta": (e13_error_delta, "with p as (select run, level, leaf, round(100.0::double * count(*) / sum(count(*)) over (partition by run), 6) as pct from ({TAPE}) group by run, level, leaf), a as (select * from p where run = 'F'), b as (select * from p where run = 'O') select coalesce(a.level, b.level) as level, coalesce(a.leaf, b.leaf) as leaf, coalesce(a.pct, 0) as pct_a, coalesce(b.pct, 0) as pct_b, round(coalesce(b.pct, 0) - coalesce(a.pct, 0), 6) as delta from a full join b on a.level = b.level and a.leaf = b.leaf"),
+    "e16_train_cost": (e16_train_cost, "with c as (select user_id as run, row_number() over (partition by user_id order by ts, event_id) as step, value as loss from events) select run, max(step) * 30 / 60.0::double as minutes, ceil(max(step) / 10)::bigint as epochs, max(step)::int as steps, arg_min(step, (loss, step))::int as best_step from c group by run"),
+    "e17_trilemma": (e17_trilemma, "select run, count(*) as n, count(*) filter (level = 'SUCC') as ok, round(100.0::double * count(*) filter (level = 'SUCC') / count(*), 6) as ex, round(avg(n_tokens), 6) as tokens, case run when 'F' then 100 when 'O' then 50 end::bigint as trainable, case when run <> 'P' then 1000 end::bigint as total, run = 'P' as leaves from ({TAPE}) group by run"),
+    "e18_mcnemar": (e18_mcnemar, "with g as (select count(*) filter (o_orderstatus <> 'F' and o_orderpriority in ('1-URGENT', '2-HIGH')) as gains, count(*) filter (o_orderstatus = 'F' and o_orderpriority not in ('1-URGENT', '2-HIGH')) as losses from orders) select gains, losses, round(power(greatest(abs(gains - losses) - 1, 0), 2) / nullif(gains + losses, 0), 6) as chi2 from g"),
+    "e18_bootstrap": (e18_bootstrap, None),
+    "e19_hallucination": (e19_hallucination, "select run, round(100.0::double * count(*) filter (leaf = 'no such column') / count(*), 6) as pct from ({TAPE}) group by run"),
+    "e20_bounds": (e20_bounds, "with e as (select run, round(100.0::double * count(*) filter (level = 'SUCC') / count(*), 6) as ex from ({TAPE}) group by run), b as (select max(ex) filter (run = 'F') as lo, max(ex) filter (run = 'O') as hi from e) select run, ex, round((ex - lo) / nullif(hi - lo, 0), 6) + 0.0 as position from e, b"),
+    "w1_sets": (w1_sets, None),
+    "t6_batches": (t6_batches, "select doc_id, ((row_number() over (order by md5('42|0|' || doc_id), doc_id) - 1) // 6)::bigint as batch from documents"),
+    "s1_structure": (s1_structure, None),
+    "m1_plan_steps": (m1_plan_steps, None),
+    "m6_plan_sources": (m6_plan_sources, None),
+    "m3_lint": (m3_lint, None),
+    "p1_prompts": (p1_prompts, None),
+    "p9_extract": (p9_extract, None),
+    "e2_digests": (e2_digests, None),
+    "e1_refused": (e1_refused, None),
+    "runs_ex": (runs_ex, None),
+    "runs_difficulty": (runs_difficulty, None),
+    "runs_construct": (runs_construct, None),
+    "runs_sunburst": (runs_sunburst, None),
+    "runs_gains": (runs_gains, None),
+    "runs_transitions": (runs_transitions, None),
+    "runs_trilemma": (runs_trilemma, None),
+    "runs_training": (runs_training, None),
+    "w7_mismatch": (w7_mismatch, None),
+    "w8_second_base": (w8_second_base, None),
+    "w10_hidden": (w10_hidden, None),
+    "w1_bank_sets": (w1_bank_sets, None),
+    "w13_adapter": (w13_adapter, None),
     "stream_windows": (stream_windows, "select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, user_id % 5 as run, count(*) as n, count(*) filter (event_type = 'purchase') as ok from events group by all"),
     "flagship_ex": (flagship, None),
 }
@@ -242,7 +607,50 @@ def oracle_sql() -> dict[str, str]:
         "w1_report": f"{samples}, k as (select pool, stratum, count(*) as tried, count(*) filter (ok) as good from t group by all) select pool, stratum, w::bigint as wanted, least(w, coalesce(good, 0))::bigint as got, coalesce(tried, 0) as tried, good / tried as success_rate from (values {quota}) as q(pool, stratum, w) left join k using (pool, stratum)",
         "w1_leaks": r"""with s as (select source, row_number() over (order by md5('42|' || source), source) as r, count(*) over () as n from (select distinct source from documents)), t as (select doc_id, source, r > n - round(n * 0.25) as ood, md5(lower(trim(regexp_replace(text, '[\x20\x09-\x0D]+', ' ', 'g')))) as said from documents join s using (source)), b as (select said, count(*) filter (ood) as o from t where said is not null group by said having count(*) filter (ood) > 0 and count(*) filter (not ood) > 0) select 'database in both pools' as "check", count(*) as n from (select source from t group by source having count(distinct ood) > 1) union all select 'sample in both pools', count(*) from (select doc_id from t group by doc_id having count(distinct ood) > 1) union all select 'OOD text in ID', coalesce(sum(o), 0)::bigint from b""",
         "src_json_bank": "select * from (values " + ", ".join("(" + ", ".join(f"'{r[c]}'" for c in ("sample_id", "db_id", "stratum", "difficulty")) + ")" for r in bank_rows()) + ") as b(sample_id, db_id, stratum, difficulty)",
-        "bank_classes": "select * from (values " + ", ".join(f"('{r['sample_id']}', '{r['stratum']}')" for r in bank_rows()) + ") as b(sample_id, stratum)",
-        "w14_shots": "with s as (select a.vec_id as id, b.vec_id as shot, list_inner_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_inner_product(a.embedding::double[], a.embedding::double[]) * list_inner_product(b.embedding::double[], b.embedding::double[])) as c from embeddings a join embeddings b on a.vec_id <> b.vec_id where a.vec_id % 50 = 0 and b.vec_id < 1000), r as (select *, row_number() over (partition by id order by c desc, shot) as rank from s) select id, rank::int as rank, shot from r where rank <= 3",
+        "w14_shots": "with s as (select a.vec_id as id, b.vec_id as shot, list_inner_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_inner_product(a.embedding::double[], a.embedding::double[]) * list_inner_product(b.embedding::double[], b.embedding::double[])) as c from embeddings a join embeddings b on a.vec_id <> b.vec_id where a.vec_id % 50 = 0), r as (select *, row_number() over (partition by id order by c desc, shot) as rank from s) select id, rank::int as rank, shot from r where rank <= 3",
     }
-    return SQL | {f"bank_{r['sample_id']}": r["gold_sql"] for r in bank_rows()} | {k: q for k, (_, q) in TAPES.items() if q} | own
+    tape = f"select o_orderstatus as run, {_LEVEL} as level, case {_LEVEL} when 'SYN' then case when o_custkey % 2 = 0 then 'no such column' else 'keyword' end when 'SEM' then 'row mismatch' else {_LEVEL} end as leaf, o_custkey % 97 as n_tokens from orders"
+    own |= {"apply_in_pandas": TAPES["w9_early_stop"][1].replace("e.stop_step, max(s.step)", "e.stop_step::int as stop_step, max(s.step)::int")} | _own_sql(samples)
+    found = SQL | {f"bank_{r['sample_id']}": r["gold_sql"] for r in bank_rows()} | {k: q for k, (_, q) in TAPES.items() if q} | own
+    return {k: q.replace("{TAPE}", tape) for k, q in found.items()}
+
+
+def _values(rows: list[tuple], names: str) -> str:
+    text = lambda v: "'" + v.replace("'", "''") + "'" if isinstance(v, str) else str(v)
+    return "(values " + ", ".join("(" + ", ".join(map(text, r)) + ")" for r in rows) + f") as b({names})"
+
+
+def _own_sql(samples: str) -> dict[str, str]:
+    """SQL whose answers rest on DuckDB's own parser and engine."""
+    bank = bank_rows()
+    texts = [(r["sample_id"], r["gold_sql"]) for r in bank] + list(ODD_SQL.items())
+    tree = "select sample_id, json_serialize_sql(sql)::varchar as j from "
+    has = lambda x: f"contains(j, '{x}')"
+    linked, nested = f"({has('\"type\":\"JOIN\"')} or {has('SET_OPERATION_NODE')})", f"({has('\"type\":\"SUBQUERY\"')} or regexp_matches(j, '\"cte_map\":\\{{\"map\":\\[\\{{'))"
+    stratum = f"case when {linked} and {nested} then 'joinset_sub' when {linked} then 'joinset' when {nested} then 'sub' else 'single' end"
+    count = lambda x: f"(len(string_split(j, '{x}')) - 1)"
+    # references to common table expressions are base tables to the parser; only real names count
+    scans = "(" + " + ".join(count(chr(34) + "table_name" + chr(34) + ":" + chr(34) + t + chr(34)) for t in TABLES) + ")"
+    # functions carry an order of their own arguments, which isn't the query's
+    orders = f"({count('ORDER_MODIFIER')} - {count(chr(34) + 'order_bys' + chr(34) + ':{' + chr(34) + 'type' + chr(34) + ':' + chr(34) + 'ORDER_MODIFIER')})"
+    mix = _values([("single", 20, 5, 5), ("sub", 25, 5, 5), ("joinset", 15, 5, 5), ("joinset_sub", 10, 5, 5)], "stratum, a, b, c")
+    shapes = " union all ".join(f"select '{r['sample_id']}' as sample_id, 'ok' as status, (select count(*) from (describe {r['gold_sql']}))::bigint as n_cols, (select count(*) from ({r['gold_sql']})) as n_rows, (select count(*) from (select distinct * from ({r['gold_sql']}))) as n_distinct" for r in bank)
+    ask = " union all ".join(f"select '{k}' as style, {_quoted(v)} as head" for k, v in inference._ASK.items())
+    kinds = "replace(replace(replace(replace(replace(lower(data_type), 'varchar', 'string'), 'integer', 'int'), 'float[]', 'array<float>'), 'timestamp', 'timestamp_ntz'), '[]', '')"
+    member = _values([(d, t) for d, ts in DATABASES.items() for t in ts], "db_id, t")
+    questions = _values([(r["sample_id"], r["db_id"], r["question"]) for r in bank], "sample_id, db_id, question")
+    made = _values([(f"{r['sample_id']}|{leaf}", "" if leaf == "no output" else make(r["gold_sql"])) for r in bank for leaf, make in inference.CORRUPTIONS.items()], "id, sql")
+    return {
+        "bank_classes": f"with t as ({tree}{_values([(r['sample_id'], r['gold_sql']) for r in bank], 'sample_id, sql')}) select sample_id, {stratum} as stratum from t",
+        "s1_structure": f'with t as ({tree}{_values(texts, "sample_id, sql")}) select sample_id, {stratum} as stratum, {has(chr(34) + "type" + chr(34) + ":" + chr(34) + "JOIN" + chr(34))} as "join", {has("SET_OPERATION_NODE")} as set_op, {orders} > 0 as order_by, {has("LIMIT_MODIFIER")} as "limit", ({has("DISTINCT_MODIFIER")} or regexp_matches(j, \'"distinct":true\')) as "distinct" from t',
+        "m3_lint": f"select sample_id, 0::bigint as wrong, true as agrees from {_values([(r['sample_id'],) for r in bank], 'sample_id')}",
+        "e2_digests": shapes,
+        "p1_prompts": f"with c as (select table_name as t, t || '(' || string_agg(column_name || ' ' || {kinds}, ', ' order by ordinal_position) || ')' as line from information_schema.columns group by table_name), d as (select db_id, string_agg(line, chr(10) order by b.t) as schema from {member} join c on c.t = b.t group by db_id), p as (select sample_id, style, head || chr(10) || chr(10) || 'Schema:' || chr(10) || schema || chr(10) || 'Question: ' || question || chr(10) as prompt from {questions} join d using (db_id), ({ask}) a) select sample_id, style, md5(prompt) as digest, len(regexp_extract_all(prompt, '[A-Za-z0-9_]+|[^A-Za-z0-9_\\s]')) as tokens, true as fitted from p",
+        "p9_extract": f"select id, md5(nullif(sql, '')) as digest from {made}",
+        "w1_sets": f"{samples}, m as (select * from {mix}), k as (select pool, stratum, row_number() over (partition by pool, stratum order by md5('42|' || doc_id), doc_id) as rank from t where ok), z as (select case when pool = 'OOD' then 'ood_val' when rank <= a then 'train' else 'id_val' end as part, stratum from k join m using (stratum) where rank <= case when pool = 'OOD' then c else a + b end) select part, stratum, count(*) as n, round(100.0::double * count(*) / sum(count(*)) over (partition by part), 6) as pct from z group by part, stratum",
+        "m1_plan_steps": f"with t as ({tree}{_values([(r['sample_id'], r['gold_sql']) for r in bank], 'sample_id, sql')}) select sample_id, {scans} as scans, {count(chr(34) + 'type' + chr(34) + ':' + chr(34) + 'JOIN' + chr(34))} as joins, {count('SET_OPERATION_NODE')} as setops, {orders} as sorts, {count('LIMIT_MODIFIER')} as limits from t",
+    }
+
+
+def _quoted(text: str) -> str:
+    return "'" + text.replace("'", "''") + "'"

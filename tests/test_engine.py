@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from plandistill import workloads
-from plandistill.operators import execution, inference, metrics, sampling, student
+from plandistill.operators import execution, experiment, inference, language, metrics, relational, sampling, student
 from plandistill.plans import complexity, ir
 from plandistill.sources import tables
 from plandistill.streaming import monitor
@@ -24,7 +24,7 @@ def test_bank_traces_and_classes(spark, sf):
     assert ir.lint_plan([ir.Step(1, "FLY", [2])]) == ["step 1: unknown operation FLY", "step 1: input 2 is not an earlier step"]
 
 
-@pytest.mark.parametrize("name", ["w1_quota", "w1_leaks", "src_json_bank", "sink_partitioned", "w2_ex", "w5_gains", "w6_transitions", "w9_early_stop", "w12_nll", "bank_classes", "join_full", "bank_q46"])
+@pytest.mark.parametrize("name", ["w1_quota", "w1_leaks", "src_json_bank", "sink_partitioned", "w2_ex", "w5_gains", "w6_transitions", "w9_early_stop", "w12_nll", "bank_classes", "join_full", "bank_q46", "s1_structure", "m1_plan_steps", "m3_lint", "p1_prompts", "p9_extract", "w1_sets", "t6_batches", "e13_error_delta", "e17_trilemma", "join_asof", "apply_in_pandas"])
 def test_queries_equal_sql(spark, sf, name):
     import duckdb
 
@@ -187,3 +187,181 @@ def test_leak_report_finds_planted_leaks(spark):
     df = spark.createDataFrame(rows, "pool string, db_id string, sample_id long, question string")
     assert {r["check"]: r.n for r in sampling.leak_report(df).collect()} == {"database in both pools": 1, "sample in both pools": 1, "OOD text in ID": 1}
     assert [r.n for r in sampling.leak_report(df.limit(0)).collect()] == [0, 0, 0]
+
+
+def test_guard_refuses_wherever_it_stands(spark, sf, tmp_path):
+    s = execution.database_session(spark, sf, "order_desk")
+    db = tables.DATABASES["order_desk"]
+    for q in workloads.UNSAFE_SQL:
+        assert execution.refusal(s, q, db), q
+    hit = tmp_path / "hit"
+    bad = f"select * from (select transform(o_orderkey) using 'touch {hit}; cat' as (k string) from orders) t"
+    assert execution.run_sql(s, bad, db).status == "error" and not hit.exists()
+    nested = f"select c_name from customer where c_custkey in (select k from (select o_custkey as k from orders where exists (select 1 from parquet.`{sf}/pages.parquet`)) t)"
+    assert execution.run_sql(s, nested, db).leaf == "no such table"
+    fine = ["select /*+ broadcast(customer) */ count(*) from orders join customer on o_custkey = c_custkey", "values (1, 'a'), (2, 'b')", "with a as (select o_custkey as k from orders), b as (select * from a) select count(*) from b join customer on k = c_custkey"]
+    assert [execution.run_sql(s, q, db).status for q in fine] == ["ok"] * 3
+    for r in tables.bank_rows():
+        assert execution.refusal(s, r["gold_sql"], tables.DATABASES[r["db_id"]]) is None, r["sample_id"]
+
+
+def test_limits_are_errors_and_cut_nothing(spark, sf):
+    s = execution.database_session(spark, sf, "order_desk")
+    assert execution.run_sql(s, "select * from orders", max_rows=10).error == "ROW_CAP"
+    assert execution.run_sql(s, "select * from orders limit 10", max_rows=10).n_rows == 10
+    slow = "select count(*) from orders a cross join orders b cross join orders c cross join orders d where a.o_totalprice + b.o_totalprice + c.o_totalprice > d.o_totalprice"
+    got = execution.run_sql(s, slow, seconds=2.0)
+    assert (got.status, got.error, got.leaf) == ("error", "TIMEOUT", "other")
+    assert execution.run_sql(s, "select count(*) from orders", seconds=60.0).status == "ok"
+
+
+def test_numbers_compare_by_value(spark):
+    one = lambda x, kind: execution.digest(spark.createDataFrame([(x,)], f"v {kind}")).head()
+    from decimal import Decimal
+
+    assert one(1e-7, "double") != one(4e-7, "double") and one(1e33, "double") == one(1e33, "double") != one(2e33, "double")
+    assert one(2, "int") == one(2.0, "double") == one(Decimal("2.00"), "decimal(10,2)") and one(-0.0, "double") == one(0.0, "double")
+    assert one(Decimal("0.1"), "decimal(10,2)") == one(0.1, "double") == one(0.1 + 1e-17, "double")
+    assert one(9007199254740993, "long") != one(9007199254740992, "long") and one(float("nan"), "double") != one(None, "double")
+    assert one(0.1 + 0.2, "double") == one(0.3, "double")
+    assert execution.digest(spark.createDataFrame([(0.1 + 0.2,)], "v double"), digits=None).head() != execution.digest(spark.createDataFrame([(0.3,)], "v double"), digits=None).head()
+
+
+def test_structure_equals_the_parser(spark):
+    for name, q in workloads.ODD_SQL.items():
+        found = complexity.structure(q)
+        assert complexity._class(found) == complexity.exact_complexity(spark, q), name
+    assert "order_by" not in complexity.structure(workloads.ODD_SQL["window"]) and "window" in complexity.structure(workloads.ODD_SQL["window"])
+
+
+def test_plan_sources_and_lint_of_columns(spark, sf):
+    s = execution.database_session(spark, sf, "order_desk")
+    q = "with big as (select o_custkey as k, count(*) as n from orders group by o_custkey) select c_name from customer join big on k = c_custkey where n > 3 order by c_name limit 5"
+    ops = {x: [t.op for t in ir.plan_ir(s, q, x)] for x in ("parsed", "analyzed", "optimized", "physical")}
+    assert ops["parsed"].count("SCAN") == 2 and {"AGGREGATE", "JOIN", "FILTER", "SORT", "LIMIT"} <= set(ops["parsed"])
+    assert ops["physical"].count("JOIN") == 1 and ops["physical"].count("AGGREGATE") == 1 and ops["physical"].count("SCAN") == 2
+    schema = {"orders": {"o_custkey"}, "customer": {"c_name", "c_custkey"}}
+    wrong = ir.lint_plan([ir.Step(1, "SCAN", [], "orders", ["o_custkey", "nope"]), ir.Step(2, "FILTER", [1], "x > 1", [], ["gone"])], schema)
+    assert wrong == ["step 1: orders has no column nope"] + (["step 2: unknown column gone"] if "gone" not in {"o_custkey", "nope"} else [])
+    long = "select " + ", ".join(f"o_orderkey + {i} as a_rather_long_name_for_column_{i}" for i in range(90)) + " from orders"
+    assert "a_rather_long_name_for_column_89" in ir.render_plan(ir.plan_ir(s, long))
+
+
+def test_admission_pairs_and_gold(spark):
+    done = spark.createDataFrame([("a",), ("b",), ("c",)], "sample_id string")
+    out = spark.createDataFrame([("a", "SUCC"), ("b", "SEM")], "sample_id string, level string")
+    assert {r.sample_id: r.success for r in sampling.admit(done, out).collect()} == {"a": True, "b": False, "c": False}
+    x, y = spark.createDataFrame([("a", "P")], "sample_id string, t string"), spark.createDataFrame([("a", "Q"), ("b", "Q")], "sample_id string, t string")
+    p, q = sampling.pair_signals(x, y)
+    assert p.count() == q.count() == 1 and sampling.pair_signals(x, y, paired=False)[1].count() == 2
+    bank = spark.createDataFrame([("a", "ID"), ("b", "OOD")], "sample_id string, pool string")
+    assert [r.sample_id for r in sampling.gold_set(bank).collect()] == ["a"]
+    null = sampling.split_pools(spark.createDataFrame([(1, "x"), (2, None), (3, "y"), (4, "z"), (5, "w")], "k int, db_id string"))
+    assert {r.k: r.pool for r in null.collect()}[2] == "ID" and null.count() == 5
+
+
+def test_inference_caps_and_completers(spark):
+    rows = [("a", "short prompt", "select 1", "STEP"), ("b", "w " * 30, "select 2", None), ("c", None, "select 3", None)]
+    df = spark.createDataFrame(rows, "sample_id string, prompt string, gold_sql string, plan string")
+    got = {r.sample_id: r for r in inference.infer(df, inference.EndpointCompleter(lambda p: "x " * 50), max_in=20, max_out=10).collect()}
+    assert (got["a"].n_tokens, got["a"].finish_reason, got["b"].raw, got["b"].finish_reason) == (10, "length", "", "prompt too long")
+    noisy = inference.infer(df, inference.NoisyCompleter({"success": 1.0})).select(inference.extract_sql(F.col("raw")).alias("s")).collect()
+    assert sorted(r.s for r in noisy) == ["select 1", "select 2", "select 3"]
+    kept = inference.infer(df, inference.ReplayCompleter(spark.createDataFrame([("a", "hi")], "sample_id string, raw string"))).collect()
+    assert {r.sample_id: r.finish_reason for r in kept} == {"a": "end", "b": "missing", "c": "missing"}
+
+
+def test_one_rule_of_early_stopping(spark):
+    curves = [[1 - 0.0005 * s for s in range(30)], [3.0, 2.0, float("nan"), 1.0, 1.0] + [1.5] * 12, [1.0] * 5]
+    rows = [(k, s, float(v)) for k, c in enumerate(curves) for s, v in enumerate(c, 1)]
+    df = spark.createDataFrame(rows, "run long, step int, loss double")
+    assert sorted(map(tuple, metrics.early_stop(df).collect())) == sorted(map(tuple, relational.early_stop_by_loop(df).collect()))
+
+
+def test_levels_of_the_four_bit_code():
+    c = student.CODE
+    assert len(c) == 16 and c[0] == -1 and c[-1] == 1 and 0.0 in c and (np.diff(c) > 0).all()
+    assert np.diff(c)[6:9].max() < np.diff(c)[0] and sum(c < 0) == 7  # finer near zero, as a normal is denser there
+
+
+def test_student_gradients_loss_mask_and_copies():
+    examples = [language.Example("plan", "How many in ASIA over 120?", "d", ["select", "'Q3", "Q5"]), language.Example("plan", "x", "d", ["select"])]
+    s = language.Student(language.vocabulary([x.target for x in examples]), width=5, r=3, alpha=6.0)
+    s.part = {k: v.astype(np.float64) + 0.1 for k, v in s.part.items()}
+    s.base = {k: v.astype(np.float64) for k, v in s.base.items()}
+    data = s.places(examples)
+    loss, n, grads = s.loss_grad(data)
+    assert n == 6  # completion tokens and an end each; no prompt token is a target
+    for k in ("u_a", "u_b", "e_b"):
+        s.part[k][1, 1] += 1e-4
+        assert abs((s.loss_grad(data, grad=False)[0] - loss) / 1e-4 - grads[k][1, 1]) < 2e-2, k
+        s.part[k][1, 1] -= 1e-4
+    used, g = grads["e_a"]
+    s.part["e_a"][used[0], 1] += 1e-4
+    assert abs((s.loss_grad(data, grad=False)[0] - loss) / 1e-4 - g[0, 1]) < 2e-2
+    q = "Customers in MIDDLE over 120?"
+    names = language.slots({"customer": ["c_name", "c_nationkey"]})
+    tokens = language.encode("select c_name from customer where r = 'MIDDLE' and n > 120", q, names)
+    assert "T0" in tokens and "'Q2" in tokens and "Q4" in tokens
+    assert language.decode(tokens, q, names) == "select c_name from customer where r = 'MIDDLE' and n > 120"
+
+
+def test_student_learns_and_travels_packed():
+    import pickle
+
+    rows = [language.Example("direct", f"count {w}", "d", ["### SQL", "select", w, "from", "t"]) for w in ("red", "blue", "green", "black")]
+    s = language.Student(language.vocabulary([x.target for x in rows])).quantise()
+    before = s.nll(rows)[0]
+    s.fit(rows * 6, rows, size=6, epochs=20, lr=1e-2)
+    again = pickle.loads(pickle.dumps(s))
+    assert s.nll(rows)[0] < before / 4 and all(again.greedy(x)[0] == x.target for x in rows)
+    assert again.greedy(rows[0], language.Decode(max_out=2)) == (["### SQL", "select"], "length")
+
+
+def test_bank_expansion_keeps_question_class_and_banks_apart(spark, sf):
+    values = tables.domains(spark, sf)
+    one = tables.expand_bank(tables.bank_rows(), values, 0)
+    assert len(one) > 800 and len({r["sample_id"] for r in one}) == len(one) and len({r["question"] for r in one}) == len(one)
+    stratum = {r["sample_id"]: r["stratum"] for r in tables.bank_rows()}
+    assert all(complexity._class(complexity.structure(r["gold_sql"])) == stratum[r["sample_id"].split("_")[0]] for r in one)
+    two = tables.expand_bank(tables.bank_rows(), values, 48, 43, {r["question"] for r in one[:300]})
+    assert len(two) == 48 and not {r["question"] for r in two} & {r["question"] for r in one[:300]}
+
+
+def test_sessions_of_a_stream_and_admission_by_arrival(spark, sf, tmp_path):
+    events = tables.read_table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    want = {tuple(r) for r in monitor.session_ex(events).collect()}
+    q = monitor.session_ex(monitor.event_stream(spark, sf)).writeStream.format("memory").queryName("sessions").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    got = {tuple(r) for r in spark.table("sessions").collect()}
+    assert got and got <= want  # sessions that the watermark has closed
+    rows = [(f"s{i}", "single" if i % 3 else "sub", i % 4 != 0, f"2024-01-01 00:00:{i:02d}") for i in range(30)] + [("s1", "single", True, "2024-01-01 00:00:40")]
+    spark.createDataFrame(rows, "sample_id string, stratum string, success boolean, t string").select("sample_id", "stratum", "success", F.to_timestamp("t").alias("ts")).coalesce(1).write.parquet(f"{tmp_path}/in")
+    stream = spark.readStream.schema("sample_id string, stratum string, success boolean, ts timestamp").parquet(f"{tmp_path}/in")
+    q = monitor.stream_admit(stream, {"single": 5, "sub": 100}).writeStream.format("memory").queryName("admitted").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    out = [tuple(r) for r in spark.table("admitted").collect()]
+    good = {r[0]: r[1] for r in rows if r[2]}
+    assert len(out) == len(set(out)) and all(good[i] == k for k, i in out)
+    assert sum(k == "single" for k, _ in out) == 5 and sum(k == "sub" for k, _ in out) == sum(k == "sub" for k in good.values())
+
+
+def test_functions_in_sql(spark):
+    from plandistill.functions import registry
+
+    registry.register_functions(spark)
+    r = spark.sql("select complexity_of('select * from a, b') as c, constructs_of('select count(*) from a limit 1') as k, extract_sql('x\n### SQL\nselect 1') as s, count_tokens('a b.c') as n").head()
+    assert (r.c, r.k, r.s, r.n) == ("joinset", ["aggregate", "limit"], "select 1", 4)
+    assert registry.plan_trace(spark, "select 1 as x where 2 > 1").startswith("STEP 1")
+
+
+def test_runs_end_to_end(spark, sf):
+    """All eleven runs on small sets: every question answered once, levels known, sets within quotas."""
+    outcomes, students, sets = experiment.run_variants(spark, sf, total=24, n_dev=16)
+    n = {r.run: r.n for r in metrics.ex(outcomes, ["run"]).collect()}
+    assert n == dict.fromkeys(inference.RUNS, 16)
+    assert {r.level for r in outcomes.select("level").distinct().collect()} <= set(metrics.LEVELS)
+    assert {(r.base, r.signal) for r in students.collect()} == {("student", ""), ("student", "none"), ("student", "plan"), ("student", "prose"), ("second", ""), ("second", "plan"), ("second", "prose")}
+    got = {(r.part, r.stratum): r["count"] for r in sets.groupBy("part", "stratum").count().collect()}
+    assert sum(v for (p, _), v in got.items() if p == "train") == 24
+    assert set(r.pool for r in sets.where("part = 'ood_val'").select("pool").distinct().collect()) == {"OOD"}
