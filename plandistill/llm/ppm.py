@@ -5,10 +5,11 @@ often each byte followed it in the training texts; counts of shorter contexts
 are sums of longer ones, so the symbols of a context are among those of its
 suffix. A byte's probability is c / (n + d) in the longest context that has it,
 after the escapes d / (n + d) of longer ones, where d is the context's number
-of distinct symbols and n leaves out the symbols that longer contexts have
+of distinct symbols (0 if it has all, as nothing can escape) and n counts without the symbols that longer contexts have
 excluded; below order 0 all bytes that were not seen share the rest evenly. With fixed counts
-this depends on context and byte only: the trie is folded into tables of log
-probabilities once and texts are scored by lookups. Every string counted has its
+this depends on context and byte only. What a context excludes in the next shorter one
+changes only the divisor there, so the trie folds into a dense table over three bytes and one
+escape for each longer context, exactly, and texts are scored by lookups. Every string counted has its
 leaf: the most frequent, at most ``2 ** LEAF_BITS``, go to the executors with the
 escapes of all contexts (at most ``2 ** 24``); the others are joined, as rare
 words are. A leaf's n and d are those of all strings of its context.
@@ -124,59 +125,61 @@ def _gram_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 # --- the folded trie ------------------------------------------------------------------------
 
 
+def _open_sum(c: np.ndarray, excluded: np.ndarray) -> np.ndarray:
+    """Log10 of n + d for rows of counts without the excluded symbols (0 where nothing is left)."""
+    d = (c > 0).sum(-1)
+    total = np.where(excluded, 0.0, c).sum(-1) + np.where(d < c.shape[-1], d, 0)
+    with np.errstate(divide="ignore"):
+        return np.where(total > 0, np.log10(total), 0.0)
+
+
+class Lower:
+    """Orders 0 to 2: ``table`` has, for a byte after two, log10 of its count if they have it,
+    else of their escape and what the shorter contexts give it; ``whole`` is what a context of
+    two subtracts when no longer one has excluded anything."""
+
+    def __init__(self, low: np.ndarray, low_counts: np.ndarray):
+        counts = np.zeros((256, 256, 256), np.float32)
+        counts.reshape(-1)[low] = low_counts
+        self.counts: np.ndarray | None = counts
+        c1 = counts.sum(0, dtype=np.float64)
+        c0 = c1.sum(0)
+        d0 = (c0 > 0).sum()
+        with np.errstate(divide="ignore"):
+            p0 = np.where(c0 > 0, np.log10(c0), (math.log10(d0) if d0 else 0.0) - math.log10(max(1, 256 - d0)))
+        p1, whole1 = self._order(c1, np.broadcast_to(c0, (256, 256)), p0, _open_sum(c0, np.zeros(256, bool)))
+        self.table, self.whole = np.empty((256, 256, 256), np.float32), np.empty((256, 256))
+        for first in range(256):
+            self.table[first], self.whole[first] = self._order(counts[first].astype(np.float64), c1, p1, whole1)
+
+    @staticmethod
+    def _order(c: np.ndarray, shorter: np.ndarray, p: np.ndarray, whole: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Rows of contexts with counts ``c``; of each one's shorter context its counts, table and whole."""
+        seen, d = c > 0, (c > 0).sum(-1)
+        known = d > 0
+        with np.errstate(divide="ignore", invalid="ignore"):
+            escape = np.where(known, np.log10(d) - _open_sum(shorter, seen), -whole)
+            return np.where(seen, np.log10(c), escape[:, None] + p), np.where(known, _open_sum(c, np.zeros(c.shape, bool)), 0.0)
+
+
 class Trie:
     """Log10 probabilities of a fixed trie: a dense table of three bytes (two of context),
     and open-addressed tables for leaves and for escapes of four-byte contexts."""
 
     def __init__(self, grams: np.ndarray, counts: np.ndarray, low: np.ndarray, low_counts: np.ndarray):
         """grams: all four-byte numbers with counts; low: all three-byte numbers with counts."""
-        self.p2, self.rare = self.lower(low, low_counts), False
-        own, used, escape, _ = leaf_terms(grams.astype(np.uint32), counts.astype(np.float64), self.p2)
+        self.lower, self.rare = Lower(low, low_counts), False
+        own, used, escape, _ = leaf_terms(grams.astype(np.uint32), counts.astype(np.float64), self.lower.counts)
         self._fill(grams.astype(np.uint32), own, used, escape)
 
     @classmethod
-    def of_terms(cls, p2: np.ndarray, grams: np.ndarray, own: np.ndarray, used: np.ndarray, escape: np.ndarray, rare: bool) -> Trie:
+    def of_terms(cls, lower: Lower, grams: np.ndarray, own: np.ndarray, used: np.ndarray, escape: np.ndarray, rare: bool) -> Trie:
         """From finished leaves (all or, if ``rare``, some) and the escapes of all contexts."""
         made = cls.__new__(cls)
-        made.p2, made.rare = p2, rare
+        made.lower, made.rare = lower, rare
         made._fill(grams.astype(np.uint32), own, used.astype(np.uint32), escape)
         return made
 
-    @classmethod
-    def lower(cls, low: np.ndarray, low_counts: np.ndarray) -> np.ndarray:
-        """Log probabilities of the third byte after two."""
-        c2 = np.zeros((256, 256, 256), np.float32)
-        c2.reshape(-1)[low] = low_counts
-        c1 = c2.sum(0, dtype=np.float64)
-        p1 = cls._folded(c1, cls._order0(c1.sum(0)))
-        p2 = np.empty((256, 256, 256), np.float32)
-        for first in range(256):
-            p2[first] = cls._folded(c2[first].astype(np.float64), p1)
-        return p2
-
-    @staticmethod
-    def _order0(c0: np.ndarray) -> np.ndarray:
-        seen, n = c0 > 0, c0.sum()
-        d = seen.sum()
-        if not n:
-            return np.full(256, -math.log10(256))
-        escape = math.log10(d / (n + d)) if d < 256 else 0.0
-        with np.errstate(divide="ignore"):
-            return np.where(seen, np.log10(c0 / (n + (d if d < 256 else 0))), escape - math.log10(max(1, 256 - d)))
-
-    @staticmethod
-    def _folded(c: np.ndarray, p_below: np.ndarray) -> np.ndarray:
-        """Log probabilities for rows of counts ``c`` (contexts by symbol); ``p_below``
-        are those of each context without its first byte."""
-        seen = c > 0
-        n, d = c.sum(-1, keepdims=True), seen.sum(-1, keepdims=True)
-        # the shorter context without the excluded symbols: its probabilities are spread over what is left
-        rest = np.where(seen, 0.0, 10.0 ** p_below).sum(-1, keepdims=True)
-        with np.errstate(divide="ignore", invalid="ignore"):
-            own = np.log10(c / (n + np.where(rest > 0, d, 0)))
-            other = np.log10(d / (n + d)) + p_below - np.log10(rest)
-        return np.where(n > 0, np.where(seen, own, other), p_below).astype(np.float32)
-
     def _fill(self, grams: np.ndarray, own: np.ndarray, used: np.ndarray, escape: np.ndarray) -> None:
         self.leaf_keys, self.leaf_values = _table(grams, own)
         if len(used) <= 1 << 21:
@@ -217,29 +220,28 @@ class Trie:
         missed = grams[~found]
         if len(missed):
             extra, known = self._escapes(missed >> np.uint32(8))
-            p[~found] = extra + self.p2.reshape(-1)[missed & np.uint32(0xFFFFFF)]
+            whole = self.lower.whole.reshape(-1)[(missed >> np.uint32(8)) & np.uint32(0xFFFF)]
+            p[~found] = np.where(known, extra, -whole) + self.lower.table.reshape(-1)[missed & np.uint32(0xFFFFFF)]
             missed = missed[known]
         return p, missed
 
 
-def leaf_terms(grams: np.ndarray, counts: np.ndarray, p2: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def leaf_terms(grams: np.ndarray, counts: np.ndarray, low_counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of all strings of some contexts: their log probabilities; the contexts, what an escape
-    adds to the shorter context's log probability, and the place of each string's context."""
+    adds to the entry of ``Lower.table``, and the place of each string's context."""
     used, at = np.unique(grams >> np.uint32(8), return_inverse=True)
     n, d = np.bincount(at, counts, len(used)), np.bincount(at, minlength=len(used))
-    rest, step = np.empty(len(used)), 4096
+    shorter, step = np.empty(len(used)), 4096
     order = np.argsort(at, kind="stable")
     ends = np.searchsorted(at[order], np.arange(0, len(used) + step, step))
     for i, (a, b) in enumerate(zip(ends, ends[1:], strict=False)):
         part, mine = used[i * step : (i + 1) * step], order[a:b]
-        # the shorter context without the excluded symbols, summed over what is left: no cancellation
-        low = 10.0 ** p2[(part >> np.uint32(8)) & np.uint32(255), part & np.uint32(255)].astype(np.float64)
-        low[at[mine] - i * step, grams[mine] & np.uint32(255)] = 0.0
-        rest[i * step : (i + 1) * step] = low.sum(1)
-    left = rest > 0
-    own = np.log10(counts / (n + np.where(left, d, 0))[at])
-    escape = np.where(left, np.log10(d / (n + d)) - np.log10(np.where(left, rest, 1.0)), 0.0)
-    return own, used, escape, at
+        low = low_counts[(part >> np.uint32(8)) & np.uint32(255), part & np.uint32(255)].astype(np.float64)
+        excluded = np.zeros(low.shape, bool)
+        excluded[at[mine] - i * step, grams[mine] & np.uint32(255)] = True
+        shorter[i * step : (i + 1) * step] = _open_sum(low, excluded)
+    whole = n + np.where(d < 256, d, 0)
+    return np.log10(counts / whole[at]), used, np.log10(d / whole) - shorter, at
 
 
 _EMPTY = np.uint32(0xFFFFFFFF)
@@ -303,7 +305,8 @@ def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
     spark = grams.sparkSession
     column = lambda t, k: t.column(k).to_numpy()
     low = grams.groupBy((F.col("gram") % (1 << 24)).alias("gram")).agg(F.sum("c").alias("c")).toArrow()
-    shared = spark.sparkContext.broadcast(Trie.lower(column(low, "gram"), column(low, "c")))
+    lower = Lower(column(low, "gram"), column(low, "c"))
+    shared = spark.sparkContext.broadcast(lower)  # two tables of 2 ** 24 numbers
 
     def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in sliced(batches):
@@ -311,10 +314,10 @@ def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
             if not len(got):
                 continue
             keys = got.astype(np.uint32)
-            own, used, escape, at = leaf_terms(keys, c.astype(np.float64), shared.value)
+            own, used, escape, at = leaf_terms(keys, c.astype(np.float64), shared.value.counts)
             first = np.zeros(len(keys), bool)
             first[np.unique(at, return_index=True)[1]] = True
-            gain = own - escape[at] - shared.value.reshape(-1)[keys & np.uint32(0xFFFFFF)]
+            gain = own - escape[at] - shared.value.table.reshape(-1)[keys & np.uint32(0xFFFFFF)]
             yield pa.RecordBatch.from_arrays([pa.array(got), pa.array(c), pa.array(own), pa.array(gain), pa.array(escape[at]), pa.array(first)], names=["gram", "c", "own", "gain", "escape", "first"])
 
     # the strings of one context, 256 at most, meet in a row
@@ -323,8 +326,9 @@ def fold(grams: DataFrame) -> tuple[Trie, DataFrame | None]:
     least = _leaf_threshold(leaves)
     often = leaves.where(F.col("c") >= least).select(F.col("gram"), F.col("own").cast("float")).toArrow()
     escapes = leaves.where("first").select(F.shiftright("gram", 8).cast("int").alias("context"), F.col("escape").cast("float")).toArrow()
-    trie = Trie.of_terms(shared.value, column(often, "gram"), column(often, "own"), column(escapes, "context"), column(escapes, "escape"), least > 1)
-    shared.unpersist()
+    lower.counts = None  # scoring needs the table only
+    trie = Trie.of_terms(lower, column(often, "gram"), column(often, "own"), column(escapes, "context"), column(escapes, "escape"), least > 1)
+    shared.destroy()
     return trie, leaves.where(F.col("c") < least).select("gram", "gain") if least > 1 else None
 
 
@@ -389,6 +393,17 @@ def score_texts(docs: DataFrame, fold_of: int = 10) -> DataFrame:
 # --- adaptive form ---------------------------------------------------------------------------
 
 
+def score_adaptive(docs: DataFrame, order: int = ORDER) -> DataFrame:
+    """doc_id and score: each text's log10 probability under a trie that starts empty and
+    learns the text as it codes it; null is the empty text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches):
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([adaptive_score(t, order) for t in _bytes(b.column(1))], pa.float64())], names=["doc_id", "score"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
+
+
 def adaptive_score(text: bytes, order: int = ORDER, primer: bytes = b"") -> float:
     """Log10 probability of a text whose trie learns as it goes (after a primer, if given)."""
     trie: dict[bytes, Counter] = {}
