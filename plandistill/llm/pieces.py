@@ -9,8 +9,10 @@ piece, if the model has none). No piece has a space mark after another
 character, so a text falls into segments at its space marks, and a segment's
 ids are remembered by each worker (at most ``CACHE`` of them).
 
-Decoding joins pieces and bytes and turns marks into spaces; it gives back the
-text exactly, except that what isn't valid in the model stays as its bytes.
+A space mark that stands in the text itself is written as its three byte pieces, so it
+isn't taken for a space. Decoding joins pieces and bytes and turns marks into
+spaces; with a model that has byte pieces it gives back the text exactly. A model without
+them has its unknown piece for what it can't spell, and that isn't given back.
 
 Defined results: a null or empty text has no pieces and decodes to the empty
 text; repeated rows encode alike; an empty table gives no rows; other columns
@@ -136,14 +138,23 @@ class Segmenter:
         """Ids of a text (identity normalisation, a space mark before the first character)."""
         if not text:
             return np.empty(0, np.uint32)
-        parts = self.segment.findall(MARK + text.replace(" ", MARK))
+        spelled = [self.bytes[b] for b in MARK.encode()] if self.bytes else [self.unknown]
+        literal = np.array(spelled, "<u4").tobytes()
+        first, *more = text.split(MARK)
+        parts = [self._encoded(MARK + first.replace(" ", MARK))]
+        for x in more:  # the text's own marks
+            parts += [literal, self._encoded(x.replace(" ", MARK))]
+        return np.frombuffer(b"".join(parts), "<u4")
+
+    def _encoded(self, marked: str) -> bytes:
+        parts = self.segment.findall(marked)
         new = [p for p in set(parts) if p not in self.known]
         if len(self.known) + len(new) > CACHE:
             self.known.clear()
             new = set(parts)
         for p in new:
             self.known[p] = np.array(self._viterbi(p), "<u4").tobytes()
-        return np.frombuffer(b"".join(map(self.known.__getitem__, parts)), "<u4")
+        return b"".join(map(self.known.__getitem__, parts))
 
     def decode(self, ids: np.ndarray) -> str:
         """The text of ids; a mark at the start is the one that encoding put there."""
