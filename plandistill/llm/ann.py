@@ -1,15 +1,23 @@
-"""Nearest neighbours by inner product: NN-descent graph, greedy graph search.
+"""Nearest neighbours by inner product: NN-descent graphs in cells, greedy graph search.
 
 Equal vectors are one node (its smallest id), so a vector that a third of the
-rows hold costs one node. Nodes fall into shards of about ``SHARD`` by a hash of
-their id; a shard's graph starts with random links and is improved by joins of
+rows hold costs one node. Vectors are lifted to one length (one more component),
+which makes the largest inner product the nearest one. Nodes fall into cells by
+their nearest of at most ``MAX_CELLS`` centroids (k-means on a sample of at most
+``FIT_ROWS`` nodes; every node is indexed); a cell with more than ``SHARD`` nodes has
+several graphs, dealt by a hash, so no graph outgrows a task. A graph
+starts with random links and is improved by joins of
 neighbours of neighbours: each round joins the sampled links of every node with
-themselves, scores the pairs, and keeps each node's ``DEGREE`` best. Vectors are
-lifted to one length first (one more component), which makes the largest inner
-product the nearest one. Queries search every shard's graph greedily with
-a beam, in blocks of ``BLOCK`` queries, and the shards' answers are merged.
+themselves, scores the pairs, and keeps each node's ``DEGREE`` best.
 
-The index holds every row. ``SAMPLE``, ``DEGREE`` and ``BEAM`` trade time for recall.
+A query searches the graphs of its nearest cells greedily with a beam, in
+blocks of ``BLOCK`` queries, and their answers are merged. How many cells that takes is
+measured: of at most ``PROBES`` queries the true neighbours are found by brute force, and the
+fewest cells that hold ``GOAL`` of them are searched by all. On vectors with
+structure that is a few cells at any size; on vectors without any (all directions
+alike) it comes to most cells, and the work grows with them.
+
+``SAMPLE``, ``DEGREE`` and ``BEAM`` trade time for recall.
 
 Defined results: null or zero vectors, vectors with null, infinite or NaN
 components and vectors of another length than most take no part; rows without
@@ -21,14 +29,16 @@ columns are not read.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import park
+from .common import drop, park, sliced
 
+MAX_CELLS, FIT_ROWS, PROBES, GOAL = 4_096, 1 << 17, 256, 0.98
 SHARD, DEGREE, SAMPLE, ROUNDS, BEAM, WIDTH, BLOCK, ENTRIES = 16_384, 32, 8, 5, 320, 8, 4_096, 64
 
 
@@ -99,7 +109,9 @@ def build_graph(nodes: DataFrame, longest: float, rounds: int = ROUNDS, seed: in
         pairs = p.join(q, (F.col("p.shard") == F.col("q.shard")) & (F.col("p.mid") == F.col("q.mid")) & (F.col("p.o") < F.col("q.o")) & (F.col("p.new") | F.col("q.new")))
         pairs = pairs.select(F.col("p.shard").alias("shard"), F.col("p.o").alias("u"), F.col("q.o").alias("v"), F.lit(False).alias("old"))
         tried = pairs.union(links.select("shard", "u", "v", F.lit(True).alias("old")))
-        links = park(tried.groupBy("shard").cogroup(nodes.groupBy("shard")).applyInArrow(improve, "shard int, u int, v int, new boolean"), "links")
+        better = park(tried.groupBy("shard").cogroup(nodes.groupBy("shard")).applyInArrow(improve, "shard int, u int, v int, new boolean"), "links")
+        drop(links, ways)
+        links = better
     return links.select("shard", "u", "v")
 
 
@@ -157,28 +169,109 @@ def search(x: np.ndarray, links: np.ndarray, queries: np.ndarray, own: np.ndarra
     return np.where(np.take_along_axis(score, order, 1) > low, np.take_along_axis(best, order, 1), -1)
 
 
-def nearest(vectors: DataFrame, is_query, top: int = 20, id_col: str = "vec_id", column: str = "embedding") -> DataFrame:
+def centroids(x: np.ndarray, k: int, rounds: int = 8, seed: int = 5) -> np.ndarray:
+    """k-means over unit vectors, from k of them drawn by seed; an empty cell keeps its centre."""
+    c = x[np.random.default_rng(seed).permutation(len(x))[:k]].copy()
+    for _ in range(rounds):
+        near = np.concatenate([_cell(x[i : i + 8192], c) for i in range(0, len(x), 8192)])
+        for j, n in enumerate(np.bincount(near, minlength=len(c))):
+            if n:
+                c[j] = x[near == j].mean(0)
+    return c
+
+
+def _far(x: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """Squared distances to the centres, but for what is the same for all of them."""
+    return np.einsum("ij,ij->i", c, c)[None] - 2 * x @ c.T
+
+
+def _cell(x: np.ndarray, c: np.ndarray) -> np.ndarray:
+    return _far(x, c).argmin(1)
+
+
+def _as_query(q: np.ndarray) -> np.ndarray:
+    return np.concatenate([q / np.linalg.norm(q, axis=1, keepdims=True), np.zeros((len(q), 1))], axis=1).astype(np.float32)
+
+
+def brute_force(reps: DataFrame, queries: list[tuple[int, list[float]]], top: int, carry: str) -> DataFrame:
+    """query_id, rep, score and ``carry`` of the ``top`` best nodes for a bounded list of queries:
+    each task keeps its own best, so few rows move."""
+    ids, q = np.array([i for i, _ in queries]), np.array([x for _, x in queries])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches, 4096):
+            scores = q @ _matrix(b.column("x")).T
+            keep = np.argpartition(-scores, min(top, len(b)) - 1, axis=1)[:, :top]
+            r = np.repeat(np.arange(len(q)), keep.shape[1])
+            at = keep.ravel()
+            yield pa.RecordBatch.from_arrays([pa.array(ids[r]), b.column("rep").take(pa.array(at)), pa.array(scores[r, at]), b.column(carry).take(pa.array(at))], names=["query_id", "rep", "score", carry])
+
+    kind = dict(reps.dtypes)[carry]
+    best = Window.partitionBy("query_id").orderBy(F.desc("score"), "rep")
+    found = reps.select("rep", "x", carry).mapInArrow(run, f"query_id long, rep long, score double, {carry} {kind}")
+    return found.withColumn("r", F.row_number().over(best)).where(F.col("r") <= top).drop("r")
+
+
+def nearest(vectors: DataFrame, is_query, top: int = 20, id_col: str = "vec_id", column: str = "embedding", shard: int | None = None) -> DataFrame:
     """query_id, rank, vec_id, score: the ``top`` best found for the rows where ``is_query``
     (a condition on vec_id) holds, against all other rows."""
+    shard = shard or SHARD
     rows = park(usable(vectors, id_col, column), "vectors")
     reps = park(rows.groupBy("x").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n")), "reps")
     n = reps.count()
-    shards = max(1, math.ceil(n / SHARD))
     longest = reps.agg(F.max(F.sqrt(F.aggregate("x", F.lit(0.0), lambda a, c: a + c * c)))).head()[0] or 1.0
     same = rows.join(reps.where("n > 1").select("x", "rep"), "x").select("rep", "vec_id")
     few = Window.partitionBy("rep").orderBy("vec_id")
     members = same.withColumn("r", F.row_number().over(few)).where(F.col("r") <= top + 1).select("rep", "vec_id")
     members = park(members.union(reps.where("n = 1").select("rep", F.col("rep").alias("vec_id"))), "members")
-    placed = reps.select(F.pmod(F.xxhash64("rep"), F.lit(shards)).cast("int").alias("shard"), "rep", "x")
+    asked = park(rows.where(is_query).join(reps.select("x", "rep"), "x").select(F.col("vec_id").alias("query_id"), "rep", "x"), "asked")
+
+    cells = max(1, min(MAX_CELLS, math.ceil(n / shard)))
+    share = max(1, n // FIT_ROWS)
+    fitted = reps.where(F.pmod(F.xxhash64(F.lit(9), "rep"), F.lit(share)) == 0).select("x").limit(2 * FIT_ROWS).toArrow() if cells > 1 else None
+    centres = centroids(lifted(_matrix(fitted.column("x")), longest), cells) if cells > 1 else None  # MAX_CELLS rows at most
+
+    def celled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches, 4096):
+            cell = np.zeros(len(b), np.int32) if centres is None else _cell(lifted(_matrix(b.column(1)), longest), centres).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(cell)], names=["rep", "x", "cell"])
+
+    placed = park(reps.select("rep", "x").mapInArrow(celled, "rep long, x array<double>, cell int"), "placed")
+    graphs = {r.cell: max(1, math.ceil(r.n / shard)) for r in placed.groupBy("cell").agg(F.count("*").alias("n")).collect()}  # MAX_CELLS rows at most
+    first = dict(zip(sorted(graphs), np.cumsum([0] + [graphs[c] for c in sorted(graphs)]).tolist(), strict=False))
+    spread = rows.sparkSession.createDataFrame([(c, first[c], graphs[c]) for c in graphs], "cell int, first int, graphs int")
+    wide = placed.join(F.broadcast(spread), "cell").select((F.col("first") + F.pmod(F.xxhash64("rep"), F.col("graphs"))).cast("int").alias("shard"), "rep", "x")
     inside = Window.partitionBy("shard")
-    nodes = park(placed.select("shard", (F.row_number().over(inside.orderBy("rep", "x")) - 1).alias("i"), F.count("*").over(inside).alias("size"), "rep", "x"), "nodes")
+    nodes = park(wide.select("shard", (F.row_number().over(inside.orderBy("rep", "x")) - 1).alias("i"), F.count("*").over(inside).alias("size"), "rep", "x"), "nodes")
     links = build_graph(nodes, longest)
-    asked = rows.where(is_query).join(reps.select("x", "rep"), "x").select(F.col("vec_id").alias("query_id"), "rep", "x")
-    blocks = max(1, math.ceil(asked.count() / BLOCK))
-    asked = asked.select(F.pmod(F.xxhash64("query_id"), F.lit(blocks)).cast("int").alias("block"), "query_id", "rep", "x")
-    asked = asked.withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
+
+    probes = 1
+    if cells > 1:
+        tried = [(r.query_id, list(r.x)) for r in asked.orderBy(F.xxhash64("query_id"), "query_id").limit(PROBES).select("query_id", "x").collect()]
+        truth = brute_force(placed, tried, top + 1, "cell").select("query_id", "cell").toArrow() if tried else None
+        if tried:
+            order = np.argsort(np.argsort(_far(_as_query(np.array([x for _, x in tried])), centres), axis=1), axis=1)
+            at = {i: k for k, (i, _) in enumerate(tried)}
+            places = np.sort([order[at[i], c] for i, c in zip(truth.column(0).to_pylist(), truth.column(1).to_pylist(), strict=True)])
+            probes = int(places[min(len(places) - 1, math.ceil(GOAL * len(places)) - 1)]) + 1
+
+    def routed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in sliced(batches, 4096):
+            if centres is None:
+                near = np.zeros((len(b), 1), np.int64)
+            else:
+                near = np.argsort(_far(_as_query(_matrix(b.column(2))), centres), axis=1, kind="stable")[:, :probes]
+            shards = [[first[c] + k for c in row if c in first for k in range(graphs[c])] for row in near.tolist()]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(shards, pa.list_(pa.int32()))], names=["query_id", "rep", "x", "shards"])
+
+    sent = asked.mapInArrow(routed, "query_id long, rep long, x array<double>, shards array<int>")
+    sent = park(sent.select("query_id", "rep", "x", F.explode("shards").alias("shard")), "sent")
+    # a graph is copied once for each block of the queries that it gets, which don't grow with the table
+    load = sent.groupBy("shard").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    sent = sent.join(load, "shard").withColumn("block", F.pmod(F.xxhash64("query_id"), F.col("blocks")).cast("int")).drop("blocks")
     lists = links.groupBy("shard", "u").agg(F.collect_list("v").alias("vs"))
-    graph = nodes.join(lists, (nodes["shard"] == lists["shard"]) & (nodes["i"] == lists["u"]), "left").select(nodes["shard"], F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), "i", "rep", "x", "vs")
+    graph = nodes.join(lists, (nodes["shard"] == lists["shard"]) & (nodes["i"] == lists["u"]), "left").select(nodes["shard"], "i", "rep", "x", "vs")
+    graph = graph.join(load, "shard").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).drop("blocks")
 
     def answer(points: pa.Table, queries: pa.Table) -> pa.Table:
         empty = pa.table({"query_id": pa.array([], pa.int64()), "rep": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
@@ -192,8 +285,7 @@ def nearest(vectors: DataFrame, is_query, top: int = 20, id_col: str = "vec_id",
         q = _matrix(queries.column("x"))
         place = {r: i for i, r in enumerate(rep.tolist())}
         own = np.array([place.get(r, -1) for r in queries.column("rep").to_pylist()], np.int64)
-        short = np.concatenate([q / np.linalg.norm(q, axis=1, keepdims=True), np.zeros((len(q), 1))], axis=1).astype(np.float32)
-        points_ = lifted(full, longest)
+        short, points_ = _as_query(q), lifted(full, longest)
         ids, reps_, scores = [], [], []
         for i in range(0, len(q), 512):
             found = search(points_, graph, short[i : i + 512], own[i : i + 512], top + 1)
@@ -204,8 +296,9 @@ def nearest(vectors: DataFrame, is_query, top: int = 20, id_col: str = "vec_id",
             scores.append((q[i + r] * full[at]).sum(axis=1))
         return pa.table({"query_id": np.concatenate(ids), "rep": np.concatenate(reps_), "score": np.concatenate(scores)})
 
-    hits = graph.groupBy("shard", "block").cogroup(asked.groupBy("shard", "block")).applyInArrow(answer, "query_id long, rep long, score double")
+    hits = graph.groupBy("shard", "block").cogroup(sent.groupBy("shard", "block")).applyInArrow(answer, "query_id long, rep long, score double")
     hits = park(hits, "hits")
+    drop(rows, reps, placed, nodes, asked)
     better = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     out = hits.join(members, "rep").where("vec_id <> query_id").withColumn("rank", F.row_number().over(better))
     return out.where(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
