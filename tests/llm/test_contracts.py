@@ -1,6 +1,7 @@
 """The ten queries against plain Python over the smallest tables and a table of odd rows."""
 
 import hashlib
+import math
 import re
 import zlib
 from collections import Counter
@@ -272,33 +273,38 @@ def test_pagerank_against_brute_force(spark):
     assert all(abs(r[h] - mass[h]) < 1e-12 for h in names)
 
 
-def unigram_library(tmp_path):
-    """The library in unigram mode on the same pieces: the model type in the file is changed."""
+def unigram_library():
+    """The library in unigram mode on the same pieces: a second trainer_spec message, which a
+    protocol-buffer reader merges into the first, sets the model type."""
     import sentencepiece as sp
 
     data = open(queries._tokenizer("piece_bpe_32k.model"), "rb").read()
-    from sentencepiece import sentencepiece_model_pb2 as pb
+    return sp.SentencePieceProcessor(model_proto=data + b"\x12\x02\x18\x01")
 
-    m = pb.ModelProto()
-    m.ParseFromString(data)
-    m.trainer_spec.model_type = 1
-    return sp.SentencePieceProcessor(model_proto=m.SerializeToString())
 
-
-def test_op6(spark, data, tmp_path):
+def test_op6(spark, data):
     got = queries.op6_pieces(spark, data).collect()
     assert len(got) == len(docs_of(spark, data)) and all(r.same for r in got)
-    try:
-        lib = unigram_library(tmp_path)
-    except ImportError:
-        pytest.skip("the library's model messages aren't installed")
+
+
+def test_op6_ids_equal_the_library(spark, data):
+    """Ids of every word of every document are those of the best path in the library's lattice
+    (its faster search of one path misses the best for some words of this model)."""
+    lib, s = unigram_library(), pieces.segmenter(queries._tokenizer("piece_bpe_32k.model"))
+    words = sorted({w for _, t, _ in docs_of(spark, data) for w in t.split() if "\x00" not in w})
+    assert len(words) > 15
+    score = lambda ids: sum(s.pieces[i][1] for i in ids)
+    pairs = [(w, s.encode(w).tolist(), lib.nbest_encode_as_ids(w, 2)[0]) for w in words]
+    assert [w for w, a, b in pairs if a != b and score(a) != score(b)] == []  # paths of one score are both best
+    assert sum(a != b for _, a, b in pairs) <= 1
+
+
+def test_op6_marks_in_the_text_come_back(spark):
     s = pieces.segmenter(queries._tokenizer("piece_bpe_32k.model"))
-    for _, t, _ in docs_of(spark, data)[:60]:
-        if "\x00" in t:
-            continue
-        ids, want = s.encode(t).tolist(), lib.encode(t)
-        score = lambda x: sum(s.pieces[i][1] if s.pieces[i][2] == 1 else s.floor for i in x)
-        assert ids == want or abs(score(ids) - score(want)) <= 1e-3 * abs(score(want)), t[:80]
+    for t in ("a▁b", "▁", "▁▁ x", " ▁", "x ▁y", "  two", "▁ \n▁", "café▁😀"):
+        assert s.decode(s.encode(t)) == t
+    df = spark.createDataFrame([(1, "a▁b"), (2, None)], "doc_id long, text string")
+    assert [r.decoded for r in pieces.encode_texts(df, queries._tokenizer("piece_bpe_32k.model"), ["doc_id"]).orderBy("row.doc_id").collect()] == ["a▁b", ""]
 
 
 def test_op6_small_machine_by_enumeration():
@@ -340,6 +346,36 @@ def test_op7(spark, sf):
     assert hits >= 0.9 * 20 * len(got)
 
 
+def recall(spark, df, top=20, **kw):
+    """Share of the true neighbours found, by brute force over all rows."""
+    data = [(r.vec_id, np.array(r.embedding, float)) for r in df.collect()]
+    ids, x = np.array([i for i, _ in data]), np.stack([v for _, v in data])
+    got, hits, n = {}, 0, 0
+    for r in ann.nearest(df, F.col("vec_id") % 20 == 0, top=top, **kw).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    for q in np.flatnonzero(ids % 20 == 0):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits, n = hits + len(set(ids[np.argsort(-s)[:top]].tolist()) & got[int(ids[q])]), n + top
+    return hits / n
+
+
+@pytest.mark.parametrize("spread", [0.15, None])
+def test_op7_recall_over_several_graphs(spark, spread):
+    """Clustered vectors and vectors without structure, in cells of at most 700 nodes."""
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(3600, 16))
+    if spread:
+        x = rng.normal(size=(12, 16))[rng.integers(0, 12, 3600)] + spread * x
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    assert recall(spark, df, shard=700) >= 0.9
+
+
+def test_op7_other_columns_with_inner_names(spark):
+    df = spark.createDataFrame([(i, [float(i + 1), 1.0], 0, "a") for i in range(30)], "vec_id long, embedding array<double>, shard int, rep string")
+    assert ann.nearest(df, F.col("vec_id") % 20 == 0, shard=10).count() == 40
+
+
 def test_op7_odd_vectors(spark):
     nan = float("nan")
     data = [(0, [1.0, 0.0]), (20, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [2.0, 1.0]), (3, None), (4, [0.0, 0.0]), (5, [nan, 1.0]), (6, [None, 1.0]), (7, [float("inf"), 1.0]), (8, [1.0, 2.0, 3.0]), (None, [1.0, 1.0])]
@@ -404,9 +440,81 @@ def test_op9_hostile_round_trip(spark):
         assert all(a == b or "<\\" in a for a, b in zip(spans, [x for r, x in want if r == "assistant"], strict=True))
 
 
-def test_op10_base(spark, data):
-    import math
+def test_op9_parser_refuses_marks_inside_and_nothing_is_taken_unread(spark):
+    made = lambda *x: spark.createDataFrame([(v,) for v in x], "f string").select(chat.parse(F.col("f")).alias("t")).collect()
+    bad = made("<|im_start|>user\na <|im_start|> b<|im_end|>\n", "user\nx<|im_end|>\n", "<|im_start|>user x<|im_end|>\n")
+    assert [(r.t[0].role, r.t[0].text) for r in bad] == [(None, None)] * 3
+    out = spark.createDataFrame([("user", "x <|im_ y"), ("user", "x <| y"), ("u\nv", "z")], "role string, text string").select(chat.render_turn(F.col("role"), F.col("text")).alias("o")).collect()
+    assert [r.o.startswith(chat.START_X) for r in out] == [True, False, True]
+
+
+def test_op9_long_conversation_empty_table_and_other_columns(spark):
+    turns = spark.range(4000).select(F.lit(7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") % 2 == 0, "user").otherwise("assistant").alias("role"), F.concat(F.lit("t<|im_end|>"), "id").alias("text"), F.lit("x").alias("out"), F.lit(1).alias("n"), F.lit(2).alias("body"))
+    made = chat.format_chats(turns)
+    r = chat.read_back(made).head()
+    assert len(r.turns) == 4000 and r.turns[3999].text == "t<|im_end|>3999" and r.masked == "".join(f"t<|im_end|>{i}" for i in range(1, 4000, 2))
+    f = made.head()
+    spans = [chat_text[s.start : s.start + s.length] for chat_text in [f.formatted] for s in f.loss]
+    assert len(spans) == 2000 and spans[0] == "t<\\|im_end|>1" and [s.turn for s in f.loss] == list(range(2, 4001, 2))
+    assert chat.read_back(chat.format_chats(turns.limit(0))).count() == 0
+
+
+def test_op5_empty_table_repeated_rows_and_other_columns(spark):
+    data = [(1, "http://a.com/de/1", None, "h", 0.5), (1, "http://a.com/de/1", None, "h", 0.5), (2, "http://b.net/", "<a href='http://a.com/x'>", None, None)]
+    df = spark.createDataFrame(data, "page_id long, url string, html string, host string, mass double")
+    got = urlfilter.judge_urls(df).select("page_id", "host", "verdict").collect()
+    assert sorted((r.page_id, r.host, r.verdict) for r in got)[:2] == [(1, "a.com", "block")] * 2 and len(got) == 3
+    assert urlfilter.judge_urls(df.limit(0)).count() == 0
+
 
+def near_text(rng, words, n):
+    """A copy with a run of ``n`` words replaced: n + 4 shingles of each side differ."""
+    out = list(words)
+    at = int(rng.integers(4, len(words) - n - 4))
+    out[at : at + n] = [f"n{int(x)}" for x in rng.integers(0, 1 << 40, n)]
+    return out
+
+
+@pytest.mark.parametrize("percent", [80, 85])
+def test_op3_finds_pairs_at_the_limit_among_thousands(spark, percent):
+    """Of 900 texts a copy that just reaches the limit and one that just misses it; a third of
+    all share a passage."""
+    rng, rows = np.random.default_rng(percent), []
+    passage = [f"p{i}" for i in range(30)]
+    for i in range(900):
+        base = [f"w{int(x)}" for x in rng.integers(0, 1 << 40, int(rng.integers(150, 320)))]
+        base = base + passage if i % 3 == 0 else base
+        most = (len(base) - 4) * (100 - percent) // (100 + percent) - 4
+        rows += [(3 * i, base), (3 * i + 1, near_text(rng, base, most)), (3 * i + 2, near_text(rng, base, most + 3))]
+    sets = {i: shingle_set(" ".join(w)) for i, w in rows}
+    comp = {i: i for i in sets}
+    for k in range(0, len(rows), 3):
+        for a, b in ((k, k + 1), (k, k + 2), (k + 1, k + 2), (k, k + 1)):
+            if 100 * len(sets[a] & sets[b]) >= percent * len(sets[a] | sets[b]):
+                comp[a] = comp[b] = min(comp[a], comp[b])
+    assert sum(c != i for i, c in comp.items()) == 900
+    df = spark.createDataFrame([(i, " ".join(w)) for i, w in rows], "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in neardup.near_classes(df, percent).collect()}
+    assert sum(got[i] != comp[i] for i in comp) <= (3 if percent == 80 else 0)  # 6e-4 of pairs at 0.8
+
+
+def test_op3_cells_split_long_lists(spark, monkeypatch):
+    """With tiny cells the classes are the same: no pair falls between two of them."""
+    rng = np.random.default_rng(3)
+    core = [f"w{int(x)}" for x in rng.integers(0, 1 << 40, 80)]
+    df = spark.createDataFrame([(i, " ".join(near_text(rng, core, 7))) for i in range(150)], "doc_id long, text string")
+    want = sorted(map(tuple, neardup.near_classes(df).collect()))
+    monkeypatch.setattr(neardup, "CELL", 7)
+    assert sorted(map(tuple, neardup.near_classes(df).collect())) == want and len({r[2] for r in want}) > 1
+
+
+def test_keep_one_repeated_ids_nulls_and_other_columns(spark):
+    rows = [(1, TWIN, "a"), (2, TWIN.upper(), "b"), (None, TWIN, "c"), (3, "short one", "d"), (3, "other text here", "e"), (4, None, "f"), (5, "", "g")]
+    got = neardup.keep_one(spark.createDataFrame(rows, "doc_id long, text string, open string")).collect()
+    assert sorted((r.doc_id or 0, r.open) for r in got) == [(0, "c"), (1, "a"), (3, "e"), (4, "f"), (5, "g")]
+
+
+def test_op10_base(spark, data):
     docs = docs_of(spark, data)
     out = lambda i: i is not None and zlib.crc32(str(i).encode()) % 10 == 0
     toks = lambda t: [*[w.translate({i: i + 32 for i in range(65, 91)}) for w in WORD.findall(t)], "\n"]
@@ -418,87 +526,84 @@ def test_op10_base(spark, data):
         assert a[:5] == b[:5] and abs(a[5] - b[5]) < 1e-4 * max(1, abs(b[5]))
 
 
-def test_ppm_tables_equal_slow_trie():
-    import math
+def slow_trie(texts):
+    """Counts of each byte after each context of up to three bytes."""
+    nodes = {}
+    for text in texts:
+        padded = ppm.START_CONTEXT + text
+        for i in range(3, len(padded)):
+            for k in range(4):
+                nodes.setdefault(padded[i - k : i], Counter())[padded[i]] += 1
+    return nodes
+
+
+def slow_log(nodes, context, byte):
+    """By the definition: escapes from the longest context on, without the symbols excluded so far."""
+    log, excluded = 0.0, set()
+    for k in range(3, -1, -1):
+        node = nodes.get(context[3 - k :])
+        left = {s: c for s, c in (node or {}).items() if s not in excluded}
+        if not left:
+            continue
+        n, d = sum(left.values()), len(node)
+        if byte in left:
+            return log + math.log10(left[byte] / (n + d))
+        log += math.log10(d / (n + d))
+        excluded |= left.keys()
+    return log - math.log10(256 - len(excluded))
+
+
+def slow_score(nodes, text, memo):
+    x, total = ppm.START_CONTEXT + text, 0.0
+    for i in range(3, len(x)):
+        k = x[i - 3 : i + 1]
+        if k not in memo:
+            memo[k] = slow_log(nodes, x[i - 3 : i], x[i])
+        total += memo[k]
+    return total
 
+
+def test_ppm_tables_equal_slow_trie():
     text = b"abracadabra and a cadabra of abracadabras, then some banana bandana " * 3
     grams, counts = np.unique(ppm.four_grams([text]), return_counts=True)
     low, at = np.unique(grams & np.uint32(0xFFFFFF), return_inverse=True)
-    trie = ppm.Trie(grams, counts, low, np.bincount(at, counts))
-    nodes = {}
-    padded = ppm.START_CONTEXT + text
-    for i in range(3, len(padded)):
-        for k in range(4):
-            nodes.setdefault(padded[i - k : i], Counter())[padded[i]] += 1
-
-    def slow(context, b):
-        log, excluded = 0.0, set()
-        for k in range(3, -1, -1):
-            node = nodes.get(context[3 - k :])
-            if not node:
-                continue
-            left = {s: c for s, c in node.items() if s not in excluded}
-            if not left:
-                continue
-            n, d = sum(left.values()), len(node)
-            if b in left:
-                return log + math.log10(left[b] / (n + d))
-            log += math.log10(d / (n + d))
-            excluded |= left.keys()
-        return log - math.log10(256 - len(excluded))
-
-    for other in (text, b"a banana cadabra xyz", b"zzz"):
-        x = ppm.START_CONTEXT + other
-        # folding renormalises each shorter distribution as a whole; both spend exclusion alike at the first escape
-        assert abs(trie.score(other) - sum(slow(x[i - 3 : i], x[i]) for i in range(3, len(x)))) < 0.05 * abs(trie.score(other)) + 1e-3
+    trie, nodes, memo = ppm.Trie(grams, counts, low, np.bincount(at, counts)), slow_trie([text]), {}
+    for other in (text, b"a banana cadabra xyz", b"zzz", b"\x00\xff"):
+        want = slow_score(nodes, other, memo)
+        assert abs(trie.score(other) - want) < 1e-6 * abs(want)
     for context in (b"abr", b"zzz", b"nan", b"\n\n\n"):
         total = sum(10 ** trie.score_at(context, b) for b in range(256))
-        assert abs(total - 1) < 1e-3
+        assert abs(total - 1) < 1e-5
 
 
 @pytest.mark.parametrize("bits", [21, 6])
 def test_ppm_score_of_every_string(spark, odd, monkeypatch, bits):
-    """The query's scores are those of the slow trie, with and without leaves left to the join."""
-    import math
-
+    """Scores are those of the slow trie, with and without leaves left to the join."""
     monkeypatch.setattr(ppm, "LEAF_BITS", bits)
     docs = [(i, (t or "")[:3000]) for i, t in enumerate(ODD_TEXTS)]
-    c = Counter()
-    for i, t in docs:
-        if zlib.crc32(str(i).encode()) % 10:
-            raw = ppm.START_CONTEXT + t.encode()
-            c.update(raw[p - 3 : p + 1] for p in range(3, len(raw)))
-    sums = [Counter(), Counter(), Counter(), c]
-    for g, k in c.items():
-        for n in range(3):
-            sums[n][g[3 - n :]] += k
-    nodes = {}
-    for level in sums:
-        for g, k in level.items():
-            nodes.setdefault(g[:-1], {})[g[-1]] = k
-    memo = {}
-
-    def dist(context):
-        if context not in memo:
-            node, below = nodes.get(context, {}), dist(context[1:]) if context else None
-            if below is None:
-                n, d = sum(node.values()), len(node)
-                memo[context] = [node[b] / (n + d) if b in node else d / (n + d) / (256 - d) for b in range(256)]
-            elif not node:
-                memo[context] = below
-            else:
-                n, d, rest = sum(node.values()), len(node), sum(p for b, p in enumerate(below) if b not in node)
-                memo[context] = [node[b] / (n + d) if b in node else d / (n + d) * below[b] / rest for b in range(256)]
-        return memo[context]
-
+    nodes, memo = slow_trie([t.encode() for i, t in docs if zlib.crc32(str(i).encode()) % 10]), {}
     df = spark.createDataFrame(docs, "doc_id long, text string")
     if bits < 21:
-        assert ppm.fold(ppm.train(df))[1].count() > len(c) // 2
+        assert ppm.fold(ppm.train(df))[1].count() > sum(len(v) for k, v in nodes.items() if len(k) == 3) // 2
     got = {r.doc_id: r.score for r in ppm.score_texts(df).collect()}
     for i, t in docs:
-        raw = ppm.START_CONTEXT + t.encode()
-        want = sum(math.log10(dist(raw[p - 3 : p])[raw[p]]) for p in range(3, len(raw)))
-        assert abs(got[i] - want) < 1e-4 * max(1, abs(want)), i
+        want = slow_score(nodes, t.encode(), memo)
+        assert abs(got[i] - want) < 1e-6 * max(1, abs(want)), i
+
+
+def test_op10_scores_equal_slow_trie(spark, sf):
+    """The query on the whole smallest table."""
+    docs = docs_of(spark, sf)
+    nodes, memo = slow_trie([t.encode() for i, t, _ in docs if zlib.crc32(str(i).encode()) % 10]), {}
+    got = {r.doc_id: r.score for r in queries.op10_scores(spark, sf).collect()}
+    for i, t, _ in docs:
+        want = slow_score(nodes, t.encode(), memo)
+        assert abs(got[i] - want) < 1e-6 * max(1, abs(want)), i
+
+
+def test_ppm_adaptive_operator(spark):
+    got = {r.doc_id: r.score for r in ppm.score_adaptive(spark.createDataFrame([(1, "abcabcabc"), (2, None), (None, "x")], "doc_id long, text string")).collect()}
+    assert got == {1: ppm.adaptive_score(b"abcabcabc"), 2: 0.0, None: ppm.adaptive_score(b"x")}
 
 
 def test_ppm_learns(spark, sf):
