@@ -9,6 +9,7 @@ parallel, a run to a task: a distillation set is as large as its quotas, not as
 from __future__ import annotations
 
 import pickle
+from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
 
 import pandas as pd
@@ -61,14 +62,18 @@ def with_traces(spark: SparkSession, sf_dir: str, rows: list[dict[str, str]]) ->
 
 def judge(spark: SparkSession, sf_dir: str, completions: DataFrame, seconds: float | None = 600.0) -> DataFrame:
     """``completions`` (raw, db_id, gold_sql, ...) with sql, level, leaf and ok. Each different
-    query of a database runs once; only digests reach the driver."""
+    query of a database (by its tokens, so spacing doesn't matter) runs once; only digests
+    reach the driver."""
     made = completions.withColumn("sql", inference.extract_sql(F.col("raw")))
     pairs = [tuple(r) for r in made.select("db_id", "sql", "gold_sql").distinct().collect()]
-    ran = execution.run_many(spark, sf_dir, [(d, q) for d, a, b in pairs for q in (a, b) if q], seconds=seconds)
-    judged = [(d, a, b, *execution.outcome(ran[d, a] if a else None, ran[d, b])) for d, a, b in pairs]
-    found = spark.createDataFrame(judged, "db string, s string, g string, level string, leaf string")
+    said = lambda d, q: (d, " ".join(language.split_tokens(q)))
+    texts = {said(d, q): q for d, a, b in sorted(pairs, key=str, reverse=True) for q in (a, b) if q}
+    ran = execution.run_many(spark, sf_dir, [(d, q) for (d, _), q in texts.items()], seconds=seconds)
+    found = {k: ran[k[0], q] for k, q in texts.items()}
+    judged = [(d, a, b, *execution.outcome(found[said(d, a)] if a else None, found[said(d, b)])) for d, a, b in pairs]
+    verdicts = spark.createDataFrame(judged, "db string, s string, g string, level string, leaf string")
     on = (F.col("db_id") == F.col("db")) & F.col("sql").eqNullSafe(F.col("s")) & (F.col("gold_sql") == F.col("g"))
-    return made.join(F.broadcast(found), on).drop("db", "s", "g").withColumn("ok", F.col("level") == "SUCC")
+    return made.join(F.broadcast(verdicts), on).drop("db", "s", "g").withColumn("ok", F.col("level") == "SUCC")
 
 
 def distillation_sets(spark: SparkSession, sf_dir: str, total: int = 1000, seed: int = 42, profile: dict[str, float] = TEACHER) -> tuple[DataFrame, DataFrame]:
@@ -136,6 +141,33 @@ def train_variants(sets: DataFrame, gold: DataFrame, schemas: dict, runs: dict[s
     return sets.sparkSession.read.parquet(path)
 
 
+def completion_nll(samples: DataFrame, model: bytes, schemas: dict, signal: str, style: str) -> DataFrame:
+    """sample_id, nll and n_tok of each sample's completion under a student: the prompt is read
+    and isn't scored. One pass; the model is broadcast packed."""
+    shared = samples.sparkSession.sparkContext.broadcast(model)
+    names = {d: language.slots(t) for d, t in schemas.items()}
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        student = pickle.loads(shared.value)
+        for f in frames:
+            got = [student.nll([Example(style, x.question, x.db_id, language.encode(_signal(signal, x), x.question, names[x.db_id]))]) for x in f.itertuples()]
+            yield pd.DataFrame({"sample_id": f["sample_id"], "nll": [g[0] for g in got], "n_tok": [g[1] for g in got]})
+
+    return samples.select("sample_id", "db_id", "question", "gold_sql", "plan", "prose").mapInPandas(run, "sample_id string, nll double, n_tok long")
+
+
+def rank_sweep(sets: DataFrame, gold: DataFrame, schemas: dict, ranks: tuple[int, ...] = (4, 16, 64)) -> DataFrame:
+    """r, trainable and the least validation loss of the plan student at each adapter rank, at
+    the same scale alpha / r."""
+    out = None
+    for r in ranks:
+        one = train_variants(sets, gold, schemas, {"PGD": ("plan", "plan", "student")}, r=r, alpha=2.0 * r)
+        least = F.array_min(F.transform("curve", lambda c: c["loss"]))
+        one = one.select(F.lit(r).alias("r"), "trainable", F.round(least, 6).alias("loss"))
+        out = one if out is None else out.union(one)
+    return out
+
+
 def trained_style(run: str, signal: str | None, style: str) -> str:
     """The prompt style of training: plan students by plan prompts, prose students by prose
     prompts, gold-only ones by direct prompts, whatever the run asks later."""

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import pickle
+import random
 import re
 from collections.abc import Callable, Iterator
 
@@ -53,16 +54,48 @@ def build_prompt(questions: DataFrame, style: str, schemas: dict[str, str], shot
     return joined.withColumn("prompt", F.coalesce(F.get(fits, F.lit(0)), F.element_at("options", -1))).withColumn("fitted", F.size(fits) == len(shots) + 1).drop("options", "schema")
 
 
-def select_shots(questions: DataFrame, bank: DataFrame, k: int = 3) -> DataFrame:
-    """id, shot, rank: the bank vectors nearest by cosine. The whole bank is searched, dealt in
-    blocks; each question's best ``k`` of every block meet."""
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    blocks = int(bank.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    q = questions.select("id", "vector", dot("vector", "vector").alias("vv"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"))
-    b = bank.select(F.col("id").alias("shot"), F.col("vector").alias("bv"), dot("vector", "vector").alias("bb"), F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"))
-    scored = q.join(b, "block").where(F.col("id") != F.col("shot")).select("block", "id", "shot", (dot("vector", "bv") / F.sqrt(F.col("vv") * F.col("bb"))).alias("score"))
-    ranked = lambda df, *by: df.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("score"), "shot"))).where(F.col("rank") <= k)
-    return ranked(ranked(scored, "block", "id").drop("block"), "id")
+def _dot(a: str, b: str) -> Column:
+    return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
+
+
+def _best(scored: DataFrame, k: int, *by: str) -> DataFrame:
+    return scored.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(F.desc("score"), "shot"))).where(F.col("rank") <= k)
+
+
+def select_shots(questions: DataFrame, bank: DataFrame, k: int = 3, method: str = "similar", tables: int = 12, bits: int = 8, seed: int = 5) -> DataFrame:
+    """id, shot, rank: examples from the bank (id, vector) for each question.
+
+    similar: the nearest by cosine; the whole bank is searched, dealt in blocks, and each
+    question's best ``k`` of every block meet. lsh: the nearest among those that share the signs
+    of ``bits`` random directions in one of ``tables`` draws, for banks too large to search
+    whole; a question may get fewer. static: the ``k`` smallest ids, the same for all."""
+    q = questions.select("id", "vector", _dot("vector", "vector").alias("vv"))
+    b = bank.select(F.col("id").alias("shot"), F.col("vector").alias("bv"), _dot("vector", "vector").alias("bb"))
+    if method == "static":
+        first = b.select("shot").orderBy("shot").limit(k + 1)  # one more, for a question that is itself among them
+        met = q.select("id").join(F.broadcast(first), F.col("id") != F.col("shot")).withColumn("score", F.lit(0.0))
+        return _best(met, k, "id")
+    if method == "similar":
+        blocks = int(bank.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        keyed = q.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+        dealt = b.withColumn("block", F.pmod(F.xxhash64("shot"), F.lit(blocks)).cast("int"))
+    elif method == "lsh":
+        width = bank.select(F.size("vector")).head()
+        rng = random.Random(seed)
+        planes = [[[rng.gauss(0, 1) for _ in range(width[0] if width else 0)] for _ in range(bits)] for _ in range(tables)]
+
+        def signs(v: str) -> Column:
+            bit = lambda p, i: F.when(F.aggregate(F.zip_with(v, F.array(*map(F.lit, p)), lambda x, y: x.cast("double") * y), F.lit(0.0), lambda s, x: s + x) > 0, 1 << i).otherwise(0)
+            keys = [F.lit(t << bits) + sum((bit(p, i) for i, p in enumerate(draw)), F.lit(0)) for t, draw in enumerate(planes)]
+            return F.explode(F.array(*keys))
+
+        keyed, dealt = q.withColumn("block", signs("vector")), b.withColumn("block", signs("bv"))
+    else:
+        raise ValueError(f"unknown method {method}")
+    met = keyed.join(dealt, "block").where(F.col("id") != F.col("shot"))
+    scored = met.select("block", "id", "shot", (_dot("vector", "bv") / F.sqrt(F.col("vv") * F.col("bb"))).alias("score"))
+    near = _best(scored, k, "block", "id").drop("block", "rank")
+    return _best(near.distinct() if method == "lsh" else near, k, "id")
 
 
 def extract_sql(raw: Column) -> Column:
@@ -120,10 +153,11 @@ CORRUPTIONS: dict[str, Callable[[str], str]] = {
 
 class NoisyCompleter:
     """Gives back the gold query, or a corruption of known class, by seeded hash and a profile
-    of shares; evidence about the measuring code only."""
+    of shares; evidence about the measuring code only. ``tell`` gives the class put in as the
+    finish reason."""
 
-    def __init__(self, profile: dict[str, float], seed: int = 42):
-        self.profile, self.seed = profile, seed
+    def __init__(self, profile: dict[str, float], seed: int = 42, tell: bool = False):
+        self.profile, self.seed, self.tell = profile, seed, tell
 
     def __call__(self, sample_id: str, gold_sql: str, trace: str = "") -> tuple[str, str]:
         x, at = int(hashlib.md5(f"{self.seed}|{sample_id}".encode()).hexdigest()[:8], 16) / 2**32, 0.0
@@ -136,7 +170,8 @@ class NoisyCompleter:
         return (made if leaf == "no output" else f"{trace}\n{SQL_MARK}\n{made}"), leaf
 
     def answer(self, row: dict) -> tuple[str, str]:
-        return self(row["sample_id"], row["gold_sql"], row.get("plan") or "")[0], "end"
+        raw, made = self(row["sample_id"], row["gold_sql"], row.get("plan") or "")
+        return raw, made if self.tell else "end"
 
 
 class EndpointCompleter:

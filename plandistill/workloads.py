@@ -480,6 +480,21 @@ def w1_bank_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return experiment.results(spark, sf_dir)[2].groupBy("part", "stratum").agg(F.count("*").alias("n"))
 
 
+def t1_model_nll(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Completion loss a token of the plan student on each part of its sets."""
+    _, students, sets = experiment.results(spark, sf_dir)
+    model = bytes(students.where("base = 'student' and signal = 'plan'").head()["model"])
+    nll = experiment.completion_nll(sets, model, experiment.schema_of(spark, sf_dir), "plan", "plan")
+    per = nll.join(sets.select("sample_id", "part"), "sample_id").groupBy("part")
+    return per.agg(F.count("*").alias("n"), F.sum("n_tok").alias("n_tok"), F.round(F.sum("nll") / F.sum("n_tok"), 4).alias("nll"))
+
+
+def t9_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Validation loss by adapter rank, on the runs' sets."""
+    sets = experiment.results(spark, sf_dir)[2]
+    return experiment.rank_sweep(sets, sampling.gold_set(sets), experiment.schema_of(spark, sf_dir))
+
+
 def w13_adapter(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Adapter over a frozen four-bit base, 64 numbers to a label, trained data-parallel; the curve."""
     e = read_table(spark, sf_dir, "embeddings", ["vec_id", "embedding", "label"]).select("vec_id", F.col("embedding").cast("array<double>").alias("x"), F.col("label").alias("y"))
@@ -506,20 +521,15 @@ def stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 def evaluate_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The evaluation path end to end on all bank rows: complete, extract, execute, compare,
     classify; ``made`` is the class of corruption put in."""
-    bank = bank_rows()
     profiles = {"TEACH": {"success": 0.8, "empty output": 0.1, "keyword": 0.1}, "BASE": {"success": 0.2, "no such column": 0.3, "column mismatch": 0.3, "no output": 0.2}}
-    raw = []
+    said = None
     for run, profile in profiles.items():
-        done = inference.NoisyCompleter(profile)
-        raw += [(run, r["sample_id"], r["db_id"], r["difficulty"], r["gold_sql"], *done(f"{run}{r['sample_id']}", r["gold_sql"])) for r in bank]
-    df = spark.createDataFrame(raw, "run string, sample_id string, db_id string, difficulty string, gold_sql string, raw string, made string").withColumn("sql", inference.extract_sql(F.col("raw")))
-    got = df.collect()  # one row for each question and run; results stay on the executors
-    ran = execution.run_many(spark, sf_dir, [(r.db_id, q) for r in got for q in (r.sql, r.gold_sql) if q])
-    out = []
-    for r in got:
-        level, leaf = execution.outcome(ran[r.db_id, r.sql] if r.sql else None, ran[r.db_id, r.gold_sql])
-        out.append((r.run, r.sample_id, r.difficulty, level, leaf, level == "SUCC", r.made))
-    return spark.createDataFrame(out, "run string, sample_id string, difficulty string, level string, leaf string, ok boolean, made string")
+        asked = load_bank(spark).withColumns({"run": F.lit(run), "prompt": F.col("question"), "sample_id": F.concat(F.lit(run), "sample_id")})
+        one = inference.infer(asked, inference.NoisyCompleter(profile, tell=True))
+        said = one if said is None else said.unionByName(one)
+    judged = experiment.judge(spark, sf_dir, said)
+    sample = F.substr("sample_id", F.length("run") + 1)
+    return judged.select("run", sample.alias("sample_id"), "difficulty", "level", "leaf", "ok", F.col("finish_reason").alias("made"))
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -585,6 +595,8 @@ TAPES: dict[str, tuple[Query, str | None]] = {
     "w10_hidden": (w10_hidden, None),
     "w1_bank_sets": (w1_bank_sets, None),
     "w13_adapter": (w13_adapter, None),
+    "t1_model_nll": (t1_model_nll, None),
+    "t9_ranks": (t9_ranks, None),
     "stream_windows": (stream_windows, "select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, user_id % 5 as run, count(*) as n, count(*) filter (event_type = 'purchase') as ok from events group by all"),
     "flagship_ex": (flagship, None),
 }

@@ -365,3 +365,28 @@ def test_runs_end_to_end(spark, sf):
     got = {(r.part, r.stratum): r["count"] for r in sets.groupBy("part", "stratum").count().collect()}
     assert sum(v for (p, _), v in got.items() if p == "train") == 24
     assert set(r.pool for r in sets.where("part = 'ood_val'").select("pool").distinct().collect()) == {"OOD"}
+
+
+def test_shots_by_other_methods(spark):
+    rng = np.random.default_rng(2)
+    v = rng.normal(size=(300, 8))
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "id long, vector array<double>")
+    q = df.where("id % 30 = 0")
+    assert {(r.id, r.rank): r.shot for r in inference.select_shots(q, df, 2, "static").collect()}[0, 1] == 1
+    exact = {(r.id, r.shot) for r in inference.select_shots(q, df, 3).collect()}
+    near = {(r.id, r.shot) for r in inference.select_shots(q, df, 3, "lsh").collect()}
+    assert len(near & exact) >= 0.6 * len(exact)
+    with pytest.raises(ValueError):
+        inference.select_shots(q, df, 3, "none")
+
+
+def test_long_prompts_lose_their_oldest_shots(spark):
+    q = spark.createDataFrame([("a", "d", "how many?")], "sample_id string, db_id string, question string")
+    made = inference.build_prompt(q, "plan", {"d": "t(x int)"}, ["old " * 9_000, "mid " * 4_000, "new " * 4_000]).head()
+    assert "old" not in made.prompt and "mid" in made.prompt and "new" in made.prompt and not made.fitted and "how many?" in made.prompt
+
+
+def test_bootstrap_interval_holds_the_share(spark):
+    df = spark.range(2000).select(F.lit("a").alias("run"), F.col("id").alias("sample_id"), (F.col("id") % 4 == 0).alias("ok"))
+    r = metrics.bootstrap_ci(df).head()
+    assert 21.5 < r.low < 25 < r.high < 28.5
