@@ -21,14 +21,19 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality rules keep. Null and empty texts fail them; an empty table stays empty."""
     return quality.judge(docs, columns=COLUMNS).where("kept").select("row.*")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each near-duplicate class (five words, similarity 0.8 or more): the smallest id.
+    Rows without id stay; of rows that share an id one stays."""
     return neardup.keep_one(docs.select(*COLUMNS), percent=80)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts with each personal span put as ``[KIND]``; n_chars is new where a span was found. Null texts
+    stay null."""
     found = pii.find(docs, columns=COLUMNS)
     text = pii.redact(F.col("row.text"), F.col("spans"))
     out = found.select("row.*", text.alias("clean"), F.size("spans").alias("n"))
@@ -36,10 +41,12 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents as often as the mix takes them; columns beside those of documents are left out."""
     return mixing.repeat(mixing.mix(docs.select(*COLUMNS)))
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document with its piece ids and the text that they decode to (null as the empty text)."""
     import public_tokenizers
 
     made = pieces.encode_texts(docs, public_tokenizers.path("piece_bpe_32k.model"), ["doc_id", "lang", "source", "n_chars"])

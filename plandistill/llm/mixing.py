@@ -9,7 +9,7 @@ source is found from word sums of hash buckets, then inside one bucket, so no
 task sees a whole source.
 
 Defined results: null text has size 0; null source is a source of its own,
-last; rows with one id are told apart by a hash of their text (equal rows are
+last; more than ``MOST_SOURCES`` sources raise; rows with one id are told apart by a hash of their text (equal rows are
 taken alike); an empty table gives no rows; other columns are carried in ``row``.
 """
 
@@ -23,6 +23,8 @@ from pyspark.sql import functions as F
 from .common import n_words, park
 
 BUCKETS = 1 << 10
+#: Sources come to the driver and go out to all tasks, so their number is checked.
+MOST_SOURCES = 1 << 18
 
 
 def water_fill(sizes: dict[str, int], weights: dict[str, int], max_epochs: int, total: int | None = None) -> dict[str, Fraction]:
@@ -52,7 +54,10 @@ def _limits(sized: DataFrame, weights: tuple[int, ...], max_epochs: int) -> Data
     """For each source: size, target, whole repetitions, and the place in hash order
     up to which documents are taken once more. One row for each source reaches the driver."""
     spark = sized.sparkSession
-    sizes = {r[0]: r[1] for r in sized.groupBy("_source").agg(F.sum("_size").alias("size")).collect()}
+    found = sized.groupBy("_source").agg(F.sum("_size").alias("size")).limit(MOST_SOURCES + 1).collect()
+    if len(found) > MOST_SOURCES:
+        raise ValueError(f"more than {MOST_SOURCES} sources: their targets are one table that every task holds; group them first")
+    sizes = {r[0]: r[1] for r in found}
     names = sorted((s for s in sizes if s is not None), key=lambda s: s.encode()) + [None] * (None in sizes)
     targets = water_fill(sizes, {s: weights[i % len(weights)] for i, s in enumerate(names)}, max_epochs)
     rows = []

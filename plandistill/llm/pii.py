@@ -64,21 +64,52 @@ def luhn(number: Column) -> Column:
     return F.coalesce(F.aggregate(ds, F.lit(0), lambda a, d: a + F.coalesce(d, F.lit(0))) % 10 == 0, F.lit(False))
 
 
+#: Matches folded at a time: what a fold adds to is copied each time, so it has to stay short.
+FOLD = 256
+
+
+def folded(items: Column, kind: str, first: Column, step, after) -> Column:
+    """``items`` (an array) folded in chunks: an array of ``kind`` of what ``step`` puts out.
+
+    ``step(state, item)`` gives (new state, value); ``first`` is the state before all items, and
+    ``after(state, chunk)`` the state after a whole chunk, without its values. The work is
+    that of one pass, however many items a text has."""
+    chunk = lambda c: F.slice(items, c * FOLD + 1, FOLD)
+
+    def started(acc: Column, c: Column) -> Column:
+        return F.struct(after(acc["at"], chunk(c)).alias("at"), F.array_append(acc["all"], acc["at"]).alias("all"))
+
+    def inner(state: Column, c: Column) -> Column:
+        def one(acc: Column, item: Column) -> Column:
+            new, value = step(acc["at"], item)
+            return F.struct(new.alias("at"), F.array_append(acc["out"], value).alias("out"))
+
+        return F.aggregate(chunk(c), F.struct(state.alias("at"), F.array().cast(kind).alias("out")), one, lambda acc: acc["out"])
+
+    chunks = F.sequence(F.lit(0), F.floor((F.greatest(F.size(items), F.lit(1)) - 1) / FOLD).cast("int"))
+    states = lambda cs: F.aggregate(cs, F.struct(first.alias("at"), F.array().cast("array<int>").alias("all")), started, lambda acc: acc["all"])
+    return F.flatten(let(chunks, lambda cs: let(states(cs), lambda s: F.transform(cs, lambda c: inner(F.get(s, c), c)))))
+
+
 def matches(text: Column, pattern: str, present: Column) -> Column:
     """Array of (start, end, value, before, after) of all matches, by code point."""
     kind = "array<struct<start:int,end:int,value:string,before:string,after:string>>"
+    both = F.struct(F.split(text, pattern, -1).alias("gaps"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("hits"))
 
-    def folded(x: Column) -> Column:
-        def step(acc: Column, hit: Column) -> Column:
-            gap = F.element_at(x["gaps"], acc["n"])
-            start = acc["at"] + F.length(gap)
-            item = F.struct(start.alias("start"), (start + F.length(hit)).alias("end"), hit.alias("value"), F.right(gap, F.lit(32)).alias("before"), F.left(F.element_at(x["gaps"], acc["n"] + 1), F.lit(8)).alias("after"))
-            return F.struct((start + F.length(hit)).alias("at"), (acc["n"] + 1).alias("n"), F.array_append(acc["out"], item).alias("out"))
+    def placed(x: Column) -> Column:
+        items = F.transform(x["hits"], lambda hit, i: F.struct(hit.alias("hit"), F.get(x["gaps"], i).alias("gap"), F.left(F.get(x["gaps"], i + 1), F.lit(8)).alias("next")))
 
-        return F.aggregate(x["hits"], F.struct(F.lit(0).alias("at"), F.lit(1).alias("n"), F.array().cast(kind).alias("out")), step, lambda acc: acc["out"])
+        def step(at: Column, m: Column) -> tuple[Column, Column]:
+            start = at + F.length(m["gap"])
+            end = start + F.length(m["hit"])
+            return end, F.struct(start.alias("start"), end.alias("end"), m["hit"].alias("value"), F.right(m["gap"], F.lit(32)).alias("before"), m["next"].alias("after"))
 
-    both = F.struct(F.split(text, pattern, -1).alias("gaps"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("hits"))
-    return F.when(present, let(both, folded)).otherwise(F.array().cast(kind))
+        def after(at: Column, chunk: Column) -> Column:
+            return F.aggregate(chunk, at, lambda n, m: n + F.length(m["gap"]) + F.length(m["hit"]))
+
+        return let(items, lambda z: folded(z, kind, F.lit(0), step, after))
+
+    return F.when(present, let(both, placed)).otherwise(F.array().cast(kind))
 
 
 def base_spans(text: Column) -> dict[str, Column]:
@@ -257,12 +288,15 @@ def find(docs: DataFrame, seed: int = 11, columns: list[str] | None = None) -> D
     def merged(k: str) -> Column:
         ordered = F.sort_array(F.concat(F.transform(F.col(f"base.{k}"), lambda m: F.struct(m["start"].alias("start"), (-m["end"]).alias("back"), F.lit(0).alias("added"))), F.transform(F.filter("added", lambda c: c["kind"] == k), lambda c: F.struct(c["start"].alias("start"), (-c["end"]).alias("back"), F.lit(1).alias("added")))))
 
-        def step(acc: Column, m: Column) -> Column:
-            inside = (m["added"] == 1) & (-m["back"] <= acc["far"])
-            item = F.struct(F.lit(k).alias("kind"), m["start"].alias("start"), (-m["back"]).alias("end"))
-            return F.struct(F.greatest(acc["far"], -m["back"]).alias("far"), F.when(inside, acc["out"]).otherwise(F.array_append(acc["out"], item)).alias("out"))
+        def step(far: Column, m: Column) -> tuple[Column, Column]:
+            inside = (m["added"] == 1) & (-m["back"] <= far)
+            item = F.when(~inside, F.struct(F.lit(k).alias("kind"), m["start"].alias("start"), (-m["back"]).alias("end")))
+            return F.greatest(far, -m["back"]), item
+
+        def after(far: Column, chunk: Column) -> Column:
+            return F.aggregate(chunk, far, lambda n, m: F.greatest(n, -m["back"]))
 
-        return F.aggregate(ordered, F.struct(F.lit(0).alias("far"), F.array().cast(spans).alias("out")), step, lambda acc: acc["out"])
+        return F.filter(let(ordered, lambda z: folded(z, spans, F.lit(0), step, after)), lambda s: s.isNotNull())
 
     out = out.select("row", "base", F.filter("proposed", sure).alias("added"))
     return out.select("row", F.concat(*[plain(k) for k in KINDS]).cast(spans).alias("base"), F.concat(*[F.when(F.size("added") == 0, plain(k)).otherwise(merged(k)) for k in KINDS]).cast(spans).alias("spans"))
@@ -272,9 +306,26 @@ def redact(text: Column, spans: Column) -> Column:
     """The text with each span (overlaps as one, named by the first) put as [KIND]."""
     ordered = F.sort_array(F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind"))))
 
-    def step(acc: Column, s: Column) -> Column:
-        over = s["start"] < acc["at"]
-        gap = F.substr(text, acc["at"] + 1, F.greatest(s["start"] - acc["at"], F.lit(0)))
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(over, acc["out"]).otherwise(F.concat(acc["out"], gap, F.lit("["), F.upper(s["kind"]), F.lit("]"))).alias("out"))
+    def step(far: Column, s: Column) -> tuple[Column, Column]:
+        cut = F.struct(far.alias("from"), s["start"].alias("to"), s["kind"].alias("kind"))
+        return F.greatest(far, s["end"]), F.when(s["start"] >= far, cut)
+
+    def after(far: Column, chunk: Column) -> Column:
+        return F.aggregate(chunk, far, lambda n, s: F.greatest(n, s["end"]))
+
+    def written(cuts: Column) -> Column:
+        # what stands between cuts is read from a chunk's own stretch of the text, not from its start
+        def stretch(c: Column) -> Column:
+            def pieces(part: Column) -> Column:
+                base = F.element_at(part, 1)["from"]
+                whole = F.substr(text, base + 1, F.element_at(part, -1)["to"] - base)
+                put = lambda w: F.array_join(F.transform(part, lambda p: F.concat(F.substr(w, p["from"] - base + 1, p["to"] - p["from"]), F.lit("["), F.upper(p["kind"]), F.lit("]"))), "")
+                return let(whole, put)
+
+            return let(F.slice(cuts, c * FOLD + 1, FOLD), pieces)
+
+        chunks = F.sequence(F.lit(0), F.floor((F.size(cuts) - 1) / FOLD).cast("int"))
+        return F.concat(F.array_join(F.transform(chunks, stretch), ""), F.substr(text, F.array_max(F.transform(spans, lambda s: s["end"])) + 1))
 
-    return F.when(F.size(spans) == 0, text).otherwise(F.aggregate(ordered, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substr(text, acc["at"] + 1))))
+    cuts = let(ordered, lambda z: folded(z, "array<struct<from:int,to:int,kind:string>>", F.lit(0), step, after))
+    return F.when(F.size(spans) == 0, text).otherwise(let(F.filter(cuts, lambda c: c.isNotNull()), written))
