@@ -106,7 +106,7 @@ def _signal(signal: str, r) -> str:
     return f"{trace}\n{inference.SQL_MARK}\n{r.gold_sql}"
 
 
-def train_variants(sets: DataFrame, gold: DataFrame, schemas: dict, runs: dict[str, tuple] = inference.RUNS, epochs: int = 14, lr: float = 1e-3, r: int = 64, alpha: float = 128.0, width: int = 64) -> DataFrame:
+def train_variants(sets: DataFrame, gold: DataFrame, schemas: dict, runs: dict[str, tuple] = inference.RUNS, epochs: int = 10, lr: float = 2e-3, r: int = 64, alpha: float = 128.0, width: int = 64) -> DataFrame:
     """key, model (bytes), curve: one student for each different (signal, style, base) of the
     runs, trained in parallel. Prose and plan students use the same sets; gold-only ones all
     human pairs with the direct prompt. A base sees a few gold pairs first and is then frozen."""
@@ -194,7 +194,7 @@ class StudentCompleter:
         return {k: v for k, v in self.__dict__.items() if k != "student"}
 
 
-def run_variants(spark: SparkSession, sf_dir: str, total: int = 200, runs: dict[str, tuple] = inference.RUNS, limits: Decode = Decode(), seed: int = 42, n_dev: int = 48) -> tuple[DataFrame, DataFrame, DataFrame]:
+def run_variants(spark: SparkSession, sf_dir: str, total: int = 96, runs: dict[str, tuple] = inference.RUNS, limits: Decode = Decode(), seed: int = 42, n_dev: int = 48) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(outcomes, students, sets) of all runs. ``total`` scales the distillation sets."""
     schemas = schema_of(spark, sf_dir)
     sets, bank = distillation_sets(spark, sf_dir, total, seed)

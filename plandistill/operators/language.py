@@ -161,14 +161,13 @@ class Student:
         at = np.concatenate([a + off for (_, a, _), off in zip(batch, [0, *ends[:-1]], strict=True)])
         y = np.concatenate([t for _, _, t in batch])
         n = len(y)
-        weight = (1.0 / np.bincount(at, minlength=n)).astype(np.float32)[at]
+        sizes = np.bincount(at, minlength=n)
+        weight = (1.0 / sizes).astype(np.float32)[at][:, None]
         used, place = np.unique(rows, return_inverse=True)
-        mix = np.zeros((n, len(used)), np.float32)
-        np.add.at(mix, (at, place), weight)
         scale = np.float32(self.scale)
         e = self.base["e"][used] + scale * self.part["e_a"][used] @ self.part["e_b"]
         u = self.base["u"] + scale * self.part["u_a"] @ self.part["u_b"]
-        h = mix @ e
+        h = np.add.reduceat(e[place] * weight, np.concatenate([[0], np.cumsum(sizes)[:-1]]), axis=0)
         z = h @ u * 8.0
         z -= z.max(1, keepdims=True)
         p = np.exp(z)
@@ -178,7 +177,9 @@ class Student:
             return loss, n, {}
         p[np.arange(n), y] -= 1
         p *= 8.0
-        g_u, g_e = h.T @ p, mix.T @ (p @ u.T)
+        order = np.argsort(place, kind="stable")
+        back = ((p @ u.T)[at] * weight)[order]
+        g_u, g_e = h.T @ p, np.add.reduceat(back, np.searchsorted(place[order], np.arange(len(used))), axis=0)
         if full:
             return loss, n, {"u": g_u, "e": (used, g_e)}
         return loss, n, {"u_a": scale * g_u @ self.part["u_b"].T, "u_b": scale * self.part["u_a"].T @ g_u, "e_a": (used, scale * g_e @ self.part["e_b"].T), "e_b": scale * self.part["e_a"][used].T @ g_e}
@@ -198,11 +199,10 @@ class Student:
                 loss, n, grads = self.loss_grad([data[i] for i in order[b * size : (b + 1) * size]], full=full)
                 opt.t += 1
                 for k, g in grads.items():
-                    if isinstance(g, tuple):  # rows that no feature of the batch uses have no gradient
-                        whole = np.zeros_like(target[k])
-                        whole[g[0]] = g[1]
-                        g = whole
-                    target[k] = opt.step(k, target[k], (g / n).astype(np.float32)).astype(np.float32)
+                    if isinstance(g, tuple):  # rows that no feature of the batch uses stay
+                        opt.step_rows(k, target[k], g[0], (g[1] / n).astype(np.float32))
+                    else:
+                        target[k] = opt.step(k, target[k], (g / n).astype(np.float32)).astype(np.float32)
                 if held and ((b + 1) % max(1, steps // 4) == 0):
                     v_loss = v_n = 0
                     for i in range(0, len(held), 16):

@@ -109,6 +109,14 @@ class AdamW:
         mh, vh = m / (1 - self.betas[0] ** self.t), v / (1 - self.betas[1] ** self.t)
         return value - self.lr * (mh / (np.sqrt(vh) + 1e-8) + self.wd * value)
 
+    def step_rows(self, name: str, value: np.ndarray, rows: np.ndarray, grad: np.ndarray) -> None:
+        """One step of some rows of ``value``, in place; the moments of other rows wait."""
+        m, v = self.state.setdefault(name, (np.zeros_like(value), np.zeros_like(value)))
+        m[rows] = self.betas[0] * m[rows] + (1 - self.betas[0]) * grad
+        v[rows] = self.betas[1] * v[rows] + (1 - self.betas[1]) * grad**2
+        mh, vh = m[rows] / (1 - self.betas[0] ** self.t), v[rows] / (1 - self.betas[1] ** self.t)
+        value[rows] -= self.lr * (mh / (np.sqrt(vh) + 1e-8) + self.wd * value[rows])
+
 
 def batches(df: DataFrame, size: int, epoch: int, key: str, seed: int = 42) -> DataFrame:
     """``df`` with batch: hash-shuffled anew each epoch, numbered without one task for all rows.
